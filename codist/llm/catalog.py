@@ -10,7 +10,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, token_files
+from . import bpe, chat, decontaminate, fingerprint, token_files
 from .storage import parallelism
 
 BYTE_BPE, WORD_BPE = "byte_bpe_50k.json", "word_bpe_49k.json"
@@ -34,13 +34,12 @@ def ids_digest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """For (doc_id, ids, decoded): the number of ids and the digests of ids and text."""
     for batch in batches:
         ids = batch.column("ids")
-        flat, at = ids.flatten().to_pylist(), ids.offsets.to_numpy()
-        at = (at - at[0]).tolist()
+        flat, at = ids.values.to_numpy(zero_copy_only=False), ids.offsets.to_numpy().tolist()
         yield pa.RecordBatch.from_arrays([
             batch.column("doc_id"),
             pa.array([j - i for i, j in zip(at, at[1:])], pa.int64()),
-            pa.array([sha256_hex(",".join(map(str, flat[i:j])).encode()) for i, j in zip(at, at[1:])]),
-            pa.array([sha256_hex(x.encode()) for x in pc.fill_null(batch.column("decoded"), "").to_pylist()]),
+            pa.array([sha256_hex(",".join(map(str, flat[i:j].tolist())).encode()) for i, j in zip(at, at[1:])]),
+            pa.array([sha256_hex(x.encode()) for x in (pc.fill_null(batch.column("decoded").slice(i, 1), "")[0].as_py() for i in range(batch.num_rows))]),
         ], names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
 
@@ -58,6 +57,78 @@ def op8_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.token_offsets(spark, path)
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_bpe, op8_token_files)}
-
-ORACLES: dict[str, str] = {}
+def op2_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
+    planted = spark.sql(r"""SELECT -7L AS conv_id, t.turn, t.role, r'\### Assistant: </turn> ok' AS text FROM VALUES (0L, 'user'), (1L, 'assistant') AS t(turn, role)""")
+    turns = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text").unionByName(planted)
+    read = chat.read_turns(chat.format_chats(turns.select("conv_id", "turn", "role", chat.text_parts(F.coalesce("text", F.lit(""))).alias("parts"))))
+    said = F.array_join(F.transform("turns", lambda t: F.concat(t["role"], F.lit("\n"), t["text"], F.lit("\n"))), "")
+    return read.select(
+        "conv_id",
+        F.size("turns").cast("bigint").alias("n_turns"),
+        F.sha2(said, 256).alias("turns_sha256"),
+        F.length("loss_text").cast("bigint").alias("loss_chars"),
+        F.sha2("loss_text", 256).alias("loss_sha256"),
+        F.length("formatted").cast("bigint").alias("formatted_chars"),
+    )
+
+
+OP2_SQL = r"""
+WITH t AS (
+  SELECT conv_id, turn, coalesce(role, '') AS r, coalesce(text, '') AS x FROM conversations
+  UNION ALL SELECT -7, 0, 'user', '\### Assistant: </turn> ok'
+  UNION ALL SELECT -7, 1, 'assistant', '\### Assistant: </turn> ok'
+), c AS (
+  SELECT conv_id, count(*)::BIGINT AS n_turns,
+         string_agg(r || chr(10) || x || chr(10), '' ORDER BY turn NULLS FIRST, r, x) AS said,
+         coalesce(string_agg(x, '' ORDER BY turn NULLS FIRST, r, x) FILTER (r = 'assistant'), '') AS loss,
+         sum(length(replace(replace(replace(r, '\', '\-'), '<', '\('), '>', '\)'))
+             + length(replace(replace(x, '\', '\-'), '<', '\(')) + 16)::BIGINT AS formatted_chars
+  FROM t GROUP BY conv_id
+)
+SELECT conv_id, n_turns, sha256(said) AS turns_sha256, length(loss)::BIGINT AS loss_chars, sha256(loss) AS loss_sha256, formatted_chars FROM c
+"""
+
+
+def op3_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = decontaminate.find_contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+    hit = decontaminate.hit_words()
+    return found.select(
+        "doc_id",
+        "n_words",
+        hit.alias("n_hit"),
+        F.size("items").cast("bigint").alias("n_items"),
+        F.sha2(F.array_join("items", ","), 256).alias("items_sha256"),
+        (hit > 0).alias("contaminated"),
+    )
+
+
+def compared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Of each document and the next: the fingerprints of its text, of its edited text, and the next one's."""
+    for rows in fingerprint.pairs_with_next(batches):
+        edited = [x[: len(x) - len(x) // 2] + y[: len(x) // 2] for _, x, y in rows]
+        own = fingerprint.fingerprints([x.encode() for _, x, _ in rows])
+        after = [*own[1:], None]
+        for i, (_, _, y) in enumerate(rows):
+            if after[i] is None or rows[i + 1][1] != y:
+                (after[i],) = fingerprint.fingerprints([y.encode()])
+        changed = fingerprint.fingerprints([x.encode() for x in edited])
+        yield pa.RecordBatch.from_pydict({
+            "doc_id": pa.array([x[0] for x in rows], pa.int64()),
+            "n_chars": pa.array([len(x[1]) for x in rows], pa.int64()),
+            "edited_sha256": [sha256_hex(x.encode()) for x in edited],
+            "fingerprint": own,
+            "edited_fingerprint": changed,
+            "near_edited": pa.array(map(fingerprint.containment, own, changed), pa.float64()),
+            "near_next": pa.array(map(fingerprint.containment, own, after), pa.float64()),
+        })
+
+
+def op10_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
+    fingerprint.ship(spark)
+    rows = fingerprint.with_next(table(spark, sf_dir, "documents"))
+    return rows.mapInArrow(compared, "doc_id bigint, n_chars bigint, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double")
+
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_bpe, op2_chat, op3_decontaminate, op8_token_files, op10_fingerprint)}
+
+ORACLES: dict[str, str] = {"op2_chat": OP2_SQL}
