@@ -53,7 +53,7 @@ def op8_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     ids = bpe.encode(docs, tokenizer_path(WORD_BPE)).withColumn("ids", F.concat("ids", F.array(F.lit(1))))
     path = token_files.new_folder(spark)
-    token_files.write_tokens(ids, path, token_files.range_bounds(docs, "doc_id", parallelism(spark)))
+    token_files.write_tokens(ids, path, token_files.range_bounds(docs, "doc_id", parallelism(spark)), vocabulary=49408)
     return token_files.token_offsets(spark, path)
 
 
