@@ -10,7 +10,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, chat, decontaminate, fingerprint, langid, token_files
+from . import bpe, chat, decontaminate, fingerprint, langid, substring_dedup, token_files
 from .storage import parallelism
 
 BYTE_BPE, WORD_BPE = "byte_bpe_50k.json", "word_bpe_49k.json"
@@ -56,6 +56,11 @@ def op4_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.identify(docs.select("doc_id", "text"), models).select("doc_id", (side == 2).alias("held_out"), "lang_pred", "score", "cross_entropy", "accepted")
 
 
+def op7_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    return substring_dedup.remove_repeats(docs).select("doc_id", "n_words", "n_removed", F.sha2("kept", 256).alias("kept_sha256"))
+
+
 def op8_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     ids = bpe.encode(docs, tokenizer_path(WORD_BPE)).withColumn("ids", F.concat("ids", F.array(F.lit(1))))
@@ -136,6 +141,6 @@ def op10_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.mapInArrow(compared, "doc_id bigint, n_chars bigint, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double")
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_bpe, op2_chat, op3_decontaminate, op4_language, op8_token_files, op10_fingerprint)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_bpe, op2_chat, op3_decontaminate, op4_language, op7_substrings, op8_token_files, op10_fingerprint)}
 
 ORACLES: dict[str, str] = {"op2_chat": OP2_SQL}
