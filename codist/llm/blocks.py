@@ -9,6 +9,7 @@ where they were written: the table of blocks is bucketed by block.
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -17,7 +18,16 @@ import pyarrow.compute as pc
 import zstandard
 from pyspark import TaskContext
 
-BLOCK_BYTES = 12 << 20
+BLOCK_BYTES = 8 << 20
+
+
+def trim() -> None:
+    """Gives memory that is free in this process back to the machine, which other tasks need."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (OSError, AttributeError):  # not every C library has it
+        pass
 
 
 def pack(values: np.ndarray) -> bytes:
@@ -70,10 +80,15 @@ def document_blocks(batches: Iterator[pa.RecordBatch], text: str) -> Iterator[pa
             size += int(at[j] - at[i])
             i = j
             if size >= BLOCK_BYTES * 0.9:
-                yield pa.Table.from_batches(held)
+                block = pa.Table.from_batches(held)
                 held, size = [], 0
+                yield block
+                del block
+                trim()
     if held:
         yield pa.Table.from_batches(held)
+        del held
+        trim()
 
 
 def numbered(tables: Iterator[pa.Table]) -> Iterator[tuple[int, pa.Table]]:
@@ -96,7 +111,9 @@ def per_part(answer: Callable[[int, list[tuple[int, bytes]]], list[bytes]]):
     def run(table: pa.Table) -> pa.Table:
         blocks, bodies = table.column("block").to_pylist(), table.column("body").to_pylist()
         part = table.column("part")[0].as_py()
-        return pa.table({"block": pa.array(blocks, pa.int64()), "part": pa.array([part] * len(blocks), pa.int32()), "body": pa.array(answer(part, list(zip(blocks, bodies))), pa.binary())})
+        out = pa.array(answer(part, list(zip(blocks, bodies))), pa.binary())
+        trim()
+        return pa.table({"block": pa.array(blocks, pa.int64()), "part": pa.array([part] * len(blocks), pa.int32()), "body": out})
 
     return run
 

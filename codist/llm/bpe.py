@@ -160,6 +160,7 @@ def encode(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: st
                 "part": pa.array([pack(part)], pa.binary()),
                 "asked": pa.array([asked], pa.list_(pa.binary())),
             })
+            del codes, coded, words, asked, order
 
     packed = stored(docs.mapInArrow(cut, f"block bigint, id array<{id_type}>, size binary, code binary, part binary, asked array<binary>"), "block", parts)
 
@@ -234,6 +235,14 @@ def pieces(config: str) -> list[bytes]:
     return [as_bytes(table.get(i, "")) for i in range(max(table) + 1)]
 
 
+def decoded(config: str, ids: pa.ListArray) -> Iterator[str | None]:
+    """The text of each list of ids, one at a time."""
+    piece = pieces(config).__getitem__
+    flat, at = ids.values.to_numpy(zero_copy_only=False), ids.offsets.to_numpy().tolist()
+    for null, i, j in zip(ids.is_null().to_pylist(), at, at[1:]):
+        yield None if null else b"".join(map(piece, flat[i:j].tolist())).decode("utf-8", "replace")
+
+
 def decode(tokens: DataFrame, tokenizer: str, ids_col: str = "ids", out: str = "decoded") -> DataFrame:
     """All columns of ``tokens`` and the text of its ids; special tokens are kept. Null ids give null.
 
@@ -244,12 +253,8 @@ def decode(tokens: DataFrame, tokenizer: str, ids_col: str = "ids", out: str = "
         config = spark.sparkContext.broadcast(f.read())
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        piece = pieces(config.value).__getitem__
         for batch in batches:
-            ids = batch.column(ids_col)
-            flat, at = ids.flatten().to_numpy(zero_copy_only=False), np.concatenate([[0], np.cumsum(np.nan_to_num(pc.list_value_length(ids).to_numpy(zero_copy_only=False)).astype(np.int64))])
-            texts = [None if null else b"".join(map(piece, flat[i:j].tolist())).decode("utf-8", "replace") for null, i, j in zip(ids.is_null().to_pylist(), at[:-1].tolist(), at[1:].tolist())]
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(texts, pa.string())], names=[*batch.schema.names, out])
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(decoded(config.value, batch.column(ids_col)), pa.string())], names=[*batch.schema.names, out])
 
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in tokens.schema.fields)
     return tokens.mapInArrow(run, f"{kinds}, `{out}` string")

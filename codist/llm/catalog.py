@@ -6,7 +6,6 @@ import hashlib
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
-import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -30,43 +29,27 @@ def sha256_hex(x: bytes) -> str:
     return hashlib.sha256(x).hexdigest()
 
 
-def ids_digest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """For (doc_id, ids, decoded): the number of ids and the digests of ids and text."""
-    for batch in batches:
-        ids = batch.column("ids")
-        flat, at = ids.values.to_numpy(zero_copy_only=False), ids.offsets.to_numpy().tolist()
-        yield pa.RecordBatch.from_arrays([
-            batch.column("doc_id"),
-            pa.array([j - i for i, j in zip(at, at[1:])], pa.int64()),
-            pa.array([sha256_hex(",".join(map(str, flat[i:j].tolist())).encode()) for i, j in zip(at, at[1:])]),
-            pa.array([sha256_hex(x.encode()) for x in (pc.fill_null(batch.column("decoded").slice(i, 1), "")[0].as_py() for i in range(batch.num_rows))]),
-        ], names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
-
-
 def op1_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = tokenizer_path(BYTE_BPE)
     ids = bpe.encode(table(spark, sf_dir, "documents"), path)
-    return bpe.decode(ids, path).mapInArrow(ids_digest, "doc_id bigint, n_tokens bigint, ids_sha256 string, decoded_sha256 string")
-
-
-def op4_language(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
-    side = langid.fold("doc_id", 4)
-    models = langid.learn_models(docs.where(side != 2))
-    return langid.identify(docs.select("doc_id", "text"), models).select("doc_id", (side == 2).alias("held_out"), "lang_pred", "score", "cross_entropy", "accepted")
-
-
-def op7_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    return substring_dedup.remove_repeats(docs).select("doc_id", "n_words", "n_removed", F.sha2("kept", 256).alias("kept_sha256"))
-
-
-def op8_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
-    ids = bpe.encode(docs, tokenizer_path(WORD_BPE)).withColumn("ids", F.concat("ids", F.array(F.lit(1))))
-    path = token_files.new_folder(spark)
-    token_files.write_tokens(ids, path, token_files.range_bounds(docs, "doc_id", parallelism(spark)), vocabulary=49408)
-    return token_files.token_offsets(spark, path)
+    with open(path, encoding="utf-8") as f:
+        config = spark.sparkContext.broadcast(f.read())
+
+    def digest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """The number of ids and the digests of ids and decoded text."""
+        for batch in batches:
+            for i in range(0, batch.num_rows, 1000):
+                part = batch.slice(i, 1000)
+                lists = part.column("ids")
+                flat, at = lists.values.to_numpy(zero_copy_only=False), lists.offsets.to_numpy().tolist()
+                yield pa.RecordBatch.from_arrays([
+                    part.column("doc_id"),
+                    pa.array([k - j for j, k in zip(at, at[1:])], pa.int64()),
+                    pa.array([sha256_hex(",".join(map(str, flat[j:k].tolist())).encode()) for j, k in zip(at, at[1:])]),
+                    pa.array([sha256_hex(x.encode()) for x in bpe.decoded(config.value, lists)]),
+                ], names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
+
+    return ids.mapInArrow(digest, "doc_id bigint, n_tokens bigint, ids_sha256 string, decoded_sha256 string")
 
 
 def op2_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -135,6 +118,26 @@ def compared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         })
 
 
+def op4_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
+    side = langid.fold("doc_id", 4)
+    models = langid.learn_models(docs.where(side != 2))
+    return langid.identify(docs.select("doc_id", "text"), models).select("doc_id", (side == 2).alias("held_out"), "lang_pred", "score", "cross_entropy", "accepted")
+
+
+def op7_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    return substring_dedup.remove_repeats(docs).select("doc_id", "n_words", "n_removed", F.sha2("kept", 256).alias("kept_sha256"))
+
+
+def op8_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    ids = bpe.encode(docs, tokenizer_path(WORD_BPE)).withColumn("ids", F.concat("ids", F.array(F.lit(1))))
+    path = token_files.new_folder(spark)
+    token_files.write_tokens(ids, path, token_files.range_bounds(docs, "doc_id", parallelism(spark)), vocabulary=49408)
+    return token_files.token_offsets(spark, path)
+
+
 def op10_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
     fingerprint.ship(spark)
     rows = fingerprint.with_next(table(spark, sf_dir, "documents"))
