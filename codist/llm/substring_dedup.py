@@ -35,6 +35,18 @@ HOT_BITS = 16
 LAST = np.iinfo(np.int64).max
 
 
+def sliding_argmin(x: np.ndarray, span: int) -> np.ndarray:
+    """Place of the first least number of each ``span`` consecutive ones, by doubling."""
+    at, size = np.arange(len(x)), 1
+    while size < span:
+        step = min(size, span - size)
+        later = x[step:] < x[:-step]
+        x = np.where(later, x[step:], x[:-step])
+        at = np.where(later, at[step:], at[:-step])
+        size += step
+    return at
+
+
 class Segments:
     """Maximal runs of windows with one anchor: first word, number of windows, anchor, document."""
 
@@ -46,7 +58,7 @@ class Segments:
             return
         grams = window_hashes(hashes, anchor)
         span = window - anchor + 1
-        at = np.lib.stride_tricks.sliding_window_view(grams, span).argmin(axis=1) + np.arange(len(self.hash))
+        at = sliding_argmin(grams, span)
         s = np.flatnonzero(whole(words.first, len(self.hash), window))
         if not len(s):
             return
