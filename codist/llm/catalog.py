@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, chat, decontaminate, fingerprint, jaccard_join, langid, substring_dedup, token_files
+from . import bpe, chat, decontaminate, fingerprint, jaccard_join, katz, langid, substring_dedup, token_files
 from .storage import parallelism
 
 BYTE_BPE, WORD_BPE = "byte_bpe_50k.json", "word_bpe_49k.json"
@@ -129,6 +129,10 @@ def op5_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_join.near_duplicates(table(spark, sf_dir, "documents"))
 
 
+def op6_katz(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return katz.score(table(spark, sf_dir, "documents"), langid.fold("doc_id", 7) != 2)
+
+
 def op7_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     return substring_dedup.remove_repeats(docs).select("doc_id", "n_words", "n_removed", F.sha2("kept", 256).alias("kept_sha256"))
@@ -148,6 +152,6 @@ def op10_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.mapInArrow(compared, "doc_id bigint, n_chars bigint, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double")
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_bpe, op2_chat, op3_decontaminate, op4_language, op5_jaccard, op7_substrings, op8_token_files, op10_fingerprint)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_bpe, op2_chat, op3_decontaminate, op4_language, op5_jaccard, op6_katz, op7_substrings, op8_token_files, op10_fingerprint)}
 
 ORACLES: dict[str, str] = {"op2_chat": OP2_SQL}
