@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, chat, decontaminate, fingerprint, jaccard_join, katz, langid, substring_dedup, token_files
+from . import bpe, chat, decontaminate, fingerprint, jaccard_join, katz, langid, substring_dedup, token_files, warc
 from .storage import parallelism
 
 BYTE_BPE, WORD_BPE = "byte_bpe_50k.json", "word_bpe_49k.json"
@@ -146,12 +146,45 @@ def op8_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.token_offsets(spark, path)
 
 
+WARC_FILE_BYTES = 16 << 20
+
+
+def op9_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Writes all pages as WARC files twice, the second time with a changed byte in every 97th record, and audits the replicas."""
+    pages = table(spark, sf_dir, "pages").select("page_id", "url", F.coalesce("html", F.lit("")).alias("html"))
+    files = warc.n_files(pages, "html", WARC_FILE_BYTES)
+    spoilt = F.when((F.pmod("page_id", F.lit(97)) == 5) & (F.length("html") > 0), F.concat(F.lit("#"), F.expr("substring(html, 2)"))).otherwise(F.col("html"))
+    one, two = warc.new_folder(spark), warc.new_folder(spark)
+    warc.write_warc(pages, one, files)
+    warc.write_warc(pages.withColumn("html", spoilt), two, files)
+    records, bad = warc.audit(spark, one, two)
+    page = F.regexp_extract("record_id", "(-?[0-9]+)>$", 1).cast("bigint")
+    return records.join(bad.select("file", "idx", "status"), ["file", "idx"], "left").select(page.alias("page_id"), F.col("file").cast("bigint").alias("file"), F.col("start").alias("offset"), (F.col("stop") - F.col("start")).alias("length"), F.col("sha256").alias("record_sha256"), F.coalesce("status", F.lit("intact")).alias("status"))
+
+
+OP9_SQL = r"""
+WITH f AS (SELECT greatest(1, -((-sum(octet_length(encode(coalesce(html, ''))))) // 16777216))::BIGINT AS files FROM pages),
+r AS (
+  SELECT page_id, page_id % files AS file, coalesce(html, '') AS html,
+         'WARC/1.0' || chr(13) || chr(10) || 'WARC-Type: resource' || chr(13) || chr(10) || 'WARC-Record-ID: <urn:page:' || page_id || '>' || chr(13) || chr(10)
+         || 'WARC-Target-URI: ' || coalesce(url, '') || chr(13) || chr(10) || 'Content-Type: text/html' || chr(13) || chr(10) || 'Content-Length: '
+         || octet_length(encode(coalesce(html, ''))) || chr(13) || chr(10) || chr(13) || chr(10) || coalesce(html, '') || chr(13) || chr(10) || chr(13) || chr(10) AS rec
+  FROM pages, f
+)
+SELECT page_id, file::BIGINT AS file,
+       (sum(octet_length(encode(rec))) OVER (PARTITION BY file ORDER BY page_id) - octet_length(encode(rec)))::BIGINT AS "offset",
+       octet_length(encode(rec))::BIGINT AS length, sha256(rec) AS record_sha256,
+       CASE WHEN page_id % 97 = 5 AND html <> '' AND substr(html, 1, 1) <> '#' THEN 'changed' ELSE 'intact' END AS status
+FROM r
+"""
+
+
 def op10_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
     fingerprint.ship(spark)
     rows = fingerprint.with_next(table(spark, sf_dir, "documents"))
     return rows.mapInArrow(compared, "doc_id bigint, n_chars bigint, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double")
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_bpe, op2_chat, op3_decontaminate, op4_language, op5_jaccard, op6_katz, op7_substrings, op8_token_files, op10_fingerprint)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_bpe, op2_chat, op3_decontaminate, op4_language, op5_jaccard, op6_katz, op7_substrings, op8_token_files, op9_warc, op10_fingerprint)}
 
-ORACLES: dict[str, str] = {"op2_chat": OP2_SQL}
+ORACLES: dict[str, str] = {"op2_chat": OP2_SQL, "op9_warc": OP9_SQL}

@@ -8,6 +8,7 @@ import io
 import tempfile
 import uuid
 import zipfile
+from collections.abc import Iterator
 from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
@@ -66,10 +67,22 @@ def stored(df: DataFrame, bucket_by: str | None = None, buckets: int | None = No
     return spark.read.schema(df.schema).parquet(path)
 
 
-def release() -> None:
-    """Drops every table that ``stored`` has written; results not yet computed from them are lost."""
-    while _written:
-        spark, name, path = _written.pop()
+@contextlib.contextmanager
+def recorded() -> Iterator[list]:
+    """Gathers the tables that are written within, for ``release``."""
+    before, tables = len(_written), []
+    try:
+        yield tables
+    finally:
+        tables.extend(_written[before:])
+
+
+def release(tables: list | None = None) -> None:
+    """Drops tables that ``stored`` has written, or all; results not yet computed from them are lost."""
+    for held in list(_written if tables is None else tables):
+        if held in _written:
+            _written.remove(held)
+        spark, name, path = held
         with contextlib.suppress(Exception):
             if name:
                 spark.sql(f"DROP TABLE IF EXISTS {name}")
