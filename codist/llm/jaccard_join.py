@@ -7,13 +7,15 @@ are found in two steps, and both verify what they propose:
   all of any group of near copies into one component at linear cost;
 * then comes the exact step. Two sets with similarity t share one of the first n - ceil(t n) + 1 of
   their elements in any common order; rare elements come first, by a count sketch over all documents.
-  Elements go to tiles. In a tile, members of one element are sorted by size and compared within
-  their size band only, and only across components: pairs inside one component are linked already,
-  so a group of near copies never gives all its pairs.
+  Classes that share such an element across components make a neighbourhood. Its members are dealt
+  into tiles by size band, split by hash where a band has many, and pairs of tiles of the same or of
+  adjacent bands are compared by bitmap signatures. Pairs inside one component are linked already and
+  skipped, and only pairs that the bit counts allow leave a tile, so a group of near copies never
+  gives all its pairs.
 
-A proposed pair is first bounded by bitmap signatures as wide as the size band of the set asks for:
-bits are parities of the elements hashed to them, so the bits that differ are at most the elements
-that differ, whatever the sizes. Pairs that pass are intersected exactly, as sorted arrays of 64-bit hashes.
+Signatures are as wide as the size band of the set asks for. Their bits are parities of the elements
+hashed to them, so the bits that differ are at most the elements that differ, whatever the sizes, and
+bound the overlap from above. Pairs that pass are intersected exactly, as sorted arrays of 64-bit hashes.
 
 Edges: null text or text without words is an empty set and linked with nothing; fewer than n words
 make one element; rows with one id are one node; null ids are kept and get the class's least id;
@@ -109,31 +111,64 @@ def _grouped(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return order, np.stack([cut[big], cut[big + 1]], axis=1)
 
 
-def tile_pairs(keys, ids, labels, sizes, places, like: Similarity) -> np.ndarray:
-    """Pairs of ids of different components that share a key and that sizes and places of the key allow."""
+def neighbours(keys, ids, labels) -> tuple[np.ndarray, np.ndarray]:
+    """Members of keys that several components share, and for each the least id that such keys join it with."""
     order, groups = _grouped(keys)
-    found = []
+    held: dict[int, int] = {}
+
+    def root(i: int) -> int:
+        while held[i] != i:
+            held[i] = i = held[held[i]]
+        return i
+
     for a, b in groups.tolist():
         mine = order[a:b]
         label = labels[mine]
         if (label == label[0]).all():
             continue
-        mine = mine[np.lexsort((ids[mine], sizes[mine]))]
-        label, size, place, name = labels[mine], sizes[mine], places[mine], ids[mine]
-        kinds, kind, count = np.unique(label, return_inverse=True, return_counts=True)
-        main = kind == count.argmax()
-        # members of the largest component only meet the others; the others meet everything
-        for i in np.flatnonzero(~main).tolist():
-            low, high = np.searchsorted(size, -(-like.percent * size[i] // 100)), np.searchsorted(size, size[i] * 100 // like.percent, side="right")
-            j = np.arange(low, high)
-            j = j[(label[j] != label[i]) & (main[j] | (j > i))]
-            most = np.minimum(place[i], place[j]) + 1 + np.minimum(size[i] - place[i], size[j] - place[j]) - 1
-            j = j[like.linked(most, size[i], size[j])]
+        names = ids[mine].tolist()
+        least = min(root(held.setdefault(i, i)) for i in names)
+        for i in names:
+            held[root(i)] = least
+    return np.fromiter(held, dtype=np.int64, count=len(held)), np.array([root(i) for i in held], dtype=np.int64)
+
+
+def folded(signatures: list[bytes], width: int) -> np.ndarray:
+    """Signatures as rows of ``width`` 64-bit words, none being narrower."""
+    out = np.empty((len(signatures), width), dtype=U)
+    for k, x in enumerate(signatures):
+        held = np.frombuffer(x, dtype=U)
+        out[k] = held if len(held) == width else np.bitwise_xor.reduce(held.reshape(-1, width), axis=0)
+    return out
+
+
+def compared(x, y, same: bool, like: Similarity) -> list[np.ndarray]:
+    """Places (i, j) of the members of two tiles that sizes and signatures allow and that are of different components.
+
+    x and y: (sizes, labels, signatures); ``same``: both are one tile, whose pairs are taken once.
+    """
+    out = []
+    widths = np.array([len(s) // 8 for s in y[2]])
+    rows: dict[tuple[int, int], np.ndarray] = {}
+    for w in np.unique(widths).tolist():
+        at = np.flatnonzero(widths == w)
+        for i in range(len(x[0])):
+            own = len(x[2][i]) // 8
+            j = at[(at > i)] if same else at
+            j = j[like.sizes(x[0][i], y[0][j]) & (x[1][i] != y[1][j])]
+            if not len(j):
+                continue
+            narrow = min(own, w)
+            if (w, narrow) not in rows:
+                held = np.empty((len(widths), narrow), dtype=U)
+                held[at] = folded([y[2][k] for k in at.tolist()], narrow)
+                rows[w, narrow] = held
+            apart = np.bitwise_count(rows[w, narrow][j] ^ folded([x[2][i]], narrow)).sum(axis=1, dtype=np.int64)
+            n, m = int(x[0][i]), y[0][j].astype(np.int64)
+            j = j[like.linked((n + m - apart) // 2, n, m)]
             if len(j):
-                found.append(np.stack([np.minimum(name[i], name[j]), np.maximum(name[i], name[j])], axis=1))
-        if len(found) > 4096:
-            found = [np.unique(np.concatenate(found), axis=0)]
-    return np.unique(np.concatenate(found), axis=0) if found else np.zeros((0, 2), dtype=np.int64)
+                out.append(np.stack([np.full(len(j), i), j], axis=1))
+    return out
 
 
 class JaccardJoin:
@@ -267,8 +302,8 @@ class JaccardJoin:
         first = rows.groupBy("j", "key").agg(F.min("id").alias("pivot"), F.count("*").alias("k")).where("k > 1").drop("k")
         return rows.join(first, ["j", "key"]).where("pivot <> id").select(F.col("pivot").alias("a"), F.col("id").alias("b")).distinct()
 
-    def tiles(self, classes: DataFrame, labels: DataFrame) -> DataFrame:
-        """Pairs (a, b) across components that share an element of both prefixes."""
+    def neighbourhoods(self, classes: DataFrame, labels: DataFrame) -> DataFrame:
+        """Pairs (a, b) that join all members of prefix elements shared across components, a star for each part of the elements."""
         n, like, parts = self.n, self.like, self.parts
         levels = self.spark.sparkContext.broadcast(self.frequencies())
         wanted = classes.select("block", "id").join(labels, "id", "left").select("block", "id", F.coalesce("label", "id").alias("label"))
@@ -279,19 +314,17 @@ class JaccardJoin:
                 label = dict(zip(wanted.column("id").to_pylist(), wanted.column("label").to_pylist()))
                 table = from_ipc(block.column("rows")[0].as_py())
                 table = table.filter(pc.is_in(table.column("id"), wanted.column("id").combine_chunks()))
-                keys, doc, place, info = [], [], [], []
+                keys, doc, info = [], [], []
                 for k, (i, s) in enumerate(zip(table.column("id").to_pylist(), shingle_sets(table.column("text"), n))):
-                    info.append((i, label[i], len(s)))
+                    info.append((i, label[i]))
                     if len(s):
                         rank = (levels.value[(s >> U(64 - SKETCH_BITS)).astype(np.int64)].astype(U) << U(56)) | (mixed(s) >> U(8))
                         m = like.prefix(len(s))
                         first = np.argpartition(rank, m - 1)[:m] if m < len(s) else np.arange(len(s))
-                        first = first[np.argsort(rank[first])]
                         keys.append(s[first])
-                        doc.append(np.full(m, k, dtype=np.uint32))
-                        place.append(np.arange(m, dtype=np.uint32))
+                        doc.append(np.full(len(first), k, dtype=np.uint32))
                 if keys:
-                    keys, doc, place = np.concatenate(keys), np.concatenate(doc), np.concatenate(place)
+                    keys, doc = np.concatenate(keys), np.concatenate(doc)
                     info = np.array(info, dtype=np.int64)
                     order, begin = split_requests((mixed(keys + U(11)) % U(parts)).astype(np.int64), parts)
                     for p in range(parts):
@@ -299,33 +332,66 @@ class JaccardJoin:
                         if len(mine):
                             used, where = np.unique(doc[mine], return_inverse=True)
                             out["part"].append(p)
-                            out["body"].append(_joined(pack(keys[mine]), pack(where.astype(np.uint32)), pack(place[mine]), pack(info[used].reshape(-1))))
+                            out["body"].append(_joined(pack(keys[mine]), pack(where.astype(np.uint32)), pack(info[used].reshape(-1))))
                 trim()
             return pa.table({"part": pa.array(out["part"], pa.int32()), "body": pa.array(out["body"], pa.binary())})
 
-        def tile(table: pa.Table) -> pa.Table:
-            keys, ids, labels, sizes, places = [], [], [], [], []
+        def join(table: pa.Table) -> pa.Table:
+            keys, ids, labels = [], [], []
             for body in table.column("body").to_pylist():
-                key, where, place, info = (unpack(x, t) for x, t in zip(_split(body), (U, np.uint32, np.uint32, np.int64)))
-                info = info.reshape(-1, 3)[where]
+                key, where, info = (unpack(x, t) for x, t in zip(_split(body), (U, np.uint32, np.int64)))
+                info = info.reshape(-1, 2)[where]
                 keys.append(key)
                 ids.append(info[:, 0])
                 labels.append(info[:, 1])
-                sizes.append(info[:, 2])
-                places.append(place.astype(np.int64))
-            pairs = tile_pairs(*(np.concatenate(x) for x in (keys, ids, labels, sizes, places)), like)
+            b, a = neighbours(*(np.concatenate(x) for x in (keys, ids, labels)))
             trim()
-            return pa.table({"a": pa.array(pairs[:, 0]), "b": pa.array(pairs[:, 1])})
+            return pa.table({"a": pa.array(a), "b": pa.array(b)})
 
         held = self.packed.select("block", "rows").groupBy("block").cogroup(wanted.groupBy("block")).applyInArrow(prefixes, "part int, body binary")
-        return held.groupBy("part").applyInArrow(tile, "a bigint, b bigint").distinct()
+        return held.groupBy("part").applyInArrow(join, "a bigint, b bigint").distinct()
+
+    def tiles(self, classes: DataFrame, labels: DataFrame, tile_rows: int = 2048) -> DataFrame:
+        """Pairs (a, b, block_a, block_b) across components that sizes and signatures allow."""
+        like = self.like
+        links = stored(self.neighbourhoods(classes, labels))
+        groups = components(links).withColumnRenamed("label", "hood")
+        rows = classes.select("id", "block", "n", "signature").join(groups, "id").join(labels, "id", "left")
+        rows = rows.withColumn("label", F.coalesce("label", "id")).withColumn("band", F.floor(F.log("n") / F.log(F.lit(100 / like.percent)) + 1e-9).cast("int"))
+        counts = rows.groupBy("hood", "band").agg(F.ceil(F.count("*") / tile_rows).cast("int").alias("subs"))
+        # what a tile meets: the other tiles of its band, and those of the bands above and below
+        other = lambda d: counts.select("hood", (F.col("band") - d).alias("band"), F.col("subs").alias(f"subs{d}"))
+        met = rows.join(counts, ["hood", "band"]).join(other(1), ["hood", "band"], "left").join(other(-1), ["hood", "band"], "left")
+        met = met.withColumn("sub", F.pmod(F.xxhash64("id"), F.col("subs")).cast("int"))
+        subs = lambda c: F.when(F.coalesce(c, F.lit(0)) > 0, F.sequence(F.lit(0), F.coalesce(c, F.lit(1)) - 1)).otherwise(F.array().cast("array<int>"))
+        key = lambda b, s, c, t, side: F.struct(b.alias("band"), s.alias("s"), c.alias("other"), t.alias("t"), F.lit(side).alias("side"))
+        b, s = F.col("band"), F.col("sub")
+        places = F.concat(
+            F.transform(F.filter(subs(F.col("subs")), lambda t: t >= s), lambda t: key(b, s, b, t, 0)),
+            F.transform(F.filter(subs(F.col("subs")), lambda t: t < s), lambda t: key(b, t, b, s, 1)),
+            F.transform(subs(F.col("subs1")), lambda t: key(b, s, b + 1, t, 0)),
+            F.transform(subs(F.col("subs-1")), lambda t: key(b - 1, t, b, s, 1)),
+        )
+        dealt = met.select("hood", "id", "block", "n", "label", "signature", F.explode(places).alias("p")).select("hood", "p.*", "id", "block", "n", "label", "signature")
+
+        def compare(table: pa.Table) -> pa.Table:
+            side = table.column("side").to_numpy()
+            same = table.column("band")[0].as_py() == table.column("other")[0].as_py() and table.column("s")[0].as_py() == table.column("t")[0].as_py()
+            x, y = table.filter(pa.array(side == 0)), table.filter(pa.array((side == 0) if same else (side == 1)))
+            of = lambda t: (t.column("n").to_numpy().astype(np.int64), t.column("label").to_numpy(), t.column("signature").to_pylist())
+            found = compared(of(x), of(y), same, like) if x.num_rows and y.num_rows else []
+            at = np.concatenate(found) if found else np.zeros((0, 2), dtype=np.int64)
+            i, j = x.take(pa.array(at[:, 0])), y.take(pa.array(at[:, 1]))
+            return pa.table({"a": i.column("id"), "b": j.column("id"), "block_a": i.column("block"), "block_b": j.column("block")})
+
+        return dealt.groupBy("hood", "band", "s", "other", "t").applyInArrow(compare, "a bigint, b bigint, block_a bigint, block_b bigint")
 
     def run(self) -> DataFrame:
         """(id, n_shingles, component_id, n_equal: rows with the same set) for each row."""
         classes = self.classes()
         near = stored(self.verified(self.bounded(self.pivots(classes), classes)))
         labels = components(near)
-        rest = self.verified(self.bounded(self.tiles(classes, labels), classes))
+        rest = self.verified(self.tiles(classes, labels))
         labels = components(near.unionByName(rest))
         groups = self.facts.where("n > 0").groupBy("n", "h1", "h2").count()
         named = classes.select("n", "h1", "h2", "id").join(groups, ["n", "h1", "h2"]).join(labels, "id", "left").select(F.col("n").alias("_n"), F.col("h1").alias("_h1"), F.col("h2").alias("_h2"), F.coalesce("label", "id").alias("component_id"), F.col("count").alias("n_equal"))
