@@ -26,7 +26,7 @@ import zlib
 from collections import defaultdict
 from collections.abc import Iterator
 from functools import lru_cache
-from itertools import count
+from itertools import chain, count, islice
 
 import numpy as np
 import pyarrow as pa
@@ -34,7 +34,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .blocks import ASKED, document_blocks, numbered, pack, pack_words, per_part, split_requests, unpack, unpack_words
+from .blocks import ASKED, document_blocks, numbered, pack, pack_words, per_part, split_requests, trim, unpack, unpack_words
 from .storage import parallelism, ship, stored
 
 # The characters with the White_Space property, and the clitics and
@@ -204,6 +204,59 @@ def encode(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: st
     return got.select(F.col("id").alias(id_col), F.col("ids").alias(out))
 
 
+class LocalTable:
+    """A word table of one task: each word is encoded when the task first meets it. It begins anew at ``most`` words."""
+
+    def __init__(self, config: str, most: int = 1 << 19):
+        self.config, self.split, self.most = config, splitter(config), most
+        self._clear()
+
+    def _clear(self) -> None:
+        self.codes = defaultdict(count().__next__)
+        self.words: list[str] = []
+        self.size, self.flat, self.end = np.zeros(0, np.int64), np.zeros(0, np.int32), 0
+
+    def encode(self, texts: list[str | None]) -> pa.ListArray:
+        if len(self.codes) > self.most:
+            self._clear()
+        known, cut = len(self.codes), [self.split(x or "") for x in texts]
+        code = np.concatenate([np.fromiter(map(self.codes.__getitem__, w), dtype=np.int64, count=len(w)) for w in cut])
+        fresh = list(islice(self.codes, known, None))
+        if fresh:
+            ids = list(encode_words(self.config, fresh))
+            self.size = np.concatenate([self.size, np.fromiter(map(len, ids), dtype=np.int64, count=len(ids))])
+            self.flat = np.concatenate([self.flat, np.fromiter(chain.from_iterable(ids), dtype=np.int32)])
+        begin = np.cumsum(self.size) - self.size
+        size = self.size[code]
+        ends = np.concatenate([[0], np.cumsum(size)])[np.concatenate([[0], np.cumsum([len(w) for w in cut])])]
+        return pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(self.flat[gathered(begin[code], size)]))
+
+
+def encode_in_place(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: str = "text", out: str = "ids", last: int | None = None) -> DataFrame:
+    """As ``encode``, in one pass without any exchange, with a word table for each task; ``last`` is appended to every document's ids.
+
+    Each task encodes its own distinct words, so this costs least where the ids go on to storage.
+    """
+    spark = ship(docs.sparkSession)
+    with open(tokenizer, encoding="utf-8") as f:
+        config = spark.sparkContext.broadcast(f.read())
+    docs = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table = LocalTable(config.value)
+        for batch in batches:
+            for i in range(0, batch.num_rows, 512):
+                part = batch.slice(i, 512)
+                ids = table.encode(part.column("text").to_pylist())
+                if last is not None:
+                    at = ids.offsets.to_numpy()
+                    ids = pa.ListArray.from_arrays(pa.array(at + np.arange(len(at), dtype=np.int32)), pa.array(np.insert(ids.values.to_numpy(), at[1:], last).astype(np.int32)))
+                yield pa.RecordBatch.from_arrays([part.column("id"), ids], names=["id", "ids"])
+        trim()
+
+    return docs.mapInArrow(run, f"id {docs.schema['id'].dataType.simpleString()}, ids array<int>").toDF(id_col, out)
+
+
 def gathered(begin: np.ndarray, size: np.ndarray) -> np.ndarray:
     """begin[0], begin[0]+1, ... size[0] of them, then those from begin[1] on, and so on."""
     size = size.astype(np.int64)

@@ -140,7 +140,7 @@ def op7_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op8_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
-    ids = bpe.encode(docs, tokenizer_path(WORD_BPE)).withColumn("ids", F.concat("ids", F.array(F.lit(1))))
+    ids = bpe.encode_in_place(docs, tokenizer_path(WORD_BPE), last=1)
     path = token_files.new_folder(spark)
     token_files.write_tokens(ids, path, token_files.range_bounds(docs, "doc_id", parallelism(spark)), vocabulary=49408)
     return token_files.token_offsets(spark, path)
@@ -150,13 +150,13 @@ WARC_FILE_BYTES = 16 << 20
 
 
 def op9_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Writes all pages as WARC files twice, the second time with a changed byte in every 97th record, and audits the replicas."""
-    pages = table(spark, sf_dir, "pages").select("page_id", "url", F.coalesce("html", F.lit("")).alias("html"))
+    """Writes all pages as two replicas of WARC files, the second with a changed byte in every 97th record, and audits them."""
+    pages = table(spark, sf_dir, "pages").select("page_id", "url", "html")
     files = warc.n_files(pages, "html", WARC_FILE_BYTES)
-    spoilt = F.when((F.pmod("page_id", F.lit(97)) == 5) & (F.length("html") > 0), F.concat(F.lit("#"), F.expr("substring(html, 2)"))).otherwise(F.col("html"))
-    one, two = warc.new_folder(spark), warc.new_folder(spark)
-    warc.write_warc(pages, one, files)
-    warc.write_warc(pages.withColumn("html", spoilt), two, files)
+    spoilt = (F.pmod("page_id", F.lit(97)) == 5) & (F.length("html") > 0)
+    folder = warc.new_folder(spark)
+    warc.write_warc(pages, folder, files, replicas=2, spoilt=spoilt)
+    one, two = f"{folder}/replica=0", f"{folder}/replica=1"
     records, bad = warc.audit(spark, one, two)
     page = F.regexp_extract("record_id", "(-?[0-9]+)>$", 1).cast("bigint")
     return records.join(bad.select("file", "idx", "status"), ["file", "idx"], "left").select(page.alias("page_id"), F.col("file").cast("bigint").alias("file"), F.col("start").alias("offset"), (F.col("stop") - F.col("start")).alias("length"), F.col("sha256").alias("record_sha256"), F.coalesce("status", F.lit("intact")).alias("status"))

@@ -12,6 +12,7 @@ columns are ignored.
 
 from __future__ import annotations
 
+import gzip
 import hashlib
 import uuid
 from collections.abc import Iterator
@@ -49,14 +50,20 @@ def n_files(records: DataFrame, payload: str, file_bytes: int) -> int:
     return max(1, -(-total // file_bytes))
 
 
-def write_warc(records: DataFrame, path: str, files: int, id_col: str = "page_id", uri_col: str = "url", payload_col: str = "html") -> None:
-    """One file in a folder of its own for each of ``files`` remainders of the id, records in order of id.
+def write_warc(records: DataFrame, path: str, files: int, id_col: str = "page_id", uri_col: str = "url", payload_col: str = "html", replicas: int = 1, spoilt: Column | None = None) -> None:
+    """Below a folder for each replica, one compressed file in a folder of its own for each of ``files`` remainders of the id.
 
-    The line separator of Spark's text writer is what ends a record, so its files are WARC files.
+    Records are in order of id. The line separator of Spark's text writer is what ends a record, so its
+    files are WARC files. Records are dealt out once, whatever the number of replicas; where ``spoilt``
+    holds, all replicas but the first get a record whose payload begins with a wrong byte, for tests.
     """
-    rows = records.select(record(F.col(id_col), F.col(uri_col), F.col(payload_col)).alias("value"), F.coalesce(F.pmod(F.col(id_col), F.lit(files)), F.lit(0)).cast("int").alias("file"), F.col(id_col).alias("_id"))
-    dealt = rows.repartition(files, "file").sortWithinPartitions("file", F.asc_nulls_first("_id"), "value")
-    dealt.select("value", "file").write.partitionBy("file").option("lineSep", END).text(path)
+    rows = records.select(record(F.col(id_col), F.col(uri_col), F.col(payload_col)).alias("value"), F.coalesce(F.pmod(F.col(id_col), F.lit(files)), F.lit(0)).cast("int").alias("file"), F.col(id_col).alias("_id"), F.coalesce(spoilt if spoilt is not None else F.lit(False), F.lit(False)).alias("_bad"))
+    dealt = rows.repartition(files, "file").withColumn("replica", F.explode(F.sequence(F.lit(0), F.lit(replicas - 1)))) if replicas > 1 else rows.repartition(files, "file").withColumn("replica", F.lit(0))
+    head = F.length(F.substring_index("value", END, 1)) + len(END)
+    wrong = F.concat(F.substr("value", F.lit(1), head), F.lit("#"), F.substr("value", head + 2))
+    dealt = dealt.withColumn("value", F.when(F.col("_bad") & (F.col("replica") > 0), wrong).otherwise(F.col("value")))
+    ordered = dealt.sortWithinPartitions("replica", "file", F.asc_nulls_first("_id"), "value")
+    ordered.select("value", "replica", "file").write.partitionBy("replica", "file").option("lineSep", END).option("compression", "gzip").text(path)
 
 
 def new_folder(spark: SparkSession) -> str:
@@ -87,6 +94,7 @@ def leaves(spark: SparkSession, path: str) -> DataFrame:
         for batch in batches:
             for file, content in zip(batch.column("file"), batch.column("content")):
                 raw, rows = content.as_py(), []
+                raw = gzip.decompress(raw) if raw[:2] == b"\x1f\x8b" else raw
                 for i, (start, stop, fields, _) in enumerate(parse(raw)):
                     get = lambda k: fields.get(k, b"").decode("utf-8", "replace")  # noqa: E731, B023
                     rows.append((file.as_py(), i, start, stop, get(b"WARC-Record-ID"), get(b"WARC-Target-URI"), hashlib.sha256(raw[start:stop]).hexdigest()))
