@@ -21,6 +21,18 @@ from pyspark import TaskContext
 BLOCK_BYTES = 8 << 20
 
 
+def _return_large_arrays() -> None:
+    """Has the C library map arrays of over a megabyte one by one, so that they go back to the machine when freed."""
+    try:
+        ctypes.CDLL(None).mallopt(-3, 1 << 20)
+        ctypes.CDLL(None).mallopt(-1, 1 << 20)
+    except (OSError, AttributeError):  # not every C library has it
+        pass
+
+
+_return_large_arrays()
+
+
 def trim() -> None:
     """Gives memory that is free in this process back to the machine, which other tasks need."""
     pa.default_memory_pool().release_unused()

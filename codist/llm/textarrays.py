@@ -89,7 +89,11 @@ class Words:
             filled = at[1:] > at[:-1]
             before[at[:-1][filled]] = False
             after[at[1:][filled] - 1] = False
-            self.start, self.end = np.flatnonzero(inside & ~before), np.flatnonzero(inside & ~after) + 1
+            np.logical_not(before, out=before)
+            np.logical_not(after, out=after)
+            before &= inside
+            after &= inside
+            self.start, self.end = np.flatnonzero(before), np.flatnonzero(after) + 1
         else:
             self.start = self.end = np.zeros(0, dtype=np.int64)
         self.first = np.searchsorted(self.start, at)
