@@ -11,17 +11,28 @@ from .storage import stored
 def components(links: DataFrame) -> DataFrame:
     """(id, label) for each end of a link (a, b): the least id that links lead to.
 
-    Every round takes the least label of the neighbours and then the label of the label, so that
-    distances halve; rounds end when no label changes. Labels are written after each round.
+    Each round points every node to the least of itself and its neighbours and contracts the links to
+    what is pointed to, so that nodes and links shrink by the round. Then pointers are followed from the
+    last round back. All rounds together read a small multiple of the links.
     """
-    both = stored(links.select(F.col("a").alias("id"), F.col("b").alias("other")).union(links.select("b", "a")).where("id <> other").distinct())
-    labels = stored(both.groupBy("id").agg(F.least(F.min("other"), F.min("id")).alias("label")))
+    edges = stored(_both(links))
+    rounds = []
     while True:
-        near = both.join(labels.select(F.col("id").alias("other"), "label"), "other").groupBy("id").agg(F.min("label").alias("near"))
-        one = labels.join(near, "id").select("id", "label", F.least("label", "near").alias("new"))
-        jump = labels.select(F.col("id").alias("new"), F.col("label").alias("far"))
-        now = stored(one.join(jump, "new", "left").select("id", F.least("new", F.coalesce("far", "new")).alias("label"), F.col("label").alias("was")))
-        changed = now.where("label <> was").limit(1).count()
-        labels = now.select("id", "label")
-        if not changed:
-            return labels
+        pointers = stored(edges.groupBy("id").agg(F.least(F.min("other"), F.min("id")).alias("label")))
+        rounds.append(pointers)
+        to = lambda c: pointers.select(F.col("id").alias(c), F.col("label").alias(f"new_{c}"))  # noqa: E731, B023
+        moved = edges.where("id < other").join(to("id"), "id").join(to("other"), "other").select(F.col("new_id").alias("a"), F.col("new_other").alias("b"))
+        edges = stored(_both(moved))
+        if not edges.limit(1).count():
+            break
+    labels = rounds.pop()
+    while rounds:
+        before = rounds.pop()
+        labels = stored(before.join(labels.select(F.col("id").alias("label"), F.col("label").alias("far")), "label", "left").select("id", F.coalesce("far", "label").alias("label")))
+    return labels
+
+
+def _both(links: DataFrame) -> DataFrame:
+    """Distinct links between different nodes, in both directions."""
+    held = links.where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    return held.select(F.explode(F.array(F.struct(F.col("a").alias("id"), F.col("b").alias("other")), F.struct(F.col("b").alias("id"), F.col("a").alias("other")))).alias("e")).select("e.*")
