@@ -80,18 +80,18 @@ def unpack_words(held: bytes) -> list[bytes]:
     return out
 
 
-def document_blocks(batches: Iterator[pa.RecordBatch], text: str) -> Iterator[pa.Table]:
-    """The task's rows in tables of about BLOCK_BYTES of text."""
+def document_blocks(batches: Iterator[pa.RecordBatch], text: str, most: int = BLOCK_BYTES) -> Iterator[pa.Table]:
+    """The task's rows in tables of about ``most`` bytes of text."""
     held, size = [], 0
     for batch in batches:
         i = 0
         at = np.cumsum(np.concatenate([[0], np.nan_to_num(pc.binary_length(batch.column(text)).to_numpy(zero_copy_only=False)).astype(np.int64)]))
         while i < batch.num_rows:
-            j = min(batch.num_rows, max(i + 1, int(np.searchsorted(at, at[i] + BLOCK_BYTES - size, side="right")) - 1))
+            j = min(batch.num_rows, max(i + 1, int(np.searchsorted(at, at[i] + most - size, side="right")) - 1))
             held.append(batch.slice(i, j - i))
             size += int(at[j] - at[i])
             i = j
-            if size >= BLOCK_BYTES * 0.9:
+            if size >= most * 0.9:
                 block = pa.Table.from_batches(held)
                 held, size = [], 0
                 yield block

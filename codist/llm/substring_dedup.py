@@ -30,14 +30,15 @@ from .fm_index import FMIndex
 from .storage import parallelism, ship, stored
 from .textarrays import NON_SPACE, U, Words, mixed, texts_of, whole, window_hashes
 
-SHARD_WORDS = 1 << 20
+SHARD_WORDS = 1 << 19
+BLOCK_BYTES = 4 << 20
 HOT_BITS = 16
 LAST = np.iinfo(np.int64).max
 
 
 def sliding_argmin(x: np.ndarray, span: int) -> np.ndarray:
     """Place of the first least number of each ``span`` consecutive ones, by doubling."""
-    at, size = np.arange(len(x)), 1
+    at, size = np.arange(len(x), dtype=np.int32), 1
     while size < span:
         step = min(size, span - size)
         later = x[step:] < x[:-step]
@@ -171,7 +172,7 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
         return words, hashes, Segments(words, hashes, window, anchor)
 
     def cut(batches):
-        for block, table in numbered(document_blocks(batches, "_text")):
+        for block, table in numbered(document_blocks(batches, "_text", BLOCK_BYTES)):
             found, ids = segments(table)[2], _ids(table)
             doc = ids[found.doc]
             key, low, high, n = least(found.anchor, (doc, np.minimum), (doc, np.maximum), (np.ones(len(doc), np.int64), np.add))
