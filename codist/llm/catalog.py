@@ -140,9 +140,9 @@ def op7_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op8_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
-    ids = bpe.encode_in_place(docs, tokenizer_path(WORD_BPE), last=1)
+    ids = bpe.encode_in_place(docs, tokenizer_path(WORD_BPE), last=1, narrow=True)
     path = token_files.new_folder(spark)
-    token_files.write_tokens(ids, path, token_files.range_bounds(docs, "doc_id", parallelism(spark)), vocabulary=49408)
+    token_files.write_tokens(ids, path, token_files.range_bounds(docs, "doc_id", parallelism(spark)))
     return token_files.token_offsets(spark, path)
 
 

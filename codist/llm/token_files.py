@@ -47,12 +47,12 @@ def new_folder(spark: SparkSession) -> str:
     return path
 
 
-def write_tokens(tokens: DataFrame, path: str, bounds: list[int], id_col: str = "doc_id", ids_col: str = "ids", vocabulary: int | None = None, stripe_bytes: int = 16 << 20, index_stride: int = 1000) -> None:
-    """``vocabulary``: how many ids there are, if known; up to 65,536, they are dealt out as 16-bit numbers."""
-    narrow = vocabulary is not None and vocabulary <= 1 << 16
-    rows = tokens.select(F.col(id_col).cast("bigint").alias("doc_id"), F.coalesce(ids_col, F.array().cast("array<int>")).alias("ids"))
+def write_tokens(tokens: DataFrame, path: str, bounds: list[int], id_col: str = "doc_id", ids_col: str = "ids", stripe_bytes: int = 16 << 20, index_stride: int = 1000) -> None:
+    """``ids_col`` holds ids or, as 16-bit numbers, ids less 32,768, which are dealt out at half the size and widened after."""
+    narrow = tokens.schema[ids_col].dataType.elementType.simpleString() == "smallint"
+    rows = tokens.select(F.col(id_col).cast("bigint").alias("doc_id"), F.coalesce(ids_col, F.array().cast("array<smallint>" if narrow else "array<int>")).alias("ids"))
     order = F.xxhash64("ids").alias("order")
-    rows = rows.select("doc_id", F.size("ids").alias("n_tokens"), F.transform("ids", lambda x: (x - 32768).cast("smallint")).alias("ids") if narrow else F.col("ids"), bucket_of("doc_id", bounds).alias("bucket"), order)
+    rows = rows.select("doc_id", F.size("ids").alias("n_tokens"), "ids", bucket_of("doc_id", bounds).alias("bucket"), order)
     dealt = rows.repartition(max(len(bounds) + 1, parallelism(tokens.sparkSession)), "bucket")
     ordered = dealt.sortWithinPartitions("bucket", "doc_id", "order").drop("order")
     if narrow:
