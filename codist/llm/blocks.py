@@ -55,6 +55,15 @@ def unpack(held: bytes, dtype: type) -> np.ndarray:
     return np.ascontiguousarray(planes.T).view(dtype).reshape(-1)
 
 
+def pack_keys(keys: np.ndarray) -> bytes:
+    """64-bit keys in rising order, by their steps."""
+    return pack(np.diff(keys, prepend=np.uint64(0)))
+
+
+def unpack_keys(held: bytes) -> np.ndarray:
+    return np.cumsum(unpack(held, np.uint64), dtype=np.uint64)
+
+
 def pack_bytes(held: bytes) -> bytes:
     return zstandard.ZstdCompressor(level=1).compress(held)
 
