@@ -173,8 +173,11 @@ def encode_words(config: str, words: list[str]) -> tuple[np.ndarray, np.ndarray]
     return sizes, out
 
 
-def encode(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: str = "text", out: str = "ids") -> DataFrame:
-    """(id_col, out array<int>) for each row of ``docs``; ``tokenizer`` is the path of a tokenizers file."""
+def encode(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: str = "text", out: str = "ids", decoded_out: str | None = None) -> DataFrame:
+    """(id_col, out array<int>) for each row of ``docs``; ``tokenizer`` is the path of a tokenizers file.
+
+    ``decoded_out`` names one more column, with the text that the ids decode to.
+    """
     spark = ship(docs.sparkSession)
     parts = parallelism(spark)
     with open(tokenizer, encoding="utf-8") as f:
@@ -239,10 +242,16 @@ def encode(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: st
         ids = np.concatenate(flat)[gathered(begin[code], size[code])].astype(np.int32)
         at = np.concatenate([[0], np.cumsum(unpack(docs.column("size")[0].as_py(), np.uint32), dtype=np.int64)])
         ends = np.concatenate([[0], np.cumsum(size[code])])[at]
-        return pa.table({"id": docs.column("id").combine_chunks().flatten(), "ids": pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(ids))})
+        lists = pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(ids))
+        held = {"id": docs.column("id").combine_chunks().flatten(), "ids": lists}
+        if decoded_out:
+            held["text"] = pa.array(decoded(config.value, lists), pa.string())
+        trim()
+        return pa.table(held)
 
-    got = packed.select("block", "id", "size", "code", "part").groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(join, f"id {id_type}, ids array<int>")
-    return got.select(F.col("id").alias(id_col), F.col("ids").alias(out))
+    kinds = f"id {id_type}, ids array<int>" + ", text string" * bool(decoded_out)
+    got = packed.select("block", "id", "size", "code", "part").groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(join, kinds)
+    return got.toDF(id_col, out, *[decoded_out] * bool(decoded_out))
 
 
 class LocalTable:
@@ -350,7 +359,9 @@ def decode(tokens: DataFrame, tokenizer: str, ids_col: str = "ids", out: str = "
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(decoded(config.value, batch.column(ids_col)), pa.string())], names=[*batch.schema.names, out])
+            for i in range(0, batch.num_rows, 512):
+                part = batch.slice(i, 512)
+                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(decoded(config.value, part.column(ids_col)), pa.string())], names=[*part.schema.names, out])
 
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in tokens.schema.fields)
     return tokens.mapInArrow(run, f"{kinds}, `{out}` string")

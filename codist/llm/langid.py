@@ -159,7 +159,7 @@ class Models:
         out = self.grams[k - 2].rows[np.maximum(row, 0)]
         miss = np.flatnonzero(row < 0)
         if len(miss):
-            out[miss] = self._backed_off(code[miss], k - 1) if k > 2 else np.log2(1 / self.alphabet.size)
+            out[miss] = self._backed_off(code[miss], k - 1) if k > 2 else self.contexts[0].rows[0] - np.float32(np.log2(self.alphabet.size))
         return weight + out
 
     def predict(self, texts: list[str | None]) -> tuple[list[str], np.ndarray, np.ndarray, np.ndarray]:

@@ -77,7 +77,7 @@ def benchmark_decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str)
 def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """(doc_id, n_tokens, ids, text): the ids of each document and the text they decode to."""
     path = tokenizer_path(BYTE_BPE)
-    ids = bpe.decode(bpe.encode(docs, path), path, out="text")
+    ids = bpe.encode(docs, path, decoded_out="text")
     return ids.select("doc_id", F.size("ids").cast("bigint").alias("n_tokens"), "ids", "text")
 
 
