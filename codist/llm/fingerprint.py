@@ -25,8 +25,8 @@ from .storage import parallelism, ship
 from .textarrays import chunks, texts_of
 from .token_files import bucket_of, range_bounds
 
-LEAST, NORMAL, MOST = 16, 48, 192
-_STRICT, _LOOSE = np.uint32(0xFE000000), np.uint32(0xF0000000)
+LEAST, NORMAL, MOST = 8, 24, 96
+_STRICT, _LOOSE = np.uint32(0xFC000000), np.uint32(0xE0000000)
 _GEAR = np.random.Generator(np.random.PCG64(77)).integers(0, 2**32, 256, dtype=np.uint32)
 _WIDTH = 10
 
