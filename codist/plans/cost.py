@@ -74,3 +74,27 @@ def locality(split_entries: DataFrame, slots: int, racks: int, replicas: int = 1
     held = split_entries.groupBy(place.alias("place")).agg(F.count("*").alias("entries"))
     total = F.sum("entries").over(Window.partitionBy())
     return held.select("place", "entries", (F.col("entries") / total).alias("share"), (F.col("entries") * record_bytes * replicas).alias("bytes"))
+
+
+def shuffle_metrics(df: DataFrame) -> list[tuple[str, int, int]]:
+    """Extension: runs the query and gives (exchange, records, bytes) as Spark counted them, in plan order."""
+    run = df._jdf.queryExecution()
+    run.toRdd().count()
+    out: list[tuple[str, int, int]] = []
+
+    def walk(node) -> None:
+        kind = node.getClass().getSimpleName()
+        if kind == "AdaptiveSparkPlanExec":
+            return walk(node.executedPlan())
+        if kind.endswith("QueryStageExec"):
+            return walk(node.plan())
+        if kind == "ShuffleExchangeExec":
+            held = node.metrics()
+            value = lambda k: int(held.apply(k).value())
+            out.append((node.outputPartitioning().toString(), value("shuffleRecordsWritten"), value("shuffleBytesWritten")))
+        for i in range(node.children().size()):
+            walk(node.children().apply(i))
+        return None
+
+    walk(run.executedPlan())
+    return out

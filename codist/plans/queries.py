@@ -384,6 +384,11 @@ def stop_decision(spark, sf_dir):
     return _history(spark, sf_dir, "basket", 3, 0.05).where("stop").agg(F.min("iter").alias("stopped_at"))
 
 
+@query(loop("basket", 4) + ", v AS (" + "WITH " + oracle.history(3, TOL) + ") SELECT iter, round(avg(nll) OVER (ORDER BY iter ROWS BETWEEN 1 PRECEDING AND CURRENT ROW), 5) AS smooth FROM v")
+def history_smooth(spark, sf_dir):
+    return skew.moving_mean(_history(spark, sf_dir, "basket", 3, TOL), 2).select("iter", F.round("smooth", 5).alias("smooth"))
+
+
 # ---------------------------------------------------------------- sharding
 
 MAX_LIST = 100

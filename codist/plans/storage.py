@@ -6,7 +6,9 @@ import atexit
 import contextlib
 import tempfile
 import uuid
+from dataclasses import dataclass
 
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 
 _written: list[tuple[SparkSession, str, str]] = []
@@ -39,6 +41,26 @@ def stored(df: DataFrame, by: str | None = None, path: str | None = None, codec:
     return spark.table(name)
 
 
+@dataclass(frozen=True)
+class StagePolicy:
+    """How a stage's table is kept: written (and how it is compressed), or in memory and on disk in so many replicas.
+
+    One replica is enough for what a loop makes anew each time: if it is lost, it is computed again.
+    Replicas of written tables are the file system's business.
+    """
+
+    written: bool = True
+    codec: str = "zstd"
+    replicas: int = 1
+
+    def keep(self, df: DataFrame, by: str | None = None) -> DataFrame:
+        if self.written:
+            return stored(df, by, codec=self.codec)
+        if self.replicas not in (1, 2):
+            raise ValueError("one replica or two")
+        return df.persist(StorageLevel.MEMORY_AND_DISK if self.replicas == 1 else StorageLevel.MEMORY_AND_DISK_2)
+
+
 def drop(df_path: tuple[SparkSession, str, str]) -> None:
     spark, name, path = df_path
     with contextlib.suppress(Exception):

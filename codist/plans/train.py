@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from ..functions.optim import GradientDescent, Optimizer
 from ..operators import assemble, gradients, objective, params, shard
 from ..operators.objective import StopRule
-from .storage import stored
+from .storage import StagePolicy
 
 #: The general frame: index, bring weights, score each sample alone, sum, update. In order: stage, in the loop.
 STAGES: list[tuple[str, bool]] = [
@@ -68,6 +68,7 @@ def fit(
     materialize: str = "loop",
     final_cost: bool = True,
     timed: bool = False,
+    policy: StagePolicy = StagePolicy(),
 ) -> Fitted:
     """Weights of labelled entries (sample_id, f, x, label).
 
@@ -75,7 +76,7 @@ def fit(
     sample; weights are written bucketed by feature after each iteration. So in the loop the index
     meets weights and residuals without being exchanged again, and plans don't grow. ``form='sufficient'``
     assembles whole samples in every iteration, as for inspection. ``materialize='all'`` also writes the
-    stages in between. On divergence the best version is returned, never a silently smaller rate.
+    stages in between; ``policy`` says how tables are kept. On divergence the best version is returned, never a silently smaller rate.
     """
     spark, optimizer, runs = entries.sparkSession, optimizer or GradientDescent(alpha), []
     entries = entries.where("label is not null")
@@ -84,7 +85,7 @@ def fit(
         began = time.perf_counter()
         out = make()
         if write or materialize == "all":
-            out = stored(out, by)
+            out = policy.keep(out, by)
         elif timed:
             out.write.format("noop").mode("overwrite").save()
         if timed:

@@ -269,3 +269,22 @@ def test_stream_dedup_and_state(spark, tmp_path):
 def test_class_balance(spark):
     df = spark.createDataFrame([(i, int(i % 10 < 5)) for i in range(4000)], "sample_id bigint, label int")
     assert abs(metrics.class_ratio(metrics.class_balanced(df, 3.0)).first()["ratio"] - 3) < 0.4
+
+
+def test_counted_exchanges(rows):
+    """Partial sums move less than lists: the margins' exchange has fewer bytes than the samples'."""
+    met = assemble.distribute(params.init(rows), rows, "broadcast")
+    slim, whole = cost.shuffle_metrics(assemble.margins(met)), cost.shuffle_metrics(assemble.restore(met))
+    assert slim and whole and all(r[1] > 0 and r[2] > 0 for r in slim)
+    assert slim[0][2] < whole[0][2]
+
+
+def test_stage_policies(rows):
+    from codist.plans.storage import StagePolicy
+
+    want = theta(fit(rows, 0.01, 1, final_cost=False).params)
+    for policy in (StagePolicy(codec="none"), StagePolicy(written=False), StagePolicy(written=False, replicas=2)):
+        got = theta(fit(rows, 0.01, 1, final_cost=False, policy=policy).params)
+        assert all(math.isclose(v, want[k]) for k, v in got.items())
+    with pytest.raises(ValueError):
+        StagePolicy(written=False, replicas=3).keep(rows)
