@@ -26,8 +26,9 @@ def counted(samples: DataFrame, partitions: int | None = None, presence: bool =
     Rows are dealt by feature before they are counted: that one exchange serves both the count of
     (feature, sample) and the index by feature.
     """
-    flat = samples.select("sample_id", "label", F.explode("tokens").alias("f"))
-    flat = flat.repartition(partitions, "f") if partitions else flat.repartition("f")
+    # the outer form, as the filter that Spark infers for the other one would cut the texts a second time
+    flat = samples.select("sample_id", "label", F.explode_outer("tokens").alias("f")).where("f IS NOT NULL")
+    flat = flat.repartition(partitions or int(samples.sparkSession.conf.get("spark.sql.shuffle.partitions")), "f")
     x = F.lit(1.0) if presence else F.count("*").cast("double")
     return flat.groupBy("f", "sample_id").agg(F.max("label").alias("label"), (F.max(x) if presence else x).alias("x")).select("sample_id", "f", "x", "label")
 

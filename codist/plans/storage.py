@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import atexit
 import contextlib
+import re
 import tempfile
 import uuid
 from dataclasses import dataclass
@@ -26,6 +27,15 @@ def partitions(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
 
 
+def dealt(df: DataFrame, by: str, n: int) -> bool:
+    """Whether the plan already deals rows by this column into so many partitions that stay as they are."""
+    plan = df._jdf.queryExecution().executedPlan()
+    if plan.getClass().getSimpleName() == "AdaptiveSparkPlanExec":
+        plan = plan.initialPlan()
+    kind = plan.outputPartitioning().toString()
+    return re.fullmatch(rf"hashpartitioning\({re.escape(by)}#\d+L?, {n}\)", kind) is not None and "REPARTITION_BY_NUM" in plan.toString()
+
+
 def stored(df: DataFrame, by: str | None = None, path: str | None = None, codec: str = "zstd") -> DataFrame:
     """Writes and reads back. With ``by``, a table bucketed and sorted by that column, one file a bucket."""
     spark = df.sparkSession
@@ -36,7 +46,8 @@ def stored(df: DataFrame, by: str | None = None, path: str | None = None, codec:
         _written.append((spark, "", path))
         return spark.read.schema(df.schema).parquet(path)
     n = partitions(spark)
-    df.repartition(n, by).write.mode("overwrite").option("compression", codec).bucketBy(n, by).sortBy(by).option("path", path).saveAsTable(name)
+    rows = df if dealt(df, by, n) else df.repartition(n, by)
+    rows.write.mode("overwrite").option("compression", codec).bucketBy(n, by).sortBy(by).option("path", path).saveAsTable(name)
     _written.append((spark, name, path))
     return spark.table(name)
 

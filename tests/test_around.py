@@ -288,3 +288,12 @@ def test_stage_policies(rows):
         assert all(math.isclose(v, want[k]) for k, v in got.items())
     with pytest.raises(ValueError):
         StagePolicy(written=False, replicas=3).keep(rows)
+
+
+def test_counting_and_index_share_an_exchange(spark, sf):
+    from codist.plans.storage import dealt, partitions
+    from codist.plans.workloads import WORKLOADS
+
+    held = WORKLOADS["lang31"].train(spark, sf).select("f", "sample_id", "x", "label")
+    assert dealt(held, "f", partitions(spark)) and plan(held).count("Exchange") == 1
+    assert not dealt(held, "sample_id", partitions(spark)) and not dealt(held.groupBy("f").count(), "f", 999)
