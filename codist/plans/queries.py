@@ -15,6 +15,7 @@ from ..sources import lines, sinks
 from ..streaming import windows
 from . import cost, oracle, train, workloads
 from .oracle import COST, P, loop, predictions, rounded, rounded_scores, scores
+from .shipping import ship
 from .train import Fitted, fit
 from .workloads import PAGE_TEXT, WORKLOADS, read, text_sql
 
@@ -129,6 +130,7 @@ def token_maps(spark, sf_dir):
 
 @query(_STATS.format(text_sql("benchmark", "item_id", "NULL::INT")))
 def udtf_tokens(spark, sf_dir):
+    ship(spark)
     spark.udtf.register("codist_words", featurize.WordCounts)
     read(spark, sf_dir, "benchmark").createOrReplaceTempView("codist_items")
     held = spark.sql("SELECT item_id, w.f, w.x FROM codist_items, LATERAL codist_words(text) AS w")
