@@ -1,20 +1,20 @@
-"""Tables that cut lineage, kept in the folder every executor shares, and shipping of this package."""
+"""Tables that cut lineage, kept in the folder every executor shares."""
 
 from __future__ import annotations
 
 import atexit
 import contextlib
-import io
 import tempfile
 import uuid
-import zipfile
 from collections.abc import Iterator
-from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
+from ..plans.shipping import ship
+
+__all__ = ["parallelism", "recorded", "release", "shared_dir", "ship", "stored"]
+
 _written: list[tuple[SparkSession, str, str]] = []
-_shipped: set[str] = set()
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -27,23 +27,6 @@ def shared_dir(spark: SparkSession) -> str:
     return where.rstrip("/")
 
 
-def ship(spark: SparkSession) -> SparkSession:
-    """Sends this package to the executors once for each application."""
-    app = spark.sparkContext.applicationId
-    if app not in _shipped:
-        root = Path(__file__).resolve().parents[1]
-        held = io.BytesIO()
-        with zipfile.ZipFile(held, "w", zipfile.ZIP_DEFLATED) as z:
-            for p in sorted(root.rglob("*.py")):
-                z.write(p, str(p.relative_to(root.parent)))
-        folder = tempfile.mkdtemp(prefix="codist-")
-        path = Path(folder, f"codist_{uuid.uuid4().hex[:8]}.zip")
-        path.write_bytes(held.getvalue())
-        spark.sparkContext.addPyFile(str(path))
-        _shipped.add(app)
-    return spark
-
-
 def parallelism(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
 
