@@ -78,8 +78,7 @@ def _scan(windows, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
             for a, k, said in windows.hits(words, words.hashes()):
                 doc = int(np.searchsorted(words.first, a, side="right")) - 1
                 marks.setdefault(doc, []).append((a, a + k))
-                (found[i + doc],) = (found[i + doc] or set(),)
-                found[i + doc] |= {x for x in windows.of[k][said] if x is not None}
+                found[i + doc] = (found[i + doc] or set()) | {x for x in windows.of[k][said] if x is not None}
             for doc, ranges in marks.items():
                 first = int(words.first[doc])
                 spans[i + doc] = merged([(a - first, b - first) for a, b in ranges])
@@ -88,7 +87,6 @@ def _scan(windows, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
             "n_words": pa.array(n_words),
             "spans": pa.array([[{"start": a, "end": b} for a, b in x or ()] for x in spans], pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())]))),
             "items": pa.array([sorted(x or ()) for x in found], pa.list_(pa.string())),
-            **({"text": batch.column("text")} if "kept" in batch.schema.names else {}),
         })
 
 
@@ -159,7 +157,7 @@ def remove_documents(docs: DataFrame, benchmark: DataFrame, n: int = 10, id_col:
 
 
 def remove_spans(docs: DataFrame, benchmark: DataFrame, n: int = 10, id_col: str = "doc_id", text_col: str = "text", **names) -> DataFrame:
-    """All documents; from hit texts, the hit words go and the rest of the words is joined by blanks' own text between."""
+    """All documents; from hit texts, each range of hit words goes, and what stands around it stays as it is."""
     spark = ship(docs.sparkSession)
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
     blocks = [spark.sparkContext.broadcast(WindowSet(b, n)) for b in _block_of(benchmark.select(F.col(names.get("item_col", "item_id")).cast("string"), F.coalesce(names.get("item_text", "text"), F.lit(""))).distinct(), n, 5_000_000)]

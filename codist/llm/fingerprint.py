@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .storage import parallelism, ship
-from .textarrays import chunks, texts_of
+from .textarrays import chunks
 from .token_files import bucket_of, range_bounds
 
 LEAST, NORMAL, MOST = 8, 24, 96
