@@ -143,7 +143,7 @@ def op8_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     ids = bpe.encode_in_place(docs, tokenizer_path(WORD_BPE), last=1, narrow=True)
     path = token_files.new_folder(spark)
     token_files.write_tokens(ids, path, token_files.range_bounds(docs, "doc_id", parallelism(spark)))
-    return token_files.token_offsets(spark, path)
+    return token_files.token_offsets(spark, path, narrow=True)
 
 
 WARC_FILE_BYTES = 16 << 20

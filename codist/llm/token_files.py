@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 
 from .storage import _written, parallelism, shared_dir, ship
 
-SCHEMA = "doc_id bigint, n_tokens int, ids array<int>, bucket int"
+SCHEMA = "doc_id bigint, n_tokens int, ids array<{}>, bucket int"
 
 
 def range_bounds(docs: DataFrame, id_col: str, n: int) -> list[int]:
@@ -48,22 +48,22 @@ def new_folder(spark: SparkSession) -> str:
 
 
 def write_tokens(tokens: DataFrame, path: str, bounds: list[int], id_col: str = "doc_id", ids_col: str = "ids", stripe_bytes: int = 16 << 20, index_stride: int = 1000) -> None:
-    """``ids_col`` holds ids or, as 16-bit numbers, ids less 32,768, which are dealt out at half the size and widened after."""
+    """``ids_col`` holds ids or, as 16-bit numbers, ids less 32,768; the files then hold these, and are read as ``narrow``."""
     narrow = tokens.schema[ids_col].dataType.elementType.simpleString() == "smallint"
     rows = tokens.select(F.col(id_col).cast("bigint").alias("doc_id"), F.coalesce(ids_col, F.array().cast("array<smallint>" if narrow else "array<int>")).alias("ids"))
     order = F.xxhash64("ids").alias("order")
     rows = rows.select("doc_id", F.size("ids").alias("n_tokens"), "ids", bucket_of("doc_id", bounds).alias("bucket"), order)
     dealt = rows.repartition(max(len(bounds) + 1, parallelism(tokens.sparkSession)), "bucket")
     ordered = dealt.sortWithinPartitions("bucket", "doc_id", "order").drop("order")
-    if narrow:
-        ordered = ordered.withColumn("ids", F.transform("ids", lambda x: x.cast("int") + 32768))
     writer = ordered.write.partitionBy("bucket")
     writer.options(**{"compression": "zstd", "orc.bloom.filter.columns": "doc_id", "orc.bloom.filter.fpp": "0.01", "orc.row.index.stride": str(index_stride), "orc.stripe.size": str(stripe_bytes)}).orc(path)
 
 
-def read_tokens(spark: SparkSession, path: str, ids: list[int] | None = None) -> DataFrame:
-    """(doc_id, n_tokens, ids, bucket), of all documents or of those in ``ids``."""
-    rows = spark.read.schema(SCHEMA).orc(path)
+def read_tokens(spark: SparkSession, path: str, ids: list[int] | None = None, narrow: bool = False) -> DataFrame:
+    """(doc_id, n_tokens, ids, bucket), of all documents or of those in ``ids``; ``narrow`` if the files hold 16-bit numbers."""
+    rows = spark.read.schema(SCHEMA.format("smallint" if narrow else "int")).orc(path)
+    if narrow:
+        rows = rows.withColumn("ids", F.transform("ids", lambda x: x.cast("int") + 32768))
     return rows if ids is None else rows.where(F.col("doc_id").isin(ids))
 
 
@@ -72,19 +72,21 @@ def checksum(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         ids = batch.column("ids")
         at = ids.offsets.to_numpy().tolist()
-        flat = memoryview(np.ascontiguousarray(ids.values.to_numpy(zero_copy_only=False).astype("<u4", copy=False))).cast("B")
+        held = ids.values.to_numpy(zero_copy_only=False)
+        held = held.astype("<i4") + 32768 if held.dtype == np.int16 else held.astype("<i4", copy=False)
+        flat = memoryview(np.ascontiguousarray(held)).cast("B")
         crc = [zlib.crc32(flat[4 * i : 4 * j]) for i, j in zip(at, at[1:])]
         yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("bucket"), pa.array([j - i for i, j in zip(at, at[1:])], pa.int64()), pa.array(crc, pa.int64())], names=["doc_id", "bucket", "n_tokens", "ids_crc32"])
 
 
-def token_offsets(spark: SparkSession, path: str) -> DataFrame:
+def token_offsets(spark: SparkSession, path: str, narrow: bool = False) -> DataFrame:
     """(doc_id, start, n_tokens, ids_crc32) read from the files.
 
     Running sums are taken within each range of ids, and the ranges' totals are summed up before
     them, so that no task sees all documents.
     """
     ship(spark)
-    files = read_tokens(spark, path)
+    files = spark.read.schema(SCHEMA.format("smallint" if narrow else "int")).orc(path)
     totals = files.groupBy("bucket").agg(F.sum("n_tokens").alias("total"))
     before = totals.select("bucket", (F.sum("total").over(Window.orderBy("bucket")) - F.col("total")).alias("before"))
     rows = files.select("doc_id", "bucket", "ids").mapInArrow(checksum, "doc_id bigint, bucket int, n_tokens bigint, ids_crc32 bigint")
