@@ -254,9 +254,9 @@ def encode(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: st
 
 
 class LocalTable:
-    """A word table of one task: each word is encoded when the task first meets it. It begins anew at ``most`` words."""
+    """A word table of one process: each word is encoded when it is first met. It begins anew at ``most`` words."""
 
-    def __init__(self, config: str, most: int = 1 << 19):
+    def __init__(self, config: str, most: int = 3 << 18):
         self.config, self.split, self.most = config, splitter(config), most
         self._clear()
 
@@ -280,10 +280,16 @@ class LocalTable:
         return pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(self.flat[gathered(begin[code], size)]))
 
 
+@lru_cache(1)
+def local_table(config: str) -> LocalTable:
+    """The table that the tasks of one Python worker share, one after the other."""
+    return LocalTable(config)
+
+
 def encode_in_place(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: str = "text", out: str = "ids", last: int | None = None, narrow: bool = False) -> DataFrame:
-    """As ``encode``, in one pass without any exchange, with a word table for each task; ``last`` is appended to every document's ids.
+    """As ``encode``, in one pass without any exchange, with a word table for each Python worker; ``last`` is appended to every document's ids.
 
-    Each task encodes its own distinct words, so this costs least where the ids go on to storage.
+    Each worker encodes its own distinct words, so this costs least where the ids go on to storage.
     ``narrow`` gives ids below 65,536 as 16-bit numbers less 32,768, which move at half the size.
     """
     spark = ship(docs.sparkSession)
@@ -292,7 +298,7 @@ def encode_in_place(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", tex
     docs = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = LocalTable(config.value)
+        table = local_table(config.value)
         for batch in batches:
             for i in range(0, batch.num_rows, 512):
                 part = batch.slice(i, 512)
