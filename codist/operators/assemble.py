@@ -24,10 +24,14 @@ def distribute(params: DataFrame, index: DataFrame, strategy: str = "auto", keys
 
 
 def distribute_union(params: DataFrame, index: DataFrame) -> DataFrame:
-    """The same by one grouping of a union of tagged rows: kept to compare plans. ``index`` is packed."""
+    """The same by one grouping of a union of tagged rows: kept to compare plans. ``index`` is packed.
+
+    The union is dealt out anew: Spark 4.1 may take a union of equally dealt tables for dealt as well, and
+    then gives wrong results if one of them reuses the other's exchange.
+    """
     a = index.select("f", "units", F.lit(None).cast("double").alias("theta"))
     b = params.select("f", F.lit(None).cast(index.schema["units"].dataType).alias("units"), "theta")
-    met = a.unionByName(b).groupBy("f").agg(F.max("theta").alias("theta"), F.flatten(F.collect_list("units")).alias("units"))
+    met = a.unionByName(b).repartition("f").groupBy("f").agg(F.max("theta").alias("theta"), F.flatten(F.collect_list("units")).alias("units"))
     return met.select("f", F.coalesce("theta", F.lit(0.0)).alias("theta"), F.inline("units")).select("sample_id", "label", "f", "x", "theta")
 
 

@@ -47,7 +47,8 @@ class ParamStore:
 
     def add(self, deltas: DataFrame) -> ParamStore:
         summed = deltas.groupBy("f").agg(F.sum("theta").alias("theta"))
-        return ParamStore(self.weights.unionByName(summed).groupBy("f").agg(F.sum("theta").alias("theta")))
+        # dealt out anew, see assemble.distribute_union
+        return ParamStore(self.weights.unionByName(summed).repartition("f").groupBy("f").agg(F.sum("theta").alias("theta")))
 
 
 def summation_form(entries: DataFrame, weights: DataFrame, n_splits: int, single_reducer: bool = True) -> DataFrame:

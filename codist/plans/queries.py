@@ -563,7 +563,7 @@ def unseen_features(spark, sf_dir):
 @query(FIRST + ", a AS (SELECT DISTINCT f FROM tr), b AS (SELECT DISTINCT f FROM te) SELECT (SELECT count(*) FROM (SELECT * FROM a UNION SELECT * FROM b))::BIGINT AS either, (SELECT count(*) FROM (SELECT * FROM a INTERSECT SELECT * FROM b))::BIGINT AS in_both, (SELECT count(*) FROM (SELECT * FROM b EXCEPT SELECT * FROM a))::BIGINT AS only_test")
 def vocab_sets(spark, sf_dir):
     a, b = training(spark, sf_dir).select("f").distinct(), WORKLOADS["lang31"].held_out(spark, sf_dir).select("f").distinct()
-    sizes = [x.agg(F.count("*").alias(n)) for n, x in (("either", a.union(b).distinct()), ("in_both", a.intersect(b)), ("only_test", b.exceptAll(a)))]
+    sizes = [x.agg(F.count("*").alias(n)) for n, x in (("either", a.union(b).distinct()), ("in_both", a.intersect(b)), ("only_test", b.subtract(a)))]
     return sizes[0].crossJoin(sizes[1]).crossJoin(sizes[2])  # one row each
 
 
