@@ -52,12 +52,8 @@ def stages(spark: SparkSession, sf_dir: str, name: str, iterations: int = 2) ->
     held: dict[str, list[float]] = {}
     for stage, _, seconds, _ in run.runs:
         held.setdefault(stage, []).append(seconds)
-    began = time.perf_counter()
-    whole = fit(rows, w.alpha, 1, final_cost=False)
-    one = time.perf_counter() - began
-    began = time.perf_counter()
-    whole = fit(rows, w.alpha, 3, final_cost=False)
-    iteration = max((time.perf_counter() - began - one) / 2, 1e-3)
+    whole = fit(rows, w.alpha, 4, final_cost=False)
+    iteration = sum(whole.seconds[1:]) / len(whole.seconds[1:])
     samples = whole.costs[0][1]
     return {"seconds": {s: round(sum(x) / len(x), 3) for s, x in held.items()}, "cut_iteration": round(sum(sum(x) / len(x) for s, x in held.items() if s in LOOP), 3), "iteration": round(iteration, 3), "samples": samples, "samples_per_minute": round(60 * samples / iteration)}
 

@@ -49,6 +49,8 @@ class Fitted:
     verdict: str
     #: (stage, iteration, seconds, rows)
     runs: list[tuple[str, int, float, int]] = field(default_factory=list)
+    #: Wall time of each iteration, its tables written.
+    seconds: list[float] = field(default_factory=list)
 
     def history(self, spark, rule: StopRule = StopRule()) -> DataFrame:
         rows = spark.createDataFrame(self.costs, "iter int, n bigint, nll double")
@@ -100,9 +102,9 @@ def fit(
         index = done("index", 0, lambda: entries.select("f", "sample_id", "x", "label"), "f")
     by_sample = done("index", 0, lambda: index, "sample_id") if form == "margins" else None
     theta = done("init", 0, lambda: start if start is not None else params.init(index), "f")
-    versions, costs, verdict, t = [theta], [], "go", 0
+    versions, costs, seconds, verdict, t = [theta], [], [], "go", 0
     while t < max_iter and verdict == "go":
-        t += 1
+        t, started = t + 1, time.perf_counter()
         weights, keys = theta, ("f",)
         if sharding is not None:
             weights, keys = done("spread", t, lambda: shard.spread_parameters(theta, children), write=False), ("f", "shard_path")
@@ -126,7 +128,8 @@ def fit(
                 break
         theta = done("update", t, lambda: params.update(theta, grads, optimizer, t), "f")
         versions.append(theta)
+        seconds.append(time.perf_counter() - started)
     if final_cost and verdict != "diverged":
         row = objective.evaluate(theta, index, strategy).first()
         costs.append((t + 1, row["n"], row["nll"]))
-    return Fitted(theta, costs, versions, verdict if verdict != "go" else "max_iter", runs)
+    return Fitted(theta, costs, versions, verdict if verdict != "go" else "max_iter", runs, seconds)
