@@ -90,10 +90,21 @@ def pages_tokens(spark, sf_dir):
     return index.frequencies(featurize.counted(workloads.page_samples(spark, sf_dir)))
 
 
-@query(f"SELECT sample_id, label, count(*)::BIGINT AS features, sum(x)::DOUBLE AS total FROM ({WORKLOADS['short5'].sql}) GROUP BY sample_id, label")
-def lines_roundtrip(spark, sf_dir):
+def both(sql: Callable[[str], str]) -> Callable[[Callable], Callable]:
+    """Registers a query of a workload on the first five words and, as ``_whole``, on whole texts."""
+
+    def wrap(f: Callable) -> Callable:
+        for w, end in (("short5", ""), ("lang31", "_whole")):
+            query(sql(w), f"q_{f.__name__}{end}")(lambda s, d, w=w: f(s, d, w))
+        return f
+
+    return wrap
+
+
+@both(lambda w: f"SELECT sample_id, label, count(*)::BIGINT AS features, sum(x)::DOUBLE AS total FROM ({WORKLOADS[w].sql}) GROUP BY sample_id, label")
+def lines_roundtrip(spark, sf_dir, name):
     """Entries written as feature lines and read back."""
-    text = lines.to_lines(entries(spark, sf_dir, "short5"))
+    text = lines.to_lines(entries(spark, sf_dir, name))
     back, _ = lines.from_lines(text)
     return back.groupBy("sample_id", "label").agg(F.count("*").alias("features"), F.sum("x").alias("total"))
 
@@ -121,9 +132,9 @@ def dataset_profile(spark, sf_dir):
     return cost.dataset_profile(entries(spark, sf_dir))
 
 
-@query(f"SELECT sample_id, string_agg(f || ':' || x::BIGINT, ' ' ORDER BY f) AS tokens FROM ({WORKLOADS['short5'].sql}) GROUP BY sample_id")
-def token_maps(spark, sf_dir):
-    maps = entries(spark, sf_dir, "short5").groupBy("sample_id").agg(F.map_from_entries(F.collect_list(F.struct("f", "x"))).alias("m"))
+@both(lambda w: f"SELECT sample_id, string_agg(f || ':' || x::BIGINT, ' ' ORDER BY f) AS tokens FROM ({WORKLOADS[w].sql}) GROUP BY sample_id")
+def token_maps(spark, sf_dir, name):
+    maps = entries(spark, sf_dir, name).groupBy("sample_id").agg(F.map_from_entries(F.collect_list(F.struct("f", "x"))).alias("m"))
     keys = F.array_sort(F.map_keys("m"))
     return maps.select("sample_id", F.array_join(F.transform(keys, lambda k: F.concat(k, F.lit(":"), F.element_at("m", k).cast("bigint").cast("string"))), " ").alias("tokens"))
 
@@ -591,47 +602,55 @@ def score_pandas_udf(spark, sf_dir):
 # ---------------------------------------------------------------- measures
 
 
-def _predicted(spark, sf_dir, name="short5", k=2):
+def _predicted(spark, sf_dir, name, k=2):
     return classify.predict(_after(spark, sf_dir, k, name), WORKLOADS[name].held_out(spark, sf_dir))
 
 
-_SHORT = loop("short5", 2) + ", " + predictions(2)
+def _told_by(tail: str) -> Callable[[str], str]:
+    return lambda w: loop(w, 2) + ", " + predictions(2) + tail
 
 
 def _rounded(df: DataFrame, *keys: str) -> DataFrame:
     return df.select(*keys, *[F.round(c, 9).alias(c) for c in ("precision", "recall", "f")])
 
 
-@query(_SHORT + " " + rounded_scores(scores()))
-def per_class_scores(spark, sf_dir):
-    return _rounded(metrics.per_class(_predicted(spark, sf_dir)), "class")
+@both(_told_by(" " + rounded_scores(scores())))
+def per_class_scores(spark, sf_dir, name):
+    return _rounded(metrics.per_class(_predicted(spark, sf_dir, name)), "class")
 
 
-@query(_SHORT + f" SELECT round(avg(precision), 9) AS precision, round(avg(recall), 9) AS recall, round(avg(f), 9) AS f FROM ({scores()})")
-def macro_scores(spark, sf_dir):
-    return _rounded(metrics.macro(metrics.per_class(_predicted(spark, sf_dir))))
+@both(_told_by(f" SELECT round(avg(precision), 9) AS precision, round(avg(recall), 9) AS recall, round(avg(f), 9) AS f FROM ({scores()})"))
+def macro_scores(spark, sf_dir, name):
+    return _rounded(metrics.macro(metrics.per_class(_predicted(spark, sf_dir, name))))
 
 
-@query(_SHORT + " SELECT label, sum((predicted = 0)::INT)::BIGINT AS predicted_0, sum((predicted = 1)::INT)::BIGINT AS predicted_1 FROM p GROUP BY label")
-def confusion(spark, sf_dir):
-    return metrics.confusion(_predicted(spark, sf_dir))
+@both(_told_by(" SELECT label, sum((predicted = 0)::INT)::BIGINT AS predicted_0, sum((predicted = 1)::INT)::BIGINT AS predicted_1 FROM p GROUP BY label"))
+def confusion(spark, sf_dir, name):
+    return metrics.confusion(_predicted(spark, sf_dir, name))
 
 
-@query(_SHORT + " SELECT round(avg((label = predicted)::INT), 9) AS accuracy FROM p")
-def accuracy(spark, sf_dir):
-    return metrics.accuracy(_predicted(spark, sf_dir)).select(F.round("accuracy", 9).alias("accuracy"))
+@both(_told_by(" SELECT round(avg((label = predicted)::INT), 9) AS accuracy FROM p"))
+def accuracy(spark, sf_dir, name):
+    return metrics.accuracy(_predicted(spark, sf_dir, name)).select(F.round("accuracy", 9).alias("accuracy"))
 
 
-_SLICE = _SHORT + ", q AS (SELECT p.*, lang, source FROM p JOIN documents ON sample_id = doc_id), k AS (SELECT lang, source, grouping_id(lang, source)::BIGINT AS gid, sum((label = 1 AND predicted = 1)::INT) AS tp, sum((label = 0 AND predicted = 1)::INT) AS fp, sum((label = 1 AND predicted = 0)::INT) AS fn FROM q GROUP BY {0}(lang, source)), r AS (SELECT lang, source, gid, CASE WHEN tp + fp = 0 THEN 0.0 ELSE tp / (tp + fp)::DOUBLE END AS pr, CASE WHEN tp + fn = 0 THEN 0.0 ELSE tp / (tp + fn)::DOUBLE END AS re FROM k) SELECT lang, source, gid, round(pr, 9) AS precision, round(re, 9) AS recall, round(CASE WHEN pr + re = 0 THEN 0.0 ELSE 2 * pr * re / (pr + re) END, 9) AS f FROM r"
+_SLICE = ", q AS (SELECT p.*, lang, source FROM p JOIN documents ON sample_id = doc_id), k AS (SELECT lang, source, grouping_id(lang, source)::BIGINT AS gid, sum((label = 1 AND predicted = 1)::INT) AS tp, sum((label = 0 AND predicted = 1)::INT) AS fp, sum((label = 1 AND predicted = 0)::INT) AS fn FROM q GROUP BY {0}(lang, source)), r AS (SELECT lang, source, gid, CASE WHEN tp + fp = 0 THEN 0.0 ELSE tp / (tp + fp)::DOUBLE END AS pr, CASE WHEN tp + fn = 0 THEN 0.0 ELSE tp / (tp + fn)::DOUBLE END AS re FROM k) SELECT lang, source, gid, round(pr, 9) AS precision, round(re, 9) AS recall, round(CASE WHEN pr + re = 0 THEN 0.0 ELSE 2 * pr * re / (pr + re) END, 9) AS f FROM r"
 
 
-def _sliced(spark, sf_dir, how):
+def _sliced(spark, sf_dir, name, how):
     docs = read(spark, sf_dir, "documents").select(F.col("doc_id").alias("sample_id"), "lang", "source")
-    return _rounded(metrics.sliced(_predicted(spark, sf_dir).join(docs, "sample_id"), ["lang", "source"], how), "lang", "source", "gid")
+    return _rounded(metrics.sliced(_predicted(spark, sf_dir, name).join(docs, "sample_id"), ["lang", "source"], how), "lang", "source", "gid")
+
+
+@both(_told_by(_SLICE.format("ROLLUP")))
+def scores_rollup(spark, sf_dir, name):
+    return _sliced(spark, sf_dir, name, "rollup")
+
 
+@both(_told_by(_SLICE.format("CUBE")))
+def scores_cube(spark, sf_dir, name):
+    return _sliced(spark, sf_dir, name, "cube")
 
-query(_SLICE.format("ROLLUP"), "q_scores_rollup")(lambda s, d: _sliced(s, d, "rollup"))
-query(_SLICE.format("CUBE"), "q_scores_cube")(lambda s, d: _sliced(s, d, "cube"))
 
 CURVE = 3
 
@@ -659,12 +678,12 @@ def _curve_sql(name, iterations=CURVE):
 for _w in ("short5", "lang31", "quality", "toxic", "basket"):
     query(_curve_sql(_w) + rounded_scores(scores("pp", "iter"), "iter"), f"q_curve_{_w}")(lambda s, d, w=_w: _rounded(curve(s, d, w), "iter", "class"))
 
-_CONV = _curve_sql("short5") + f", cu AS ({scores('pp', 'iter')}), ch AS (SELECT iter, greatest(abs(lead(precision) OVER w - precision), abs(lead(recall) OVER w - recall), abs(lead(f) OVER w - f)) AS change FROM cu WINDOW w AS (PARTITION BY class ORDER BY iter)), m AS (SELECT iter, max(change) AS change FROM ch GROUP BY iter) SELECT coalesce(max(CASE WHEN change >= 0.02 THEN iter END) + 1, min(iter))::INT AS iter FROM m"
+_CONV = f", cu AS ({scores('pp', 'iter')}), ch AS (SELECT iter, greatest(abs(lead(precision) OVER w - precision), abs(lead(recall) OVER w - recall), abs(lead(f) OVER w - f)) AS change FROM cu WINDOW w AS (PARTITION BY class ORDER BY iter)), m AS (SELECT iter, max(change) AS change FROM ch GROUP BY iter) SELECT coalesce(max(CASE WHEN change >= 0.02 THEN iter END) + 1, min(iter))::INT AS iter FROM m"
 
 
-@query(_CONV)
-def converged_at(spark, sf_dir):
-    return metrics.converged_at(curve(spark, sf_dir, "short5"), 0.02)
+@both(lambda w: _curve_sql(w) + _CONV)
+def converged_at(spark, sf_dir, name):
+    return metrics.converged_at(curve(spark, sf_dir, name), 0.02)
 
 
 @query(SECOND + " SELECT count(*)::BIGINT AS features, sum((sign(t1.theta) = sign(t2.theta))::INT)::BIGINT AS kept FROM t1 JOIN t2 USING (f)")
@@ -672,12 +691,12 @@ def sign_stability(spark, sf_dir):
     return metrics.sign_stability(_after(spark, sf_dir, 1), _after(spark, sf_dir, 2))
 
 
-@query(_SHORT + " SELECT label, sum((label = predicted)::INT)::DOUBLE AS right_ones FROM p GROUP BY label")
-def metrics_grouped_agg(spark, sf_dir):
+@both(_told_by(" SELECT label, sum((label = predicted)::INT)::DOUBLE AS right_ones FROM p GROUP BY label"))
+def metrics_grouped_agg(spark, sf_dir, name):
     """A grouped aggregate written as a vectorised function."""
     from .. import sql
 
-    return _predicted(spark, sf_dir).groupBy("label").agg(sql.agreement_udf()("label", "predicted").alias("right_ones"))
+    return _predicted(spark, sf_dir, name).groupBy("label").agg(sql.agreement_udf()("label", "predicted").alias("right_ones"))
 
 
 _T1 = "(VALUES " + ", ".join(f"('{s}', {str(l).lower()}, {r[0]}, {r[1]}, {m}.0::DOUBLE)" for s, l, *ms in cost.PUBLISHED for r, m in zip(cost.RESOURCES, ms)) + ") AS t(stage, in_loop, mappers, reducers, minutes)"
@@ -724,37 +743,37 @@ def param_store_ops(spark, sf_dir):
     return store.get(keys)
 
 
-@query(loop("short5", 2) + f" SELECT f, {rounded('theta', 9)} AS theta FROM t2")
-def async_sgd_delay0(spark, sf_dir):
-    held, _ = baselines.async_sgd(training(spark, sf_dir, "short5"), WORKLOADS["short5"].alpha, workers=4, rounds=2)
+@both(lambda w: loop(w, 2) + f" SELECT f, {rounded('theta', 9)} AS theta FROM t2")
+def async_sgd_delay0(spark, sf_dir, name):
+    held, _ = baselines.async_sgd(training(spark, sf_dir, name), WORKLOADS[name].alpha, workers=4, rounds=2)
     return held.select("f", near("theta", 9).alias("theta"))
 
 
-def _async_sql() -> str:
+def _async_sql(name: str) -> str:
     """Two replicas that fetch once and push after two rounds: each runs two steps on its own samples."""
-    alpha = f"{WORKLOADS['short5'].alpha!r}::DOUBLE"
-    base = loop("short5", 1)
+    alpha = f"{WORKLOADS[name].alpha!r}::DOUBLE"
+    base = loop(name, 1)
     one = f"l1 AS MATERIALIZED (SELECT w, f, -{alpha} * sum(x * (0.5 - label)) AS delta FROM (SELECT *, sample_id % 2 AS w FROM tr) GROUP BY w, f)"
     z = "zz AS MATERIALIZED (SELECT w, sample_id, max(label) AS label, sum(x * delta) AS z FROM (SELECT *, sample_id % 2 AS w FROM tr) JOIN l1 USING (w, f) GROUP BY w, sample_id)"
     two = f"l2 AS MATERIALIZED (SELECT w, f, -{alpha} * sum(x * ({P.format(z='z')} - zz.label)) AS delta FROM (SELECT *, sample_id % 2 AS w FROM tr) AS r JOIN zz USING (w, sample_id) GROUP BY w, f)"
     return f"{base}, {one}, {z}, {two} SELECT f, {rounded('sum(delta)', 9)} AS theta FROM (SELECT * FROM l1 UNION ALL SELECT * FROM l2) GROUP BY f"
 
 
-@query(_async_sql())
-def async_sgd(spark, sf_dir):
-    held, _ = baselines.async_sgd(training(spark, sf_dir, "short5"), WORKLOADS["short5"].alpha, workers=2, rounds=2, fetch_every=2, push_every=2, max_delay=2, hashed=False)
+@both(_async_sql)
+def async_sgd(spark, sf_dir, name):
+    held, _ = baselines.async_sgd(training(spark, sf_dir, name), WORKLOADS[name].alpha, workers=2, rounds=2, fetch_every=2, push_every=2, max_delay=2, hashed=False)
     return held.select("f", near("theta", 9).alias("theta"))
 
 
 @query()
 def lbfgs(spark, sf_dir):
-    held, costs = baselines.lbfgs(training(spark, sf_dir, "short5"), max_iter=4)
+    held, costs = baselines.lbfgs(training(spark, sf_dir), max_iter=4)
     return held.agg(F.count("*").alias("features")).withColumn("first", F.lit(costs[0])).withColumn("last", F.lit(costs[-1]))
 
 
 @query()
 def mllib(spark, sf_dir):
-    model, rows = baselines.mllib(training(spark, sf_dir, "short5"))
+    model, rows = baselines.mllib(training(spark, sf_dir))
     return model.transform(rows).agg(F.count("*").alias("samples"), F.avg((F.col("prediction") == F.col("label")).cast("double")).alias("accuracy"))
 
 

@@ -41,3 +41,14 @@ def test_entry(spark):
 
     assert entry.entry(spark).count() > 0
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def test_no_word_is_cut(spark, sf, con):
+    """The flagship query, the solvers and the queries named whole see words after the fifth."""
+    import __spark_entry__ as entry
+
+    count = "SELECT count(*) FROM (SELECT unnest(regexp_extract_all(lower(coalesce(text, '')), '[a-z0-9]+')) FROM documents)"
+    (words,), (features,) = con.execute(count).fetchone(), con.execute(f"SELECT count(DISTINCT f) FROM ({queries.LANG}) WHERE sample_id % 5 <> 0").fetchone()
+    assert queries.QUERIES["q_lines_roundtrip_whole"](spark, sf).agg({"total": "sum"}).first()[0] == words
+    assert queries.QUERIES["q_lbfgs"](spark, sf).first()["features"] == features
+    assert sorted(map(tuple, entry.entry(spark).collect())) == sorted(map(tuple, queries.QUERIES["q_curve_lang31"](spark, sf).collect()))
