@@ -10,16 +10,21 @@ are found in two steps, and both verify what they propose:
   Classes that share such an element across components make a neighbourhood. Its members are dealt
   into tiles by size band, split by hash where a band has many, and pairs of tiles of the same or of
   adjacent bands are compared by bitmap signatures. Pairs inside one component are linked already and
-  skipped, and only pairs that the bit counts allow leave a tile, so a group of near copies never
+  skipped here, and only pairs that the bit counts allow leave a tile, so a group of near copies never
   gives all its pairs.
 
+All links lie within components. So they are counted last, by intersecting all pairs of the classes of
+a component that sizes allow: the sets themselves go to tiles of bounded numbers of sets and elements, a
+component that fits one tile is one, and only counts leave a tile. A component of two classes is a link.
+
 Signatures are as wide as the size band of the set asks for. Their bits are parities of the elements
 hashed to them, so the bits that differ are at most the elements that differ, whatever the sizes, and
 bound the overlap from above. Pairs that pass are intersected exactly, as sorted arrays of 64-bit hashes.
 
 Edges: null text or text without words is an empty set and linked with nothing; fewer than n words
 make one element; rows with one id are one node; null ids are kept and get the class's least id;
-extra columns are ignored; empty tables give none.
+extra columns are ignored; empty tables give none. Links are those of rows: equal sets are linked, and
+of rows with one id but different texts one text stands for the others.
 """
 
 from __future__ import annotations
@@ -30,7 +35,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .blocks import document_blocks, numbered, pack, split_requests, trim, unpack
+from .blocks import document_blocks, numbered, pack, pack_keys, split_requests, trim, unpack, unpack_keys
 from .components import components
 from .storage import parallelism, ship, stored
 from .substring_dedup import _joined, _split, from_ipc, to_ipc
@@ -171,6 +176,34 @@ def compared(x, y, same: bool, like: Similarity) -> list[np.ndarray]:
     return out
 
 
+def weighed(x, y, same: bool, like: Similarity) -> list[np.ndarray]:
+    """For each member of two tiles, the weight of those members of the other that are linked with it.
+
+    x and y: (weights, sets); ``same``: both are one tile, whose pairs are taken once.
+    """
+    sizes = [np.array([len(s) for s in t[1]], dtype=np.int64) for t in (x, y)]
+    ends = [np.concatenate([[0], np.cumsum(s)]) for s in (sizes[:1] if same else sizes)]
+    names, codes = np.unique(np.concatenate(x[1] if same else [*x[1], *y[1]]), return_inverse=True)
+    often = np.bincount(codes)[codes] > 1  # what one set has alone is never shared
+    before = np.concatenate([[0], np.cumsum(often)])
+    codes = codes[often]
+    at = before[ends[0]]
+    to = at if same else before[ends[0][-1] + ends[1]]
+    out = [np.zeros(len(s), dtype=np.int64) for s in sizes]
+    held = np.zeros(len(names), dtype=np.uint8)
+    for i in range(len(sizes[0])):
+        first = i + 1 if same else 0
+        mine = codes[at[i] : at[i + 1]]
+        held[mine] = 1
+        total = np.concatenate([[0], np.cumsum(held[codes[to[first] : to[-1]]], dtype=np.int64)])
+        held[mine] = 0
+        common = np.diff(total[to[first:] - to[first]])
+        hit = first + np.flatnonzero(like.linked(common, sizes[0][i], sizes[1][first:]))
+        out[0][i] = y[0][hit].sum()
+        out[1][hit] += x[0][i]
+    return out
+
+
 class JaccardJoin:
     def __init__(self, docs: DataFrame, n: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text"):
         self.spark = ship(docs.sparkSession)
@@ -232,9 +265,9 @@ class JaccardJoin:
         return np.concatenate([np.frombuffer(bytes(r["body"]), dtype=np.uint8) for r in sorted(pieces)])
 
     def classes(self) -> DataFrame:
-        """(n, h1, h2, id: the least of the class, block: where a row with that id is, keys, signature) of sets that are not empty."""
-        rows = self.facts.where("n > 0").groupBy("n", "h1", "h2").agg(F.min(F.struct(F.col("id").isNull(), "id", "block")).alias("first"), F.first("keys").alias("keys"), F.first("signature").alias("signature"))
-        return stored(rows.select("n", "h1", "h2", "first.id", "first.block", "keys", "signature"))
+        """(n, h1, h2, id: the least of the class, block: where a row with that id is, keys, signature, n_equal: rows) of sets that are not empty."""
+        rows = self.facts.where("n > 0").groupBy("n", "h1", "h2").agg(F.min(F.struct(F.col("id").isNull(), "id", "block")).alias("first"), F.first("keys").alias("keys"), F.first("signature").alias("signature"), F.count("*").alias("n_equal"))
+        return stored(rows.select("n", "h1", "h2", "first.id", "first.block", "keys", "signature", "n_equal"))
 
     def bounded(self, pairs: DataFrame, classes: DataFrame) -> DataFrame:
         """Those of the pairs (a, b) that size and signature bounds allow, with the blocks of both."""
@@ -351,17 +384,16 @@ class JaccardJoin:
         held = self.packed.select("block", "rows").groupBy("block").cogroup(wanted.groupBy("block")).applyInArrow(prefixes, "part int, body binary")
         return held.groupBy("part").applyInArrow(join, "a bigint, b bigint").distinct()
 
-    def tiles(self, classes: DataFrame, labels: DataFrame, tile_rows: int = 2048) -> DataFrame:
-        """Pairs (a, b, block_a, block_b) across components that sizes and signatures allow."""
-        like = self.like
-        links = stored(self.neighbourhoods(classes, labels))
-        groups = components(links).withColumnRenamed("label", "hood")
-        rows = classes.select("id", "block", "n", "signature").join(groups, "id").join(labels, "id", "left")
-        rows = rows.withColumn("label", F.coalesce("label", "id")).withColumn("band", F.floor(F.log("n") / F.log(F.lit(100 / like.percent)) + 1e-9).cast("int"))
-        counts = rows.groupBy("hood", "band").agg(F.ceil(F.count("*") / tile_rows).cast("int").alias("subs"))
+    def _band(self):
+        """Sets that differ by more than a band in size are not linked."""
+        return F.floor(F.log("n") / F.log(F.lit(100 / self.like.percent)) + 1e-9).cast("int")
+
+    def _dealt(self, rows: DataFrame, group: str, subs_of) -> DataFrame:
+        """Rows of (group, band, id) with their places: the pairs of tiles in which each stands, and on which side."""
+        counts = rows.groupBy(group, "band").agg(subs_of.cast("int").alias("subs"))
         # what a tile meets: the other tiles of its band, and those of the bands above and below
-        other = lambda d: counts.select("hood", (F.col("band") - d).alias("band"), F.col("subs").alias(f"subs{d}"))
-        met = rows.join(counts, ["hood", "band"]).join(other(1), ["hood", "band"], "left").join(other(-1), ["hood", "band"], "left")
+        other = lambda d: counts.select(group, (F.col("band") - d).alias("band"), F.col("subs").alias(f"subs{d}"))
+        met = rows.join(counts, [group, "band"]).join(other(1), [group, "band"], "left").join(other(-1), [group, "band"], "left")
         met = met.withColumn("sub", F.pmod(F.xxhash64("id"), F.col("subs")).cast("int"))
         subs = lambda c: F.when(F.coalesce(c, F.lit(0)) > 0, F.sequence(F.lit(0), F.coalesce(c, F.lit(1)) - 1)).otherwise(F.array().cast("array<int>"))
         key = lambda b, s, c, t, side: F.struct(b.alias("band"), s.alias("s"), c.alias("other"), t.alias("t"), F.lit(side).alias("side"))
@@ -372,7 +404,17 @@ class JaccardJoin:
             F.transform(subs(F.col("subs1")), lambda t: key(b, s, b + 1, t, 0)),
             F.transform(subs(F.col("subs-1")), lambda t: key(b - 1, t, b, s, 1)),
         )
-        dealt = met.select("hood", "id", "block", "n", "label", "signature", F.explode(places).alias("p")).select("hood", "p.*", "id", "block", "n", "label", "signature")
+        return met.withColumn("places", places)
+
+    def tiles(self, classes: DataFrame, labels: DataFrame, tile_rows: int = 2048) -> DataFrame:
+        """Pairs (a, b, block_a, block_b) across components that sizes and signatures allow."""
+        like = self.like
+        links = stored(self.neighbourhoods(classes, labels))
+        groups = components(links).withColumnRenamed("label", "hood")
+        rows = classes.select("id", "block", "n", "signature").join(groups, "id").join(labels, "id", "left")
+        rows = rows.withColumn("label", F.coalesce("label", "id")).withColumn("band", self._band())
+        dealt = self._dealt(rows, "hood", F.ceil(F.count("*") / tile_rows))
+        dealt = dealt.select("hood", F.explode("places").alias("p"), "id", "block", "n", "label", "signature").select("hood", "p.*", "id", "block", "n", "label", "signature")
 
         def compare(table: pa.Table) -> pa.Table:
             side = table.column("side").to_numpy()
@@ -386,26 +428,74 @@ class JaccardJoin:
 
         return dealt.groupBy("hood", "band", "s", "other", "t").applyInArrow(compare, "a bigint, b bigint, block_a bigint, block_b bigint")
 
-    def run(self) -> DataFrame:
-        """(id, n_shingles, component_id, n_equal: rows with the same set) for each row."""
+    def linked_rows(self, classes: DataFrame, labels: DataFrame, tile_rows: int = 2048, tile_items: int = 1 << 20) -> DataFrame:
+        """(id, others: rows of other classes that are linked with the class) for the classes of components, exactly."""
+        n, like = self.n, self.like
+        rows = classes.select("id", "block", "n", "n_equal").dropDuplicates(["id"]).join(labels, "id")
+        sizes = rows.groupBy("label").agg(F.count("*").alias("k"), F.sum("n").alias("items"), F.sum("n_equal").alias("held"))
+        rows = stored(rows.join(sizes, "label"))
+        fits = (F.col("k") <= tile_rows) & (F.col("items") <= tile_items)
+        many = rows.where("k > 2").withColumn("band", F.when(fits, 0).otherwise(self._band()))
+        dealt = self._dealt(many, "label", F.greatest(F.ceil(F.count("*") / tile_rows), F.ceil(F.sum("n") / tile_items)))
+        place = "struct<band:int,s:int,other:int,t:int,side:int>"
+        wanted = dealt.select("block", "id", "label", "n_equal", F.col("places").cast(f"array<{place}>").alias("places"))
+
+        def sets(block: pa.Table, wanted: pa.Table) -> pa.Table:
+            wanted, bodies = wanted.select(["id", "label", "n_equal", "places"]), []
+            if block.num_rows and wanted.num_rows:
+                table = from_ipc(block.column("rows")[0].as_py())
+                table = table.filter(pc.is_in(table.column("id"), wanted.column("id").combine_chunks()))
+                held: dict[int, bytes] = {}
+                for i, s in zip(table.column("id").to_pylist(), shingle_sets(table.column("text"), n)):
+                    if i not in held and len(s):
+                        held[i] = pack_keys(s)
+                bodies = [held[i] for i in wanted.column("id").to_pylist()]
+                trim()
+            else:
+                wanted = wanted.slice(0, 0)
+            return wanted.append_column("body", pa.array(bodies, pa.binary()))
+
+        bodies = self.packed.select("block", "rows").groupBy("block").cogroup(wanted.groupBy("block")).applyInArrow(sets, f"id bigint, label bigint, n_equal bigint, places array<{place}>, body binary")
+
+        def count(table: pa.Table) -> pa.Table:
+            side = table.column("side").to_numpy()
+            same = table.column("band")[0].as_py() == table.column("other")[0].as_py() and table.column("s")[0].as_py() == table.column("t")[0].as_py()
+            x = table.filter(pa.array(side == 0))
+            y = x if same else table.filter(pa.array(side == 1))
+            of = lambda t: (t.column("n_equal").to_numpy(), [unpack_keys(b) for b in t.column("body").to_pylist()])
+            held = np.concatenate(weighed(of(x), of(y), same, like)) if x.num_rows and y.num_rows else np.zeros(0, dtype=np.int64)
+            ids = pa.chunked_array([*x.column("id").chunks, *y.column("id").chunks], pa.int64()) if len(held) else pa.array([], pa.int64())
+            return pa.table({"id": ids, "others": pa.array(held)}).filter(pa.array(held > 0))
+
+        tiled = bodies.select("label", F.explode("places").alias("p"), "id", "n_equal", "body").select("label", "p.*", "id", "n_equal", "body")
+        found = tiled.groupBy("label", "band", "s", "other", "t").applyInArrow(count, "id bigint, others bigint")
+        two = rows.where("k = 2").select("id", (F.col("held") - F.col("n_equal")).alias("others"))
+        return two.unionByName(found.groupBy("id").agg(F.sum("others").alias("others")))
+
+    def run(self, links: bool = True) -> DataFrame:
+        """(id, n_shingles, component_id, n_equal: rows with the same set) for each row, and with ``links`` n_links: other rows linked with it."""
         classes = self.classes()
         near = stored(self.verified(self.bounded(self.pivots(classes), classes)))
         labels = components(near)
         rest = self.verified(self.tiles(classes, labels))
         labels = components(near.unionByName(rest))
-        groups = self.facts.where("n > 0").groupBy("n", "h1", "h2").count()
-        named = classes.select("n", "h1", "h2", "id").join(groups, ["n", "h1", "h2"]).join(labels, "id", "left").select(F.col("n").alias("_n"), F.col("h1").alias("_h1"), F.col("h2").alias("_h2"), F.coalesce("label", "id").alias("component_id"), F.col("count").alias("n_equal"))
+        named = classes.select("n", "h1", "h2", "id", "n_equal").join(labels, "id", "left")
+        if links:
+            named = named.join(stored(self.linked_rows(classes, labels)), "id", "left").withColumn("n_links", F.col("n_equal") - 1 + F.coalesce("others", F.lit(0)))
+        named = named.select(F.col("n").alias("_n"), F.col("h1").alias("_h1"), F.col("h2").alias("_h2"), F.coalesce("label", "id").alias("component_id"), "n_equal", *(["n_links"] if links else []))
         same = (F.col("n") == F.col("_n")) & (F.col("h1") == F.col("_h1")) & (F.col("h2") == F.col("_h2"))
-        return self.facts.join(named, same, "left").select("id", F.col("n").cast("bigint").alias("n_shingles"), F.coalesce("component_id", "id").alias("component_id"), F.coalesce("n_equal", F.lit(1)).alias("n_equal"))
+        found = self.facts.join(named, same, "left")
+        own = [F.col("n").cast("bigint").alias("n_shingles"), F.coalesce("component_id", "id").alias("component_id"), F.coalesce("n_equal", F.lit(1)).alias("n_equal")]
+        return found.select("id", *own, *([F.coalesce("n_links", F.lit(0)).alias("n_links")] if links else []))
 
 
-def near_duplicates(docs: DataFrame, n: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id_col, n_shingles, component_id, n_equal) for each row of ``docs``."""
-    return JaccardJoin(docs, n, percent, id_col, text_col).run().withColumnRenamed("id", id_col)
+def near_duplicates(docs: DataFrame, n: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text", links: bool = True) -> DataFrame:
+    """(id_col, n_shingles, component_id, n_equal and, with ``links``, n_links) for each row of ``docs``."""
+    return JaccardJoin(docs, n, percent, id_col, text_col).run(links).withColumnRenamed("id", id_col)
 
 
 def keep_first(docs: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
     """Of each component one document, that with the least id; all columns unchanged."""
-    found = near_duplicates(docs, id_col=id_col, **options)
+    found = near_duplicates(docs, id_col=id_col, links=False, **options)
     drop = found.where(F.col("component_id") != F.col(id_col)).select(F.col(id_col).alias("_drop")).distinct()
     return docs.join(drop, docs[id_col] == drop["_drop"], "left_anti")

@@ -1,5 +1,6 @@
 """Each operator against a plain version, on documents with every edge, on none, and with clashing columns."""
 
+import functools
 import hashlib
 import math
 import random
@@ -179,6 +180,30 @@ def test_jaccard_near_the_threshold(spark, percent):
     assert got(jaccard_join.near_duplicates(df, percent=percent), "doc_id", "n_shingles", "component_id") == sorted(brute.jaccard(texts, percent=percent), key=str)
 
 
+def _links(texts, n=5, percent=80):
+    """(id, links to other rows) by comparing all pairs."""
+    sets = []
+    for d, x in texts:
+        w = brute.spaced((x or "").translate(brute.LOW))
+        sets.append((d, {tuple(w[j : j + n]) for j in range(max(1, len(w) - n + 1))} if w else set()))
+    return sorted(((d, sum(i != j and bool(a & b) and 100 * len(a & b) >= percent * len(a | b) for j, (_, b) in enumerate(sets))) for i, (d, a) in enumerate(sets)), key=str)
+
+
+def test_jaccard_counts_all_links(docs, rows):
+    assert got(jaccard_join.near_duplicates(docs), "doc_id", "n_links") == _links([r[:2] for r in rows])
+
+
+@pytest.mark.parametrize("tile", [{"tile_rows": 7}, {"tile_items": 300}])
+def test_jaccard_counts_links_over_tiles(spark, tile):
+    rng = random.Random(3)
+    texts = [(k, " ".join(f"n{rng.randrange(10**6)}" if rng.random() < 0.03 else f"t{i}" for i in range(rng.randrange(35, 80)))) for k in range(80)]
+    texts += [(80 + k, texts[k][1]) for k in range(9)]
+    join = jaccard_join.JaccardJoin(spark.createDataFrame(texts, "doc_id bigint, text string"))
+    join.linked_rows = functools.partial(join.linked_rows, **tile)
+    have = [(r["id"], r["n_links"]) for r in join.run().collect()]
+    assert sorted(have, key=str) == _links(texts) and max(x for _, x in have) > 10
+
+
 def test_signatures_bound_from_above():
     rng = np.random.default_rng(4)
     for n in (1, 5, 70, 400):
