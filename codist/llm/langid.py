@@ -16,6 +16,8 @@ often as they occur; extra columns are ignored; without rows to learn from every
 
 from __future__ import annotations
 
+import functools
+import sys
 import unicodedata
 from collections.abc import Iterator
 from dataclasses import dataclass, field
@@ -32,12 +34,14 @@ from .textarrays import U, chunks, mixed
 ORDER = 5
 BITS = 12
 UNKNOWN, BLANK = 0, 1
+POINTS = sys.maxunicode + 1
 
 
+@functools.cache
 def _letters() -> np.ndarray:
-    """For each code point of the basic plane its folded letter, or 0 for what is no letter."""
-    out = np.zeros(0x10000, dtype=np.uint32)
-    for i in range(0x10000):
+    """For each code point its folded letter, or 0 for what is no letter."""
+    out = np.zeros(POINTS, dtype=np.uint32)
+    for i in range(POINTS):
         c = chr(i)
         if unicodedata.category(c)[0] == "L":
             low = c.lower()
@@ -51,7 +55,7 @@ class Alphabet:
     def __init__(self, letters: list[int]):
         self.size = min(len(letters), (1 << BITS) - 2) + 2
         fold = _letters()
-        symbol = np.zeros(0x10000, dtype=np.uint16)
+        symbol = np.zeros(POINTS, dtype=np.uint16)
         symbol[letters[: self.size - 2]] = np.arange(2, self.size)
         self.table = np.where(fold > 0, symbol[fold], BLANK).astype(np.uint16)
 
@@ -60,9 +64,7 @@ class Alphabet:
         points = np.frombuffer("\n".join(texts).encode("utf-32-le", "replace"), dtype=np.uint32) if texts else np.zeros(0, np.uint32)
         size = np.fromiter(map(len, texts), dtype=np.int64, count=len(texts))
         begin = np.cumsum(size + 1) - size - 1
-        wide = points > 0xFFFF
-        symbols = self.table[np.where(wide, 0, points)]
-        symbols = np.concatenate([[np.uint16(BLANK)], symbols])
+        symbols = np.concatenate([[np.uint16(BLANK)], self.table[points]])
         keep = symbols != BLANK
         keep[1:] |= symbols[:-1] != BLANK
         keep[begin] = True
@@ -185,7 +187,7 @@ def fit(samples: dict[str, list[str]], held_out: dict[str, list[str]], slack: fl
         return Models()
     fold = _letters()
     points = np.frombuffer("".join(x for texts in samples.values() for x in texts).encode("utf-32-le", "replace"), dtype=np.uint32)
-    counts = np.bincount(fold[points[points <= 0xFFFF]], minlength=0x10000)
+    counts = np.bincount(fold[points], minlength=POINTS)
     counts[0] = 0
     letters = [i for i in np.argsort(-counts, kind="stable").tolist() if counts[i]]
     alphabet = Alphabet(letters)

@@ -158,6 +158,14 @@ def test_language_edges(spark, clashing, nothing):
     assert not trained.predict(["жжж щщщ ыыы эээ " * 20])[3][0] and trained.predict(["the dog sat on the mat"])[3][0]
 
 
+def test_letters_beyond_the_basic_plane():
+    gothic, adlam, deseret, han = "\U00010330\U00010331\U00010332 ", "\U0001e900\U0001e901 ", "\U00010400\U00010401 ", "\U00020000\U00020001 "
+    models = langid.fit({"en": ["the cat sat on the mat " * 20] * 3, "got": [gothic * 40] * 3}, {})
+    said, score, _, _ = models.predict([gothic * 9, adlam * 9, deseret * 9, han * 9, "\U0001f600 123"])
+    assert said[0] == "got" and score[0] > 0 and "und" not in said[:4] and (said[4], score[4]) == ("und", 0)
+    assert langid._letters()[0x10400] == 0x10428  # folded to lower case
+
+
 # ---------------------------------------------------------------- 5
 
 
