@@ -368,6 +368,11 @@ def params_iter3_top(spark, sf_dir):
     return fitted(spark, sf_dir, "lang31", 3).params.orderBy(F.desc(F.abs("theta"))).limit(50).select("f", F.round("theta", 9).alias("theta"))
 
 
+@query(loop("lang31", 3) + f" SELECT f, {rounded('theta', 9)} AS theta FROM t3")
+def params_iter3(spark, sf_dir):
+    return fitted(spark, sf_dir, "lang31", 3).params.select("f", near("theta", 9).alias("theta"))
+
+
 @query(SECOND + f" SELECT count(*)::BIGINT AS n, round(sum({COST.format(z='z', y='label')}), 6) AS nll FROM z2")
 def objective_iter2(spark, sf_dir):
     held = objective.evaluate(_after(spark, sf_dir, 1), training(spark, sf_dir))

@@ -51,4 +51,5 @@ def test_no_word_is_cut(spark, sf, con):
     (words,), (features,) = con.execute(count).fetchone(), con.execute(f"SELECT count(DISTINCT f) FROM ({queries.LANG}) WHERE sample_id % 5 <> 0").fetchone()
     assert queries.QUERIES["q_lines_roundtrip_whole"](spark, sf).agg({"total": "sum"}).first()[0] == words
     assert queries.QUERIES["q_lbfgs"](spark, sf).first()["features"] == features
+    assert queries.QUERIES["q_params_iter3"](spark, sf).count() == features
     assert sorted(map(tuple, entry.entry(spark).collect())) == sorted(map(tuple, queries.QUERIES["q_curve_lang31"](spark, sf).collect()))
