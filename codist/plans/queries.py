@@ -71,7 +71,7 @@ FIRST, SECOND = loop("lang31", 1), loop("lang31", 2)
 # ---------------------------------------------------------------- data and features
 
 _STATS = "SELECT f, count(*)::BIGINT AS df, sum(x)::DOUBLE AS tf FROM ({0}) GROUP BY f"
-for _name, _of in (("token_counts", "lang31"), ("basket_tokens", "basket"), ("events_tokens", "events"), ("role_tokens", "role")):
+for _name, _of in (("token_counts", "lang31"), ("basket_tokens", "basket"), ("events_tokens", "events"), ("events_value_tokens", "events_value"), ("role_tokens", "role")):
     query(_STATS.format(WORKLOADS[_of].sql), f"q_{_name}")(lambda s, d, of=_of: index.frequencies(entries(s, d, of)))
 
 
@@ -388,7 +388,7 @@ def _history(spark, sf_dir, name, iterations, tol, **options):
 for _w, _t in (("lang31", 2), ("basket", 3), ("short5", 3)):
     query(loop(_w, _t + 1) + ", " + oracle.history(_t, TOL), f"q_history_{_w}")(lambda s, d, w=_w, t=_t: _history(s, d, w, t, TOL))
 
-for _w in ("events", "dense", "role"):
+for _w in ("events", "events_value", "dense", "role"):
     query(loop(_w, 2) + f" SELECT f, {rounded('theta', 8)} AS theta FROM t2", f"q_{_w}_train")(lambda s, d, w=_w: _after(s, d, 2, w).select("f", near("theta", 8).alias("theta")))
 
 _FAST = 10 * 5.86e-5

@@ -38,13 +38,17 @@ def baskets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return counted(held.select(F.col("o_orderkey").alias("sample_id"), "label", tokens.alias("tokens")))
 
 
-def event_samples(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return event_tokens(read(spark, sf_dir, "events"))
+def event_samples(spark: SparkSession, sf_dir: str, value: bool = False) -> DataFrame:
+    return event_tokens(read(spark, sf_dir, "events"), value)
 
 
-def event_tokens(events: DataFrame) -> DataFrame:
+def event_tokens(events: DataFrame, value: bool = False) -> DataFrame:
+    """(sample_id, label, tokens); with ``value`` also the bucket of the value, none for null."""
     k = F.from_json("props", "k INT")["k"]
     tokens = F.array(category("user", F.col("user_id")), category("k", k), category("hour", F.hour("ts")), category("dow", F.dayofweek("ts")))
+    if value:
+        bucket = F.when(F.col("value") < 5, 0).when(F.col("value") < 20, 1).when(F.col("value").isNotNull(), 2)
+        tokens = F.concat(tokens, F.array(category("value", bucket)))
     return events.select(F.col("event_id").alias("sample_id"), (F.col("event_type") == "purchase").cast("int").alias("label"), F.filter(tokens, lambda t: t.isNotNull()).alias("tokens"))
 
 
@@ -82,10 +86,13 @@ _BASKET = _COUNT.format(
     "unnest(['brand=' || p_brand, 'type=' || p_type, 'rf=' || l_returnflag, 'supp=' || l_suppkey, 'qty=' || l_quantity::INT]) AS f "
     "FROM lineitem JOIN part ON l_partkey = p_partkey JOIN orders ON l_orderkey = o_orderkey"
 )
-_EVENTS = _COUNT.format(
+_EVENT = (
     "SELECT event_id AS sample_id, CASE WHEN event_type = 'purchase' THEN 1 ELSE 0 END AS label, "
-    "unnest(['user=' || user_id, 'k=' || regexp_extract(props, '\"k\": *(-?[0-9]+)', 1), 'hour=' || hour(ts), 'dow=' || (dayofweek(ts) + 1)]) AS f FROM events"
+    "unnest(['user=' || user_id, 'k=' || regexp_extract(props, '\"k\": *(-?[0-9]+)', 1), 'hour=' || hour(ts), 'dow=' || (dayofweek(ts) + 1){0}]) AS f FROM events"
 )
+_BUCKET = ", 'value=' || CASE WHEN value < 5 THEN 0 WHEN value < 20 THEN 1 WHEN value IS NOT NULL THEN 2 END"
+_EVENTS = _COUNT.format(_EVENT.format(""))
+_EVENTS_VALUE = _COUNT.format(f"SELECT * FROM ({_EVENT.format(_BUCKET)}) WHERE f IS NOT NULL")
 _DENSE = "SELECT vec_id AS sample_id, 'd' || i AS f, embedding[i + 1]::DOUBLE AS x, CASE WHEN label < 5 THEN 1 ELSE 0 END AS label FROM embeddings, range(64) AS r(i)"
 PAGE_TEXT = "regexp_replace(coalesce(html, ''), '<[^>]*>', ' ', 'g')"
 
@@ -112,6 +119,7 @@ WORKLOADS: dict[str, Workload] = {
     "toxic": Workload(lambda s, d: counted(labelled(s, d, "toxic")), text_sql("documents JOIN labels USING (doc_id)", "doc_id", "toxic"), 2.0**-21),
     "basket": Workload(baskets, _BASKET, 2.0**-18, "sample_id % 5 = 0"),
     "events": Workload(lambda s, d: counted(event_samples(s, d)), _EVENTS, 2.0**-11),
+    "events_value": Workload(lambda s, d: counted(event_samples(s, d, value=True)), _EVENTS_VALUE, 2.0**-11),
     "dense": Workload(lambda s, d: vector(read(s, d, "embeddings").select(F.col("vec_id").alias("sample_id"), (F.col("label") < 5).cast("int").alias("label"), "embedding"), "embedding"), _DENSE, 2.0**-3),
     "role": Workload(lambda s, d: counted(turns(s, d)), text_sql("conversations", "conv_id * 1000 + turn", "CASE WHEN role = 'assistant' THEN 1 ELSE 0 END"), 2.0**-16, "floor(sample_id / 1000) % 5 = 0"),
 }

@@ -43,6 +43,12 @@ def test_entry(spark):
     assert set(entry.oracle_sql()) <= set(entry.queries())
 
 
+def test_values_of_events_are_tokens(spark, sf, con):
+    """Every value that is not null is in one bucket."""
+    held = queries.QUERIES["q_events_value_tokens"](spark, sf).where("f LIKE 'value=%'").agg({"tf": "sum"}).first()[0]
+    assert held == con.execute("SELECT count(value) FROM events").fetchone()[0]
+
+
 def test_no_word_is_cut(spark, sf, con):
     """The flagship query, the solvers and the queries named whole see words after the fifth."""
     import __spark_entry__ as entry
