@@ -7,8 +7,8 @@ lengths; what two fingerprints share, weighted by length and divided by the smal
 containment. As boundaries depend on nearby bytes only, a change shifts no chunk far from it.
 
 Edges: null text counts as empty and has an empty fingerprint, which is like nothing but another
-empty one; equal texts have equal fingerprints; ties of the order are broken by the text; extra
-columns are ignored.
+empty one; equal texts have equal fingerprints; ties of the order are broken by a hash of the text;
+null ids come last; extra columns are ignored; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -18,7 +18,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .storage import parallelism, ship
@@ -117,19 +117,23 @@ def with_next(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -
     """Rows (bucket, ghost, doc_id, text) dealt and sorted so that each row is followed by the next by descending id.
 
     Every range of ids also gets, last and marked as ghost, the first row of the range below it (of
-    the highest range, for the lowest): so each range is read alone, in order, in a stream.
+    the highest range, for the lowest): so each range is read alone, in order, in a stream. The greatest
+    id of each range, a number for each task, is found first on the ids alone; texts are then read once.
     """
     spark = docs.sparkSession
-    n = parallelism(spark)
-    rows = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.coalesce(text_col, F.lit("")).alias("text"))
-    rows = rows.withColumn("bucket", bucket_of("doc_id", range_bounds(docs, id_col, n)))
-    tops = rows.groupBy("bucket").agg(F.max("doc_id").alias("top"))  # one row for each range
-    up = F.coalesce(F.lead("bucket").over(Window.orderBy("bucket")), F.min("bucket").over(Window.orderBy("bucket").rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)))
-    tops = tops.select(F.col("bucket").alias("_of"), "top", up.alias("_to"))
-    firsts = rows.join(F.broadcast(tops), (F.col("_of") == F.col("bucket")) & F.col("top").eqNullSafe(F.col("doc_id")))
-    moved = firsts.groupBy(F.col("_to").alias("bucket"), "doc_id").agg(F.max("text").alias("text"))
-    both = rows.select("bucket", F.lit(False).alias("ghost"), "doc_id", "text").unionByName(moved.select("bucket", F.lit(True).alias("ghost"), "doc_id", "text"))
-    return both.repartition(n, "bucket").sortWithinPartitions("bucket", "ghost", F.desc_nulls_last("doc_id"), F.desc("text"))
+    bounds = range_bounds(docs, id_col, parallelism(spark))
+    ids = docs.select(F.col(id_col).cast("bigint").alias("doc_id"))
+    held = sorted(ids.groupBy(bucket_of("doc_id", bounds).alias("bucket")).agg(F.max("doc_id").alias("top")).collect())
+    tops = [(x["top"], held[(k + 1) % len(held)]["bucket"]) for k, x in enumerate(held)]
+    text = F.coalesce(F.col(text_col), F.lit(""))
+    rows = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), text.alias("text"), F.xxhash64(text).alias("order"))
+    met = rows.join(F.broadcast(spark.createDataFrame(tops, "top bigint, to int")), F.col("top").eqNullSafe(F.col("doc_id")), "left")
+    place = lambda bucket, ghost: F.struct(bucket.cast("int").alias("bucket"), F.lit(ghost).alias("ghost"))
+    own = place(bucket_of("doc_id", bounds), False)
+    places = F.when(F.col("to").isNull(), F.array(own)).otherwise(F.array(own, place(F.col("to"), True)))
+    both = met.select(F.explode(places).alias("place"), "doc_id", "text", "order").select("place.*", "doc_id", "text", "order")
+    dealt = both.repartitionById(len(bounds) + 1, F.col("bucket"))
+    return dealt.sortWithinPartitions("ghost", F.desc_nulls_last("doc_id"), "order").drop("order")
 
 
 def pairs_with_next(batches: Iterator[pa.RecordBatch], at_once: int = 512) -> Iterator[list[tuple]]:

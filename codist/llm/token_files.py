@@ -16,13 +16,14 @@ from __future__ import annotations
 import uuid
 import zlib
 from collections.abc import Iterator
+from math import isqrt
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .storage import _written, parallelism, shared_dir, ship
+from .storage import _written, shared_dir, ship
 
 SCHEMA = "doc_id bigint, n_tokens int, ids array<{}>, bucket int"
 
@@ -34,11 +35,15 @@ def range_bounds(docs: DataFrame, id_col: str, n: int) -> list[int]:
 
 
 def bucket_of(id_col: str, bounds: list[int]):
-    """0 up to the first bound, 1 up to the second, and so on."""
+    """0 up to the first bound, 1 up to the second, and so on; found in two steps, among groups of bounds and within one."""
     if not bounds:
         return F.lit(0)
-    held = F.array(*[F.lit(x).cast("bigint") for x in bounds])
-    return F.coalesce(F.size(F.filter(held, lambda x: x < F.col(id_col))), F.lit(0))
+    width = isqrt(len(bounds)) + 1
+    groups = [bounds[i : i + width] for i in range(0, len(bounds), width)]
+    numbers = lambda xs: F.array(*[F.lit(x).cast("bigint") for x in xs])
+    below = lambda xs: F.size(F.filter(xs, lambda x: x < F.col(id_col)))
+    group = below(numbers([g[0] for g in groups])) - 1
+    return F.coalesce(group * width + below(F.get(F.array(*map(numbers, groups)), group)), F.lit(0))
 
 
 def new_folder(spark: SparkSession) -> str:
@@ -53,7 +58,7 @@ def write_tokens(tokens: DataFrame, path: str, bounds: list[int], id_col: str =
     rows = tokens.select(F.col(id_col).cast("bigint").alias("doc_id"), F.coalesce(ids_col, F.array().cast("array<smallint>" if narrow else "array<int>")).alias("ids"))
     order = F.xxhash64("ids").alias("order")
     rows = rows.select("doc_id", F.size("ids").alias("n_tokens"), "ids", bucket_of("doc_id", bounds).alias("bucket"), order)
-    dealt = rows.repartition(max(len(bounds) + 1, parallelism(tokens.sparkSession)), "bucket")
+    dealt = rows.repartitionById(len(bounds) + 1, F.col("bucket"))
     ordered = dealt.sortWithinPartitions("bucket", "doc_id", "order").drop("order")
     writer = ordered.write.partitionBy("bucket")
     writer.options(**{"compression": "zstd", "orc.bloom.filter.columns": "doc_id", "orc.bloom.filter.fpp": "0.01", "orc.row.index.stride": str(index_stride), "orc.stripe.size": str(stripe_bytes)}).orc(path)

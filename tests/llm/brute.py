@@ -139,3 +139,50 @@ def katz(docs, is_train):
 
     rows = [(d, out, len(w), sum(x in uni for x in w), total, sum(math.log10((uni[x] + 1) / (total + kinds + 1)) for x in w), sum(math.log10(prob(a, b)) for a, b in zip([0, *w], w))) for d, out, w in held]
     return rows, prob, uni
+
+
+def chunk_ends(raw, gear, least=8, normal=24, most=96):
+    """Ends of content-defined chunks: 6 leading zero bits of the hash of the last 16 bytes up to the normal size, 3 above it."""
+    zeros = []
+    for i in range(len(raw)):
+        h = sum(int(gear[raw[i - j]]) << j for j in range(min(16, i + 1))) & 0xFFFFFFFF
+        zeros.append(32 - h.bit_length())
+    out, at = [], 0
+    while at < len(raw):
+        end = min(at + most, len(raw))
+        for e in range(at + least, end):
+            if zeros[e - 1] >= (6 if e <= at + normal else 3):
+                end = e
+                break
+        out.append(end)
+        at = end
+    return out
+
+
+def fingerprint(text, gear):
+    """{(digest, length)} of the chunks."""
+    raw, at, out = text.encode(), 0, set()
+    for e in chunk_ends(raw, gear):
+        out.add((hashlib.blake2b(raw[at:e], digest_size=4).hexdigest(), e - at))
+        at = e
+    return out
+
+
+def likeness(a, b):
+    if a == b:
+        return 1.0
+    total = lambda s: sum(n for _, n in s)
+    return total(a & b) / min(total(a), total(b)) if a and b else 0.0
+
+
+def fingerprinted(docs, gear):
+    """(doc_id, n_chars, digest of the edited text, fingerprint, edited fingerprint, near_edited, near_next)."""
+    said = lambda f: "".join(sorted(d + f"{n:02x}" for d, n in f))
+    held = sorted(((d, x or "") for d, x in docs), reverse=True)
+    marks, out = [fingerprint(x, gear) for _, x in held], []
+    for i, (d, x) in enumerate(held):
+        k, j = len(x) // 2, (i + 1) % len(held)
+        edited = x[: len(x) - k] + held[j][1][:k]
+        new = fingerprint(edited, gear)
+        out.append((d, len(x), sha(edited), said(marks[i]), said(new), likeness(marks[i], new), likeness(marks[i], marks[j])))
+    return sorted(out)

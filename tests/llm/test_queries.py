@@ -1,10 +1,12 @@
 """The registered queries and the pipeline, on the smallest tables and on planted documents."""
 
+import zlib
+
 import duckdb
 import pytest
 
 import corpus_pipeline
-from codist.llm import catalog
+from codist.llm import catalog, fingerprint
 
 from . import brute
 
@@ -68,12 +70,23 @@ def test_op7(spark, sf, texts):
     assert rows_of(spark, sf, "op7_substrings", "doc_id", "n_words", "n_removed", "kept_sha256") == want
 
 
+def test_op8(spark, sf, texts):
+    ids, _ = brute.tokenized(public_tokenizers.path(catalog.WORD_BPE), [x for _, x in texts])
+    start, want = 0, []
+    for (d, _), i in zip(texts, ids):
+        raw = b"".join(k.to_bytes(4, "little") for k in [*i, 1])
+        want.append((d, start, len(i) + 1, zlib.crc32(raw)))
+        start += len(i) + 1
+    assert rows_of(spark, sf, "op8_token_files", "doc_id", "start", "n_tokens", "ids_crc32") == want
+
+
 def test_op10(spark, sf, texts):
-    have = rows_of(spark, sf, "op10_fingerprint", "doc_id", "fingerprint", "near_edited", "near_next")
-    by = dict(texts)
-    assert all((a[1] == b[1]) or by[a[0]] != by[b[0]] for a in have for b in have[:40])
-    near = [r for r in have if len(by[r[0]]) > 400]
-    assert sum(r[2] for r in near) / len(near) > 0.4 and sum(r[3] for r in near) / len(near) < 0.1
+    have = rows_of(spark, sf, "op10_fingerprint", "doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next")
+    want = brute.fingerprinted(texts, fingerprint._GEAR)
+    assert [h[:5] for h in have] == [w[:5] for w in want]
+    assert all(h[5:] == pytest.approx(w[5:]) for h, w in zip(have, want))
+    near = [r for r in have if r[1] > 400]
+    assert sum(r[5] for r in near) / len(near) > 0.4 and sum(r[6] for r in near) / len(near) < 0.1
 
 
 @pytest.fixture(scope="module")
