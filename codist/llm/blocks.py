@@ -89,12 +89,13 @@ def unpack_words(held: bytes) -> list[bytes]:
     return out
 
 
-def document_blocks(batches: Iterator[pa.RecordBatch], text: str, most: int = BLOCK_BYTES) -> Iterator[pa.Table]:
-    """The task's rows in tables of about ``most`` bytes of text."""
+def document_blocks(batches: Iterator[pa.RecordBatch], text: str | Callable[[pa.RecordBatch], pa.Array], most: int = BLOCK_BYTES) -> Iterator[pa.Table]:
+    """The task's rows in tables of about ``most`` bytes of text; ``text`` is a column's name or gives the texts of a batch."""
+    texts = text if callable(text) else lambda batch: batch.column(text)
     held, size = [], 0
     for batch in batches:
         i = 0
-        at = np.cumsum(np.concatenate([[0], np.nan_to_num(pc.binary_length(batch.column(text)).to_numpy(zero_copy_only=False)).astype(np.int64)]))
+        at = np.cumsum(np.concatenate([[0], np.nan_to_num(pc.binary_length(texts(batch)).to_numpy(zero_copy_only=False)).astype(np.int64)]))
         while i < batch.num_rows:
             j = min(batch.num_rows, max(i + 1, int(np.searchsorted(at, at[i] + most - size, side="right")) - 1))
             held.append(batch.slice(i, j - i))

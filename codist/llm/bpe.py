@@ -34,7 +34,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .blocks import ASKED, document_blocks, numbered, pack, pack_words, per_part, split_requests, trim, unpack, unpack_words
-from .storage import parallelism, ship, stored
+from .storage import parts_of, ship, stored
 
 # The characters with the White_Space property, and the clitics and
 # alternatives of the split patterns of the two supported kinds of tokenizer file.
@@ -178,7 +178,7 @@ def encode(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: st
     ``decoded_out`` names one more column, with the text that the ids decode to.
     """
     spark = ship(docs.sparkSession)
-    parts = parallelism(spark)
+    parts = parts_of(docs)
     with open(tokenizer, encoding="utf-8") as f:
         config = spark.sparkContext.broadcast(f.read())
     docs = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))

@@ -1,13 +1,15 @@
 """Benchmark decontamination: windows of benchmark words looked up in documents.
 
-The distinct word windows of a benchmark form a hash set that every task holds; each document's
-windows are hashed by prefix sums over its words, looked up, and hits are verified byte by byte.
-A benchmark whose windows exceed ``held_windows`` is cut into blocks of items that are scanned one
-after the other, so that what a task holds never grows with the benchmark.
-
-Edges: null or empty texts have no words; an item without words has no window; items that share an
-id count once, items with a null id mark words without being listed; repeated documents give
-repeated rows; extra columns are ignored; with an empty benchmark nothing is hit.
+The distinct word windows of a benchmark form a hash set that every task holds, as sorted arrays; each
+document's windows are hashed by prefix sums over its words, looked up, and hits are verified byte by
+byte. A task holds at most ``held_windows`` windows (or those of one item), at about 20 bytes each besides
+the benchmark's words: a benchmark with more is cut into blocks of items that are scanned one after the
+other, over documents that were given a number each, and a document's hits are put together by it.
+
+Edges: every row is judged by its own text, whatever its id. Null or empty texts have no words; an item
+without words has no window; items that share an id count once, items with a null id mark words without
+being listed; repeated documents give repeated rows, null ids are kept; extra columns are passed through;
+with an empty benchmark nothing is hit.
 """
 
 from __future__ import annotations
@@ -16,78 +18,88 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
+from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .storage import ship
-from .textarrays import ALNUM, U, Words, chunks, texts_of, whole, window_hashes
+from .storage import columns_of, row_and, row_of, ship, stored
+from .textarrays import ALNUM, U, Words, chunks, mixed, texts_of, whole, window_hashes
 
 SPANS = "array<struct<start:int,end:int>>"
+HELD_WINDOWS = 2_000_000
 
 
 class WindowSet:
-    """Windows of up to ``n`` words of items: by window length, sorted hashes and the words behind them."""
+    """Distinct windows of up to ``n`` words of items.
+
+    For each window length: sorted hashes, for each the first of its words in ``words``, and the items that
+    have it, as places in ``ids`` from ``begin[i]`` to ``begin[i + 1]``.
+    """
 
     def __init__(self, items: list[tuple[str | None, str]], n: int):
-        self.of: dict[int, dict[bytes, set]] = {}
-        self.words: dict[int, dict[int, set[bytes]]] = {}
-        data, at = texts_of(pa.array([x for _, x in items], pa.string()))
-        words = Words(data, at, ALNUM, lower=True)
-        hashes = words.hashes()
-        for i, (item, _) in enumerate(items):
-            a, b = int(words.first[i]), int(words.first[i + 1])
-            k = min(n, b - a)
-            if k:
-                for j, h in enumerate(window_hashes(hashes[a:b], k).tolist()):
-                    said = b" ".join(words.word(x) for x in range(a + j, a + j + k))
-                    self.of.setdefault(k, {}).setdefault(said, set()).add(item)
-                    self.words.setdefault(k, {}).setdefault(h, set()).add(said)
-        self.sorted = {k: np.sort(np.fromiter(x, dtype=U, count=len(x))) for k, x in self.words.items()}
-        self.filter = {}
-        for k, x in self.sorted.items():
-            held = np.zeros(1 << 20, dtype=bool)
-            held[(x >> U(44)).astype(np.int64)] = True
-            self.filter[k] = held
-
-    def hits(self, words: Words, hashes: np.ndarray) -> Iterator[tuple[int, int, bytes]]:
-        """(first word, number of words, the words) of each occurrence of a window."""
-        for k, keys in self.sorted.items():
+        self.ids = [x for x, _ in items]
+        self.words = words = Words(*texts_of(pa.array([x for _, x in items], pa.string())), ALNUM, lower=True)
+        words.start, words.end = words.start.astype(np.uint32 if len(words.data) < 1 << 32 else np.int64), words.end.astype(np.uint32 if len(words.data) < 1 << 32 else np.int64)
+        hashes, size = words.hashes(), np.diff(words.first)
+        self.held: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]] = {}
+        self.filter: dict[int, np.ndarray] = {}
+        for k in sorted(set(np.minimum(size[size > 0], n).tolist())):
+            own = np.flatnonzero(np.minimum(size, n) == k)
+            many = size[own] - k + 1
+            item = np.repeat(own, many)
+            at = np.repeat(words.first[own], many) + np.arange(len(item)) - np.repeat(np.cumsum(many) - many, many)
+            one, two = window_hashes(hashes, k)[at], window_hashes(mixed(hashes ^ U(k)), k)[at]
+            order = np.lexsort((item, two, one))
+            one, two, item, at = one[order], two[order], item[order], at[order]
+            new = np.concatenate([[True], (one[1:] != one[:-1]) | (two[1:] != two[:-1])])
+            fresh = new | np.concatenate([[True], item[1:] != item[:-1]])
+            first = np.flatnonzero(new)
+            begin = np.append(np.cumsum(fresh)[first] - 1, int(fresh.sum()))
+            self.held[k] = one[first], at[first].astype(np.int32 if len(words) < 1 << 31 else np.int64), begin.astype(np.int64), item[fresh].astype(np.int32)
+            self.filter[k] = np.zeros(1 << 20, dtype=bool)
+            self.filter[k][(one >> U(44)).astype(np.int64)] = True
+
+    def hits(self, words: Words, hashes: np.ndarray) -> Iterator[tuple[int, int, np.ndarray]]:
+        """(first word, number of words, places of items) of each occurrence of a window."""
+        for k, (keys, rep, begin, item) in self.held.items():
             h = window_hashes(hashes, k)
             if not len(h):
                 continue
             maybe = np.flatnonzero(self.filter[k][(h >> U(44)).astype(np.int64)])
-            if not len(maybe):
-                continue
             maybe = maybe[whole(words.first, len(h), k)[maybe]]
-            found = keys[np.minimum(np.searchsorted(keys, h[maybe]), len(keys) - 1)] == h[maybe]
-            for i in maybe[found].tolist():
-                said = b" ".join(words.word(x) for x in range(i, i + k))
-                if said in self.words[k][int(h[i])]:
-                    yield i, k, said
-
-
-def _scan(windows, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    windows = windows.value
-    for batch in batches:
-        data, at = texts_of(batch.column("text"))
-        n_words, spans, found = np.zeros(batch.num_rows, dtype=np.int64), [None] * batch.num_rows, [None] * batch.num_rows
-        for i, j in chunks(at):
-            words = Words(data[at[i] : at[j]], at[i : j + 1] - at[i], ALNUM, lower=True)
-            n_words[i:j] = np.diff(words.first)
-            marks: dict[int, list[tuple[int, int]]] = {}
-            for a, k, said in windows.hits(words, words.hashes()):
-                doc = int(np.searchsorted(words.first, a, side="right")) - 1
-                marks.setdefault(doc, []).append((a, a + k))
-                found[i + doc] = (found[i + doc] or set()) | {x for x in windows.of[k][said] if x is not None}
-            for doc, ranges in marks.items():
-                first = int(words.first[doc])
-                spans[i + doc] = merged([(a - first, b - first) for a, b in ranges])
-        yield pa.RecordBatch.from_pydict({
-            "id": batch.column("id"),
-            "n_words": pa.array(n_words),
-            "spans": pa.array([[{"start": a, "end": b} for a, b in x or ()] for x in spans], pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())]))),
-            "items": pa.array([sorted(x or ()) for x in found], pa.list_(pa.string())),
-        })
+            low = np.searchsorted(keys, h[maybe])
+            same = keys[np.minimum(low, len(keys) - 1)] == h[maybe]
+            for i, g in zip(maybe[same].tolist(), low[same].tolist()):
+                said = [words.word(x) for x in range(i, i + k)]
+                while g < len(keys) and keys[g] == h[i]:
+                    if said == [self.words.word(x) for x in range(rep[g], rep[g] + k)]:
+                        yield i, k, item[begin[g] : begin[g + 1]]
+                    g += 1
+
+
+FOUND = f"n_words bigint, spans {SPANS}, items array<string>"
+_SPAN = pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())]))
+
+
+def _scanned(texts: pa.Array, windows: WindowSet) -> list[pa.Array]:
+    """n_words, spans and items of each text."""
+    data, at = texts_of(texts)
+    n_words, spans, found = np.zeros(len(texts), dtype=np.int64), [()] * len(texts), [()] * len(texts)
+    for i, j in chunks(at):
+        words = Words(data[at[i] : at[j]], at[i : j + 1] - at[i], ALNUM, lower=True)
+        n_words[i:j] = np.diff(words.first)
+        marks: dict[int, list[tuple[int, int]]] = {}
+        named: dict[int, set[int]] = {}
+        for a, k, items in windows.hits(words, words.hashes()):
+            doc = int(np.searchsorted(words.first, a, side="right")) - 1
+            marks.setdefault(doc, []).append((a, a + k))
+            named.setdefault(doc, set()).update(items.tolist())
+        for doc, ranges in marks.items():
+            first = int(words.first[doc])
+            spans[i + doc] = [{"start": a - first, "end": b - first} for a, b in merged(ranges)]
+            found[i + doc] = sorted({x for k in named[doc] if (x := windows.ids[k]) is not None})
+    return [pa.array(n_words), pa.array(spans, _SPAN), pa.array(found, pa.list_(pa.string()))]
 
 
 def merged(ranges: list[tuple[int, int]]) -> list[tuple[int, int]]:
@@ -114,29 +126,48 @@ def _block_of(items: DataFrame, n: int, held_windows: int) -> Iterator[list[tupl
         yield held
 
 
-def find_contamination(docs: DataFrame, benchmark: DataFrame, n: int = 10, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text", held_windows: int = 5_000_000) -> DataFrame:
-    """(id_col, n_words, spans: ranges of hit words, items) for each document."""
-    spark = ship(docs.sparkSession)
-    docs = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
-    id_type = docs.schema["id"].dataType.simpleString()
+def _scan(rows: DataFrame, windows: Broadcast, keep: str, kind, text, hits_only: bool = False) -> DataFrame:
+    """Column ``keep`` of each row (or of each with a hit) and what its text, which ``text`` takes from a batch, holds of the windows."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            found = pa.RecordBatch.from_arrays([batch.column(keep), *_scanned(text(batch), windows.value)], names=[keep, "n_words", "spans", "items"])
+            yield found.filter(pc.greater(pc.list_value_length(found.column("spans")), 0)) if hits_only else found
+
+    return rows.mapInArrow(run, kind)
+
+
+def _contaminated(docs: DataFrame, benchmark: DataFrame, n: int, text_col: str, item_col: str, item_text: str, held_windows: int) -> DataFrame:
+    """(row: the columns of ``docs``, n_words, spans, items)."""
+    spark, place = ship(docs.sparkSession), docs.columns.index(text_col)
     items = benchmark.select(F.col(item_col).cast("string"), F.coalesce(item_text, F.lit(""))).distinct()
-    scans = []
-    for block in _block_of(items, n, held_windows):
-        windows = spark.sparkContext.broadcast(WindowSet(block, n))
-        scans.append(docs.mapInArrow(lambda batches, windows=windows: _scan(windows, batches), f"id {id_type}, n_words bigint, spans {SPANS}, items array<string>"))
-    if not scans:
-        windows = spark.sparkContext.broadcast(WindowSet([], n))
-        scans.append(docs.mapInArrow(lambda batches: _scan(windows, batches), f"id {id_type}, n_words bigint, spans {SPANS}, items array<string>"))
-    out = scans[0]
-    if len(scans) > 1:
-        for x in scans[1:]:
-            out = out.unionByName(x)
-        out = out.groupBy("id").agg(F.max("n_words").alias("n_words"), F.flatten(F.collect_list("spans")).alias("spans"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"))
-        out = out.withColumn("spans", merge_spans("spans"))
-    return out.withColumnRenamed("id", id_col)
-
-
-def merge_spans(spans: str):
+    blocks = (spark.sparkContext.broadcast(WindowSet(b, n)) for b in _block_of(items, n, held_windows))
+    first = next(blocks, None) or spark.sparkContext.broadcast(WindowSet([], n))
+    second = next(blocks, None)
+    rows = docs.select(row_of(docs).alias("row"))
+    text = lambda batch: pc.struct_field(batch.column("row"), place).cast(pa.string())
+    whole_rows = row_and(docs, FOUND)
+    if second is None:
+        return _scan(rows, first, "row", whole_rows, text)
+    rows = stored(rows.withColumn("key", F.monotonically_increasing_id()))  # written, so that a row keeps its number
+    hits = None
+    for block in (first, second, *blocks):
+        found = _scan(rows, block, "key", f"key bigint, {FOUND}", text, hits_only=True)
+        hits = found if hits is None else hits.unionByName(found)
+    lists = lambda c: F.flatten(F.collect_list(c))
+    hits = hits.repartition("key").groupBy("key").agg(F.max("n_words").alias("n_words"), merge_spans(lists("spans")).alias("spans"), F.array_sort(F.array_distinct(lists("items"))).alias("items"))
+    plain = _scan(rows, spark.sparkContext.broadcast(WindowSet([], n)), "key", f"key bigint, {FOUND}", text).select("key", F.col("n_words").alias("words"))
+    met = rows.join(plain, "key").join(hits, "key", "left")
+    return met.select("row", F.col("words").alias("n_words"), F.coalesce("spans", F.array().cast(SPANS)).alias("spans"), F.coalesce("items", F.array().cast("array<string>")).alias("items"))
+
+
+def find_contamination(docs: DataFrame, benchmark: DataFrame, n: int = 10, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text", held_windows: int = HELD_WINDOWS) -> DataFrame:
+    """(id_col, n_words, spans: ranges of hit words, items) for each row of ``docs``."""
+    found = _contaminated(docs.select(id_col, text_col), benchmark, n, text_col, item_col, item_text, held_windows)
+    return found.select(F.col(f"row.`{id_col}`").alias(id_col), "n_words", "spans", "items")
+
+
+def merge_spans(spans):
     """Overlapping and touching ranges put together."""
     start = F.array().cast(SPANS)
     add = lambda out, s: F.when((F.size(out) > 0) & (F.element_at(out, -1)["end"] >= s["start"]), F.concat(F.slice(out, 1, F.size(out) - 1), F.array(F.struct(F.element_at(out, -1)["start"].alias("start"), F.greatest(F.element_at(out, -1)["end"], s["end"]).alias("end"))))).otherwise(F.concat(out, F.array(s)))
@@ -147,42 +178,28 @@ def hit_words(spans: str = "spans"):
     return F.aggregate(spans, F.lit(0).cast("bigint"), lambda n, s: n + (s["end"] - s["start"]))
 
 
-def remove_documents(docs: DataFrame, benchmark: DataFrame, n: int = 10, id_col: str = "doc_id", **names) -> DataFrame:
-    """The documents without any hit, all columns unchanged.
-
-    A document goes if any row with its id is hit; rows with a null id are judged by their own text.
-    """
-    bad = find_contamination(docs.select(id_col, names.get("text_col", "text")), benchmark, n, id_col, **names).where(F.size("items") + F.size("spans") > 0).select(F.col(id_col).alias("_bad")).distinct()
-    return docs.join(bad, docs[id_col].eqNullSafe(bad["_bad"]), "left_anti")
+def remove_documents(docs: DataFrame, benchmark: DataFrame, n: int = 10, text_col: str = "text", item_col: str = "item_id", item_text: str = "text", held_windows: int = HELD_WINDOWS) -> DataFrame:
+    """The rows whose text has no hit, all columns unchanged; rows with one id are judged one by one."""
+    found = _contaminated(docs, benchmark, n, text_col, item_col, item_text, held_windows)
+    return found.where(F.size("spans") == 0).select(*columns_of(docs))
 
 
-def remove_spans(docs: DataFrame, benchmark: DataFrame, n: int = 10, id_col: str = "doc_id", text_col: str = "text", **names) -> DataFrame:
-    """All documents; from hit texts, each range of hit words goes, and what stands around it stays as it is."""
-    spark = ship(docs.sparkSession)
-    kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
-    blocks = [spark.sparkContext.broadcast(WindowSet(b, n)) for b in _block_of(benchmark.select(F.col(names.get("item_col", "item_id")).cast("string"), F.coalesce(names.get("item_text", "text"), F.lit(""))).distinct(), n, 5_000_000)]
+def remove_spans(docs: DataFrame, benchmark: DataFrame, n: int = 10, text_col: str = "text", item_col: str = "item_id", item_text: str = "text", held_windows: int = HELD_WINDOWS) -> DataFrame:
+    """All rows; from hit texts, each range of hit words goes, and what stands around it stays as it is."""
+    found, place = _contaminated(docs, benchmark, n, text_col, item_col, item_text, held_windows), docs.columns.index(text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            column = batch.column(text_col)
-            data, at = texts_of(column)
-            texts = column.to_pylist()
-            for i, j in chunks(at):
-                words = Words(data[at[i] : at[j]], at[i : j + 1] - at[i], ALNUM, lower=True)
-                hashes = words.hashes()
-                cut: dict[int, list[tuple[int, int]]] = {}
-                for windows in blocks:
-                    for a, k, _ in windows.value.hits(words, hashes):
-                        doc = int(np.searchsorted(words.first, a, side="right")) - 1
-                        cut.setdefault(doc, []).append((int(words.start[a]), int(words.end[a + k - 1])))
-                for doc, ranges in cut.items():
-                    b = at[i] + (at[i + doc] - at[i])
-                    raw, p, out = data[b : at[i + doc + 1]].tobytes(), 0, []
-                    for x, y in merged([(x - int(b - at[i]), y - int(b - at[i])) for x, y in ranges]):
-                        out.append(raw[p:x])
-                        p = y
-                    texts[i + doc] = b"".join([*out, raw[p:]]).decode("utf-8", "replace")
-            at_col = batch.schema.get_field_index(text_col)
-            yield batch.set_column(at_col, batch.schema.field(at_col), pa.array(texts, column.type))
-
-    return docs.mapInArrow(run, kinds)
+            texts = pc.struct_field(batch.column("row"), place).cast(pa.string()).to_pylist()
+            for i, spans in enumerate(batch.column("spans").to_pylist()):
+                if spans:
+                    raw, p, out = texts[i].encode(), 0, []
+                    words = Words(*texts_of(pa.array([texts[i]])), ALNUM)
+                    for s in spans:
+                        out.append(raw[p : int(words.start[s["start"]])])
+                        p = int(words.end[s["end"] - 1])
+                    texts[i] = b"".join([*out, raw[p:]]).decode("utf-8", "replace")
+            yield pa.RecordBatch.from_arrays([batch.column("row"), pa.array(texts, pa.string())], names=["row", "cut"])
+
+    cut = found.select("row", "spans").mapInArrow(run, row_and(docs, "cut string"))
+    return cut.select(*[F.col("cut").alias(c) if c == text_col else F.col(f"row.`{c}`").alias(c) for c in docs.columns])

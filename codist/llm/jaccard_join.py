@@ -37,7 +37,7 @@ from pyspark.sql import functions as F
 
 from .blocks import document_blocks, numbered, pack, pack_keys, split_requests, trim, unpack, unpack_keys
 from .components import components
-from .storage import parallelism, ship, stored
+from .storage import parts_of, ship, stored
 from .substring_dedup import _joined, _split, from_ipc, to_ipc
 from .textarrays import NON_SPACE, U, Words, chunks, mixed, texts_of, whole, window_hashes
 
@@ -207,12 +207,12 @@ def weighed(x, y, same: bool, like: Similarity) -> list[np.ndarray]:
 class JaccardJoin:
     def __init__(self, docs: DataFrame, n: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text"):
         self.spark = ship(docs.sparkSession)
-        self.parts = parallelism(self.spark)
+        self.parts = parts_of(docs)
         self.n, self.like = n, Similarity(percent)
         self.docs = docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).cast("string").alias("text"))
         self.packed = self._pack()
-        z = F.explode(F.arrays_zip("id", "n", "h1", "h2", "keys", "signature")).alias("z")
-        self.facts = self.packed.select("block", z).select("block", "z.*")
+        z = F.posexplode(F.arrays_zip("id", "n", "h1", "h2", "keys", "signature")).alias("pos", "z")
+        self.facts = self.packed.select("block", z).select("block", "pos", "z.*")
 
     def _pack(self) -> DataFrame:
         n = self.n
@@ -269,6 +269,15 @@ class JaccardJoin:
         rows = self.facts.where("n > 0").groupBy("n", "h1", "h2").agg(F.min(F.struct(F.col("id").isNull(), "id", "block")).alias("first"), F.first("keys").alias("keys"), F.first("signature").alias("signature"), F.count("*").alias("n_equal"))
         return stored(rows.select("n", "h1", "h2", "first.id", "first.block", "keys", "signature", "n_equal"))
 
+    def large(self, classes: DataFrame, rows: int = 1024, most: int = 100_000) -> DataFrame:
+        """(which: the class, slices) of the classes of more than ``rows`` rows, so that no task meets all rows of one.
+
+        There are at most ``most`` of them: with more rows in all than ``rows * most``, only larger classes count.
+        """
+        total = classes.agg(F.sum("n_equal")).first()[0] or 0
+        share = max(rows, -(-total // most))
+        return classes.where(F.col("n_equal") > share).select(F.struct("n", "h1", "h2").alias("which"), F.ceil(F.col("n_equal") / share).cast("int").alias("slices"))
+
     def bounded(self, pairs: DataFrame, classes: DataFrame) -> DataFrame:
         """Those of the pairs (a, b) that size and signature bounds allow, with the blocks of both."""
         like = self.like
@@ -483,8 +492,12 @@ class JaccardJoin:
         if links:
             named = named.join(stored(self.linked_rows(classes, labels)), "id", "left").withColumn("n_links", F.col("n_equal") - 1 + F.coalesce("others", F.lit(0)))
         named = named.select(F.col("n").alias("_n"), F.col("h1").alias("_h1"), F.col("h2").alias("_h2"), F.coalesce("label", "id").alias("component_id"), "n_equal", *(["n_links"] if links else []))
-        same = (F.col("n") == F.col("_n")) & (F.col("h1") == F.col("_h1")) & (F.col("h2") == F.col("_h2"))
-        found = self.facts.join(named, same, "left")
+        large = F.broadcast(self.large(classes))
+        slices = F.coalesce("slices", F.lit(1))
+        named = named.join(large, F.struct("_n", "_h1", "_h2") == F.col("which"), "left").withColumn("_slice", F.explode(F.sequence(F.lit(0), slices - 1))).drop("which", "slices")
+        facts = self.facts.select("block", "pos", "id", "n", "h1", "h2").join(large, F.struct("n", "h1", "h2") == F.col("which"), "left").withColumn("slice", F.pmod(F.col("block") + F.col("pos"), slices))
+        same = (F.col("n") == F.col("_n")) & (F.col("h1") == F.col("_h1")) & (F.col("h2") == F.col("_h2")) & (F.col("slice") == F.col("_slice"))
+        found = facts.join(named, same, "left")
         own = [F.col("n").cast("bigint").alias("n_shingles"), F.coalesce("component_id", "id").alias("component_id"), F.coalesce("n_equal", F.lit(1)).alias("n_equal")]
         return found.select("id", *own, *([F.coalesce("n_links", F.lit(0)).alias("n_links")] if links else []))
 

@@ -4,23 +4,28 @@ from __future__ import annotations
 
 import atexit
 import contextlib
+import re
 import tempfile
 import uuid
 from collections.abc import Iterator
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import functions as F
+from pyspark.sql.types import StructField, StructType
 
 from ..plans.shipping import ship
 
-__all__ = ["parallelism", "recorded", "release", "shared_dir", "ship", "stored"]
+__all__ = ["columns_of", "parallelism", "parts_of", "recorded", "release", "row_and", "row_of", "shared_dir", "ship", "stored"]
 
 _written: list[tuple[SparkSession, str, str]] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The checkpoint folder of the session; only where none is set, a temporary one."""
+    """The checkpoint folder of the session; only where none is set, a temporary one, and that in one process alone."""
     where = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not where:
+        if not re.fullmatch(r"local(\[[^]]*\])?", spark.sparkContext.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         where = "file://" + tempfile.mkdtemp(prefix="codist-")
         spark.sparkContext.setCheckpointDir(where)
         where = spark.sparkContext.getCheckpointDir() or where
@@ -31,6 +36,31 @@ def parallelism(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
 
 
+#: What a part of a keyed table is meant to stand for, and sizes beyond which the optimizer only guesses.
+PART_BYTES, UNKNOWN_BYTES = 32 << 20, 1 << 60
+
+
+def parts_of(docs: DataFrame) -> int:
+    """Parts for what comes of ``docs``: by the bytes that its plan reads, and at least the shuffle partitions."""
+    size = int(str(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return max(parallelism(docs.sparkSession), -(-size // PART_BYTES) if size < UNKNOWN_BYTES else 1)
+
+
+def row_of(docs: DataFrame) -> Column:
+    """All columns as one struct, under which no name of an operator can clash with theirs."""
+    return F.struct(*[F.col(f"`{c}`") for c in docs.columns])
+
+
+def row_and(docs: DataFrame, more: str) -> StructType:
+    """The type of ``row_of(docs)``, as column ``row``, and further columns as in a table's definition."""
+    return StructType([StructField("row", docs.schema), *StructType.fromDDL(more).fields])
+
+
+def columns_of(docs: DataFrame, row: str = "row", but: tuple[str, ...] = ()) -> list[Column]:
+    """The columns of ``docs`` back from ``row_of``, without those named like a result."""
+    return [F.col(f"{row}.`{c}`").alias(c) for c in docs.columns if c.lower() not in but]
+
+
 def stored(df: DataFrame, bucket_by: str | None = None, buckets: int | None = None) -> DataFrame:
     """Writes ``df`` to the shared folder and returns the table read back.
 

@@ -27,13 +27,14 @@ from pyspark.sql import functions as F
 
 from .blocks import ASKED, document_blocks, numbered, pack, per_part, split_requests, unpack
 from .fm_index import FMIndex
-from .storage import parallelism, ship, stored
+from .storage import columns_of, parts_of, row_and, row_of, ship, stored
 from .textarrays import NON_SPACE, U, Words, mixed, texts_of, whole, window_hashes
 
 SHARD_WORDS = 1 << 19
 BLOCK_BYTES = 4 << 20
 HOT_BITS = 16
 LAST = np.iinfo(np.int64).max
+RESULTS = ("n_words", "n_removed", "removed", "kept")
 
 
 def sliding_argmin(x: np.ndarray, span: int) -> np.ndarray:
@@ -92,7 +93,7 @@ def least(keys: np.ndarray, *columns: tuple[np.ndarray, np.ufunc]) -> tuple[np.n
 
 
 def _ids(table: pa.Table) -> np.ndarray:
-    return pc.fill_null(table.column("_id"), LAST).to_numpy().astype(np.int64)
+    return pc.fill_null(table.column("id"), LAST).to_numpy().astype(np.int64)
 
 
 def _joined(*arrays: bytes) -> bytes:
@@ -143,15 +144,10 @@ def shard_answers(parts: list[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarr
         text = np.zeros(place[-1], dtype=np.int64)
         where = np.arange(int(length[rep].sum())) + np.repeat(np.arange(len(rep)), length[rep])
         text[where] = np.unique(np.concatenate([words[at[p] : at[p] + length[p]] for p in rep.tolist()]), return_inverse=True)[1] + 1
-        index = FMIndex(text, window)
-        row_doc = np.full(len(index.sa), LAST)
-        owner = np.repeat(np.arange(len(rep)), length[rep] + 1)
-        inside = index.sa < len(owner)
-        row_doc[inside] = low[owner[index.sa[inside]]]
-        run_doc = np.minimum.reduceat(row_doc, index.run_begin)
+        index = FMIndex(text, window, np.repeat(low, length[rep] + 1))
         run = index.windows(text, place)  # the 0 after each piece matches nothing, so no window holds it
         windows = run[np.concatenate([np.arange(p, p + n) for p, n in zip(place[:-1].tolist(), size[rep].tolist())])]
-        found = np.where(windows >= 0, run_doc[np.maximum(windows, 0)], LAST)
+        found = np.where(windows >= 0, index.least[np.maximum(windows, 0)], LAST)
         begin = np.cumsum(size[rep]) - size[rep]
         for p, k in zip(mine.tolist(), np.searchsorted(kind, content).tolist()):
             out[total[p] : total[p] + size[p]] = found[begin[k] : begin[k] + size[p]]
@@ -160,19 +156,38 @@ def shard_answers(parts: list[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarr
 
 
 def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", window: int = 50, anchor: int = 16) -> DataFrame:
-    """All columns and n_words, n_removed, removed (ranges of words), kept (the other words, joined by blanks)."""
-    spark = ship(docs.sparkSession)
-    parts = parallelism(spark)
-    columns = docs.columns
-    docs = docs.withColumn("_id", F.col(id_col).cast("bigint")).withColumn("_text", F.col(text_col).cast("string"))
+    """All columns and n_words, n_removed, removed (ranges of words), kept (the other words, joined by blanks).
+
+    Columns of ``docs`` that have the name of one of these four give way to it.
+    """
+    return _repeats(docs, id_col, text_col, window, anchor).select(*columns_of(docs, but=RESULTS), *RESULTS)
+
+
+def cut_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size_col: str | None = None, window: int = 50, anchor: int = 16) -> DataFrame:
+    """``docs`` with the kept words for text where any were removed, and their length in ``size_col``; all else is unchanged."""
+    found = _repeats(docs, id_col, text_col, window, anchor)
+    new = {text_col: F.col("kept"), size_col: F.length("kept")}
+    cut = lambda f: F.when(F.col("n_removed") > 0, new[f.name].cast(f.dataType)).otherwise(F.col(f"row.`{f.name}`")).alias(f.name)
+    return found.select(*[cut(f) if f.name in new else F.col(f"row.`{f.name}`").alias(f.name) for f in docs.schema.fields])
+
+
+def _repeats(docs: DataFrame, id_col: str, text_col: str, window: int, anchor: int) -> DataFrame:
+    """(row: the columns of ``docs``, and the results)."""
+    ship(docs.sparkSession)
+    parts = parts_of(docs)
+    given, place = docs, docs.columns.index(text_col)
+    docs = docs.select(F.col(id_col).cast("bigint").alias("id"), row_of(docs).alias("row"))
+
+    def texts(table: pa.Table | pa.RecordBatch) -> pa.Array:
+        return pc.struct_field(table.column("row"), place).cast(pa.string())
 
     def segments(table: pa.Table) -> tuple[Words, np.ndarray, Segments]:
-        words = Words(*texts_of(table.column("_text")), NON_SPACE)
+        words = Words(*texts_of(texts(table)), NON_SPACE)
         hashes = words.hashes()
         return words, hashes, Segments(words, hashes, window, anchor)
 
     def cut(batches):
-        for block, table in numbered(document_blocks(batches, "_text", BLOCK_BYTES)):
+        for block, table in numbered(document_blocks(batches, texts, BLOCK_BYTES)):
             found, ids = segments(table)[2], _ids(table)
             doc = ids[found.doc]
             key, low, high, n = least(found.anchor, (doc, np.minimum), (doc, np.maximum), (np.ones(len(doc), np.int64), np.add))
@@ -267,10 +282,10 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
             else:
                 spans.append([])
                 kept.append(words.joined(a, b))
-        out = table.select(columns)
+        out = table.select(["row"])
         for name, x in (("n_words", pa.array(n_words, pa.int64())), ("n_removed", pa.array(n_removed, pa.int64())), ("removed", pa.array(spans, pa.list_(span))), ("kept", pa.array(kept, pa.binary()).cast(pa.string()))):
             out = out.append_column(name, x)
         return out
 
-    kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.select(columns).schema.fields)
-    return bodies.groupBy("block").cogroup(both.groupBy("block")).applyInArrow(finish, f"{kinds}, n_words bigint, n_removed bigint, removed array<struct<start:int,end:int>>, kept string")
+    kinds = row_and(given, "n_words bigint, n_removed bigint, removed array<struct<start:int,end:int>>, kept string")
+    return bodies.groupBy("block").cogroup(both.groupBy("block")).applyInArrow(finish, kinds)

@@ -186,3 +186,53 @@ def fingerprinted(docs, gear):
         new = fingerprint(edited, gear)
         out.append((d, len(x), sha(edited), said(marks[i]), said(new), likeness(marks[i], new), likeness(marks[i], marks[j])))
     return sorted(out)
+
+
+def kneser_ney(samples, order=5):
+    """Interpolated Kneser-Ney models of characters, by language: cross-entropy a character of a text under each."""
+    import unicodedata
+
+    def letter(c):
+        low = c.lower()
+        return (low if len(low) == 1 else c) if unicodedata.category(c)[0] == "L" else " "
+
+    def read(text):
+        out = [" "]
+        for c in map(letter, text):
+            if c != " " or out[-1] != " ":
+                out.append(c)
+        return [" "] * (order - 2) + out
+
+    alphabet = {c for texts in samples.values() for x in texts for c in map(letter, x) if c != " "}
+    symbols = lambda text: ["?" if c != " " and c not in alphabet else c for c in read(text)]
+    models = {}
+    for name, texts in samples.items():
+        counts = Counter()
+        for x in texts:
+            s = symbols(x)
+            counts.update(tuple(s[i - order + 1 : i + 1]) for i in range(order - 1, len(s)))
+        levels = []
+        for _ in range(order):
+            once, twice = (sum(v == k for v in counts.values()) for k in (1, 2))
+            off, total, kinds = once / (once + 2 * twice) if once else 0.5, Counter(), Counter()
+            for g, v in counts.items():
+                total[g[:-1]] += v
+                kinds[g[:-1]] += 1
+            levels.append((counts, off, total, kinds))
+            counts = Counter(g[1:] for g in counts)
+        models[name] = levels
+
+    def prob(levels, gram):
+        p = 1 / (len(alphabet) + 2)
+        for k, (counts, off, total, kinds) in enumerate(reversed(levels), 1):
+            g = gram[len(gram) - k :]
+            if t := total[g[:-1]]:
+                p = (max(counts[g] - off, 0) + off * kinds[g[:-1]] * p) / t
+        return p
+
+    def bits(text):
+        s = symbols(text or "")
+        grams = [tuple(s[i - order + 1 : i + 1]) for i in range(order - 1, len(s))]
+        return {name: -sum(math.log2(prob(levels, g)) for g in grams) / max(len(grams), 1) for name, levels in models.items()}
+
+    return bits

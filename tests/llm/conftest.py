@@ -39,7 +39,7 @@ def clashing(docs):
     """Extra columns under names that the operators use within."""
     from pyspark.sql import functions as F
 
-    names = ["id", "block", "part", "rows", "n", "keys", "label", "a", "b", "bucket", "ghost", "ids", "body", "train", "signature", "size", "start"]
+    names = ["id", "block", "part", "rows", "n", "keys", "label", "a", "b", "bucket", "ghost", "ids", "body", "train", "signature", "size", "start", "row", "_id", "_text", "score", "lang_pred", "cross_entropy", "accepted", "kept", "n_words", "n_removed", "removed", "spans", "items", "key", "words", "order", "to", "top"]
     return docs.select("*", *[F.lit(n).alias(n) for n in names])
 
 

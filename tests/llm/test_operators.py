@@ -92,18 +92,20 @@ def test_chat_plan_is_native(spark, sf):
 # ---------------------------------------------------------------- 3
 
 
-ITEMS = [(1, 12), (2, 10), (3, 4), (3, 30), (None, 15)]
+ITEMS = [(1, 12), (2, 10), (3, 4), (3, 30), (None, 15), (4, 12), (5, 4)]
 
 
 @pytest.fixture(scope="module")
 def leaked(spark, rows):
     rng = random.Random(2)
     items = [(i, " ".join(f"q{rng.randrange(50)}" for _ in range(n))) for i, n in ITEMS] + [(9, None), (10, "...")]
+    items[5], items[6] = (4, items[0][1]), (5, items[2][1])  # windows that two items share
     texts = [(r[0], r[1]) for r in rows] + [(10_000 + k, f"Before it, {x.upper()}! after") for k, (_, x) in enumerate(items) if x] + [(20_000, items[1][1] + " " + items[0][1]), (20_001, " ".join(items[0][1].split()[:9]))]
+    texts += [(1, items[0][1]), (1, "clean words"), (1, items[1][1] + " tail"), (None, items[2][1]), (None, "clean too"), (2, None), (2, None)]
     return spark.createDataFrame(texts, "doc_id bigint, text string"), spark.createDataFrame(items, "item_id bigint, text string"), texts, items
 
 
-@pytest.mark.parametrize("held_windows", [5_000_000, 8])
+@pytest.mark.parametrize("held_windows", [5_000_000, 8, 1])
 def test_contamination(leaked, held_windows):
     docs, items, texts, listed = leaked
     want = brute.contamination(texts, listed)
@@ -113,14 +115,27 @@ def test_contamination(leaked, held_windows):
     assert have == sorted(named, key=str) and any(h for _, _, h, _ in named)
 
 
-def test_removal(leaked, nothing):
+@pytest.mark.parametrize("held_windows", [5_000_000, 8])
+def test_removal(leaked, nothing, held_windows):
     docs, items, texts, listed = leaked
-    bad = {d for d, _, h, _ in brute.contamination(texts, listed) if h}
-    assert {r["doc_id"] for r in decontaminate.remove_documents(docs, items).collect()} == {d for d, _ in texts} - bad
-    cut = {r["doc_id"]: r["text"] for r in decontaminate.remove_spans(docs, items).collect()}
-    assert all(cut[d] == x for d, x in texts if d not in bad) and cut[10_000] == "Before it, ! after"
+    want = [(d, x) for (d, x), (_, _, h, _) in zip(texts, brute.contamination(texts, listed)) if not h]
+    docs = docs.withColumn("kept", F.lit(1)).withColumn("row", F.lit("r"))
+    kept = decontaminate.remove_documents(docs, items, held_windows=held_windows)
+    assert kept.columns == docs.columns and got(kept, "doc_id", "text") == sorted(want, key=str)
+    cut = decontaminate.remove_spans(docs, items, held_windows=held_windows)
+    have = got(cut, "doc_id", "text", "kept", "row")
+    assert len(have) == len(texts) and all((d, x, 1, "r") in have for d, x in want) and (10_000, "Before it, ! after", 1, "r") in have and (1, " tail", 1, "r") in have
     assert decontaminate.find_contamination(docs, items.limit(0)).where("size(items) > 0").count() == 0
-    assert decontaminate.find_contamination(nothing, items).count() == 0
+    assert decontaminate.find_contamination(nothing, items, held_windows=held_windows).count() == 0
+
+
+def test_window_sets_are_small():
+    rng = random.Random(1)
+    items = [(str(i), " ".join(f"w{rng.randrange(10**6)}" for _ in range(500))) for i in range(200)]
+    windows = decontaminate.WindowSet(items, 10)
+    n = len(windows.held[10][0])
+    size = sum(x.nbytes for x in windows.held[10]) + sum(x.nbytes for x in (windows.words.data, windows.words.start, windows.words.end))
+    assert n > 98_000 and size < 45 * n
 
 
 # ---------------------------------------------------------------- 4
@@ -130,10 +145,32 @@ def test_language_models(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     models = langid.learn_models(docs.where(langid.fold("doc_id", 4) != 2))
     held = langid.identify(docs.where(langid.fold("doc_id", 4) == 2), models)
-    assert held.where("lang_pred = lang").count() >= 0.95 * held.count() and held.where("accepted").count() == held.count()
+    assert held.where("lang_pred = lang").count() >= 0.95 * held.count() and held.where("accepted").count() >= 0.97 * held.count()
     assert all(0 <= r["score"] <= 1 for r in held.collect())
 
 
+def test_rejection_is_fitted(spark):
+    """At most at the stated rate for rows of known languages; shuffled letters, foreign text and random strings go."""
+    rows = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").orderBy("doc_id").select("text", "lang").collect()
+    by = {}
+    for r in rows:
+        by.setdefault(r["lang"], []).append(r["text"])
+    learn, calibrate, rest = ({k: v[i::3] for k, v in by.items()} for i in range(3))
+    rng = random.Random(1)
+    taken = lambda m, xs: m.predict(xs)[3].mean()
+    models = langid.fit(learn, calibrate, 0.01)
+    texts = [x for v in rest.values() for x in v]
+    assert taken(models, texts) >= 0.95
+    assert (langid.fit(learn, calibrate, 0.3).limit <= models.limit + 1e-9).all()
+    for n, most in ((20, 0.1), (200, 0)):
+        mixed = ["".join(rng.sample(x[:n], len(x[:n]))) for x in texts if len(x) >= n]
+        noise = ["".join(rng.choice("abcdefghijklmnopqrstuvwxyz     ") for _ in range(n)) for _ in range(200)]
+        assert taken(models, mixed) <= max(most, 0.02) and taken(models, noise) <= most
+    for gone in by:
+        other = langid.fit({k: v for k, v in learn.items() if k != gone}, {k: v for k, v in calibrate.items() if k != gone}, 0.01)
+        assert taken(other, [x[:200] for x in by[gone] if len(x) >= 200]) <= 0.1, gone
+
+
 def test_distributions_add_up_to_one():
     models = langid.fit({"x": ["abca bcab cab", "aab"], "y": ["bbb ccc bca"]}, {})
     size, top = models.alphabet.size, models.grams[-1]
@@ -155,6 +192,8 @@ def test_language_edges(spark, clashing, nothing):
     assert {r["lang_pred"] for r in langid.identify(clashing, empty).collect()} == {"und"}
     assert langid.identify(nothing, models).count() == 0
     trained = langid.fit({"en": ["the cat sat on the mat and then the dog came " * 5] * 3}, {})
+    kept = langid.keep_identified(clashing, models, fill="lang")
+    assert kept.columns == clashing.columns and kept.where("score <> 'score' or lang is null").count() == 0
     assert not trained.predict(["жжж щщщ ыыы эээ " * 20])[3][0] and trained.predict(["the dog sat on the mat"])[3][0]
 
 
@@ -222,6 +261,14 @@ def test_signatures_bound_from_above():
         assert jaccard_join.differing(jaccard_join.signature(a), jaccard_join.signature(a[: len(a) // 3 + 1])) <= len(a) - len(a) // 3 - 1
 
 
+def test_jaccard_slices_large_classes(spark):
+    texts = [(k, "one text of some words that very many rows have") for k in range(50)] + [(60 + k, f"other words {k} by which no two rows are alike") for k in range(9)] + [(99, None)]
+    join = jaccard_join.JaccardJoin(spark.createDataFrame(texts, "doc_id bigint, text string"))
+    join.large = functools.partial(join.large, rows=7)
+    assert sorted((r["id"], r["n_shingles"], r["component_id"]) for r in join.run().collect()) == brute.jaccard(texts)
+    assert [r["slices"] for r in join.large(join.classes()).collect()] == [8] and join.large(join.classes(), rows=7, most=1).count() == 0
+
+
 def test_jaccard_edges(spark, nothing, docs, rows):
     assert jaccard_join.near_duplicates(nothing).count() == 0
     kept = {r["doc_id"] for r in jaccard_join.keep_first(docs).collect()}
@@ -285,7 +332,13 @@ def test_repeats(clashing, rows, monkeypatch, limits):
     monkeypatch.setattr(substring_dedup, "HOT_BITS", limits[1])
     have = substring_dedup.remove_repeats(clashing)
     assert got(have, "doc_id", "n_words", "n_removed", "kept") == sorted(brute.repeats([(r[0], r[1]) for r in rows]), key=str)
-    assert set(clashing.columns) < set(have.columns)
+    assert set(clashing.columns) <= set(have.columns)
+    cut = substring_dedup.cut_repeats(clashing, size_col="n_chars")
+    texts = {r[0]: r[3] if r[2] else None for r in brute.repeats([(r[0], r[1]) for r in rows])}
+    assert cut.columns == clashing.columns and cut.where("kept <> 'kept' or _id <> '_id' or row <> 'row'").count() == 0
+    for r, (_, x, *_) in zip(sorted(cut.select("doc_id", "text", "n_chars").collect()), sorted(rows)):
+        want = x if texts[r["doc_id"]] is None else texts[r["doc_id"]]
+        assert (r["text"], r["n_chars"]) == (want, len(want or ""))
     assert all(sum(s["end"] - s["start"] for s in r["removed"]) == r["n_removed"] for r in have.collect())
 
 
@@ -314,6 +367,15 @@ def test_fm_index():
         for i in range(len(query)):
             inside = i + k <= 150 or i >= 150 and i + k <= len(query)
             assert found[i] == (inside and 0 not in query[i : i + k] and tuple(query[i : i + k]) in have), (k, i)
+    marks = np.array([rng.randrange(10**6) for _ in text])
+    index = fm_index.FMIndex(text, 3, marks)
+    by = {}
+    for i in range(len(text) - 2):
+        by.setdefault(tuple(text[i : i + 3]), []).append(marks[i])
+    found = index.windows(text, np.array([0, len(text)]))
+    assert all(index.least[r] == min(by[tuple(text[i : i + 3])]) for i, r in enumerate(found) if r >= 0) and (found >= 0).sum() > 200
+    held = sum(b.words.nbytes + b.near.nbytes + b.far.nbytes for b in [*fm_index.FMIndex(np.arange(1, 200_001), 50).wavelet.levels])
+    assert held < 200_000 * 18 * 1.3 / 8
     x = np.array([rng.randrange(0, 9) for _ in range(300)])
     matrix = fm_index.WaveletMatrix(x)
     at, symbol = np.array([rng.randrange(0, 301) for _ in range(200)]), np.array([rng.randrange(0, 9) for _ in range(200)])
