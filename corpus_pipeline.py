@@ -48,8 +48,7 @@ def language_identification(spark: SparkSession, docs: DataFrame, sf_dir: str) -
     models = langid.learn_models(docs)
     if not models.languages:
         return docs
-    found = langid.identify(docs, models).where("accepted")
-    return found.withColumn("lang", F.coalesce("lang", "lang_pred")).select(*docs.columns)
+    return langid.keep_identified(docs, models, fill="lang")
 
 
 @_stage()
@@ -61,10 +60,7 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 @_stage()
 def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents, without the windows of 50 words that an earlier one holds; other texts are unchanged."""
-    found = substring_dedup.remove_repeats(docs)
-    text = F.when(F.col("n_removed") > 0, F.col("kept")).otherwise(F.col("text"))
-    size = F.when(F.col("n_removed") > 0, F.length("kept")).otherwise(F.col("n_chars"))
-    return found.withColumn("n_chars", size.cast(docs.schema["n_chars"].dataType)).withColumn("text", text).select(*docs.columns)
+    return substring_dedup.cut_repeats(docs, size_col="n_chars")
 
 
 @_stage()
