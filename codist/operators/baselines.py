@@ -5,7 +5,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.inference import grad_term, nll, sigmoid
@@ -14,10 +14,11 @@ from . import gradients, objective, params
 from .assemble import distribute, margins
 
 
-def central_pull(entries: DataFrame, weights: DataFrame, max_params: int = 10_000_000) -> DataFrame:
-    """Every task holds all weights and pulls what its samples need; refuses more than ``max_params``."""
-    if weights.limit(max_params + 1).count() > max_params:
-        raise ValueError(f"more than {max_params} weights do not fit a central store")
+def central_pull(entries: DataFrame, weights: DataFrame, max_params: int = 10_000_000, max_bytes: int = 1 << 30) -> DataFrame:
+    """Every task holds all weights and pulls what its samples need; refuses more than ``max_params`` or ``max_bytes``."""
+    size = weights.limit(max_params + 1).agg(F.count("*").alias("n"), F.coalesce(F.sum(F.octet_length(F.col("f").cast("string")) + 32), F.lit(0)).alias("bytes")).first()
+    if size["n"] > max_params or size["bytes"] > max_bytes:
+        raise ValueError(f"more than {max_params} weights or {max_bytes} bytes do not fit a central store")
     return distribute(weights, entries, "broadcast")
 
 
@@ -26,9 +27,9 @@ def block_pull(entries: DataFrame, weights: DataFrame, block: str = "block") ->
     return entries.select(block, "f").distinct().join(weights, "f", "left").select(block, "f", F.coalesce("theta", F.lit(0.0)).alias("theta"))
 
 
-def server_load(weights: DataFrame, entries: DataFrame, servers: int) -> DataFrame:
-    """(server, parameters, requests) when weights are cut over servers by hash."""
-    owner = F.pmod(F.xxhash64("f"), F.lit(servers)).alias("server")
+def server_load(weights: DataFrame, entries: DataFrame, servers: int, key: Column | None = None) -> DataFrame:
+    """(server, parameters, requests) when weights are cut over servers by hash, or by the remainders of ``key``."""
+    owner = F.pmod(F.xxhash64("f") if key is None else key, F.lit(servers)).alias("server")
     held = weights.groupBy(owner).agg(F.count("*").alias("parameters"))
     return held.join(entries.groupBy(owner).agg(F.count("*").alias("requests")), "server", "left")
 

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..plans.storage import partitions, stored
+
 
 def build(entries: DataFrame, layout: str = "flat", partitions: int | None = None) -> DataFrame:
     """``flat``: (f, sample_id, x, label), dealt and sorted by feature, no row grows with a feature's frequency.
@@ -40,10 +42,14 @@ def frequencies(entries: DataFrame) -> DataFrame:
 def ranked(freq: DataFrame) -> DataFrame:
     """Adds the rank by falling frequency, ties by name, without one task seeing all features.
 
-    Features of one frequency are ranked among themselves; the ranks before each frequency come from
-    the counts of frequencies, of which there are few.
+    Features are sorted in ranges that a task each writes, numbered in their order; a range's ranks begin
+    after the rows of the ranges before it, one number for each task. A frequency that very many features
+    have, as 1, is in many ranges.
     """
-    levels = freq.groupBy("df").agg(F.count("*").alias("k"))
-    before = levels.select(F.col("df").alias("_df"), (F.sum("k").over(Window.orderBy(F.desc("df"))) - F.col("k")).alias("_before"))
-    within = freq.withColumn("_in", F.row_number().over(Window.partitionBy("df").orderBy("f")))
-    return within.join(before, F.col("df") == F.col("_df")).withColumn("rank", F.col("_before") + F.col("_in")).drop("_in", "_df", "_before")
+    parts = partitions(freq.sparkSession)
+    order = [F.desc("df"), F.asc("f")]
+    held = stored(freq.repartitionByRange(parts, *order).sortWithinPartitions(*order).withColumn("_m", F.monotonically_increasing_id()))
+    held = held.withColumn("_p", F.shiftright("_m", 33))
+    counts = held.groupBy("_p").agg(F.count("*").alias("_k"))  # a row for each range
+    before = counts.select("_p", (F.sum("_k").over(Window.orderBy("_p")) - F.col("_k")).alias("_before"))
+    return held.join(F.broadcast(before), "_p").withColumn("rank", F.col("_before") + F.col("_m").bitwiseAND(F.lit((1 << 33) - 1)) + 1).drop("_m", "_p", "_before")

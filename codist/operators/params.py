@@ -53,8 +53,12 @@ class Versions:
         stream.write(bytearray(json.dumps({"iter": iteration, "event_time": event_time}).encode()))
         stream.close()
         current, _ = self._fs("CURRENT")
-        fs.delete(current, False)
-        fs.rename(new, current)
+        jvm, gateway = self.spark._jvm, self.spark.sparkContext._gateway
+        kind = getattr(jvm.org.apache.hadoop.fs, "Options$Rename")
+        how = gateway.new_array(kind, 1)
+        how[0] = kind.OVERWRITE
+        context = jvm.org.apache.hadoop.fs.FileContext.getFileContext(current.toUri(), self.spark._jsc.hadoopConfiguration())
+        context.rename(fs.makeQualified(new), fs.makeQualified(current), how)  # in one step, so that there always is one
         return out
 
     def current(self) -> int | None:

@@ -10,6 +10,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..model import PATH
+from ..plans.storage import partitions, stored
 
 EMPTY = F.array
 POLICIES = ("sample_aligned", "round_robin", "range", "rack_aligned")
@@ -25,47 +26,83 @@ def slot(sample_id: Column, slots: int, hashed: bool = True) -> Column:
 
 
 def child(policy: str, n: Column, slots: int, racks: int = 1, hashed: bool = True) -> Column:
-    """Child number from 1 to n. Only ``round_robin`` and ``range`` bound every child by the length asked for."""
+    """Child number from 1 to n, of ``round_robin`` and ``range`` by the place ``_r`` in the list of length ``_c``.
+
+    Only these two bound every child by the length asked for.
+    """
     s = slot(F.col("sample_id"), slots, hashed)
     if policy == "sample_aligned":
         return F.pmod(s, n) + 1
     if policy == "rack_aligned":  # rack first, then the slot within the rack
         return F.pmod(F.pmod(s, F.lit(racks)) + F.lit(racks) * F.floor(s / racks), n) + 1
-    w = Window.partitionBy("f", "shard_path").orderBy("sample_id")
     if policy == "round_robin":
-        return F.pmod(F.row_number().over(w) - 1, n) + 1
+        return F.pmod(F.col("_r"), n) + 1
     if policy == "range":
-        size = F.count("*").over(Window.partitionBy("f", "shard_path"))
-        return F.floor((F.row_number().over(w) - 1) * n / size) + 1
+        return F.floor(F.col("_r") * n / F.col("_c")) + 1
     raise ValueError(policy)
 
 
+def placed(rows: DataFrame, keys: tuple[str, ...] = ("f", "shard_path")) -> DataFrame:
+    """Adds ``_r``, the place from 0 on of each row in its list by sample id, without one task sorting a whole list.
+
+    Ids are cut into ranges, by quantiles where they are numbers and else by the top bits of their hash; rows
+    are numbered within their list and range, and the counts of the ranges before are added.
+    """
+    parts = partitions(rows.sparkSession)
+    kind = dict(rows.dtypes)["sample_id"]
+    number = kind in ("tinyint", "smallint", "int", "bigint")
+    by = [F.col("sample_id")] if number else [F.xxhash64("sample_id"), F.col("sample_id")]
+    if number:
+        bounds = sorted({int(x) for x in rows.approxQuantile("sample_id", [i / parts for i in range(1, parts)], 0.1 / parts)}) if parts > 1 else []
+        # codegen-friendly for any number of bounds: the ranges are found by a search in an array
+        part = F.size(F.filter(F.array(*[F.lit(x).cast("bigint") for x in bounds]), lambda x: x < F.col("sample_id"))) if bounds else F.lit(0)
+    else:
+        part = F.floor((F.shiftright(by[0], 32) + 2**31) * parts / 2**32).cast("int")
+    rows = rows.withColumn("_q", part)
+    counts = rows.groupBy(*keys, "_q").agg(F.count("*").alias("_k"))
+    before = counts.select(*keys, "_q", (F.sum("_k").over(Window.partitionBy(*keys).orderBy("_q")) - F.col("_k")).alias("_before"))
+    inside = F.row_number().over(Window.partitionBy(*keys, "_q").orderBy(*by)) - 1
+    return rows.withColumn("_in", inside).join(before, [*keys, "_q"]).withColumn("_r", F.col("_before") + F.col("_in")).drop("_q", "_in", "_before")
+
+
 def _split(rows: DataFrame, count: str, max_list: int, policy: str, slots: int, racks: int, hashed: bool) -> DataFrame:
     n = F.ceil(F.col(count) / max_list)
     rows = rows.withColumn("_n", F.coalesce(n, F.lit(1)).cast("int"))
+    if policy in ("round_robin", "range"):
+        calm = rows.where("_n = 1").withColumn("_r", F.lit(0).cast("bigint"))
+        rows = calm.unionByName(placed(rows.where("_n > 1")).select(*calm.columns))
     step = F.struct(child(policy, F.col("_n"), slots, racks, hashed).cast("int").alias("i"), F.col("_n").alias("n"))
     deeper = F.when(F.col("_n") > 1, F.concat("shard_path", F.array(step))).otherwise(F.col("shard_path"))
-    return rows.withColumn("shard_path", deeper.cast(PATH)).drop("_n", count)
+    return rows.withColumn("shard_path", deeper.cast(PATH)).drop("_n", "_r", count)
 
 
 def split_pre(entries: DataFrame, hot: DataFrame, max_list: int, policy: str = "sample_aligned", slots: int = 64, racks: int = 1, hashed: bool = True, max_hot: int = 1_000_000) -> DataFrame:
     """The mapper stage: by frequencies (f, df) of hot features counted before, which are few.
 
-    The hot list is broadcast while it has at most ``max_hot`` rows; beyond that it is joined by an exchange.
+    The hot list is broadcast while it has at most ``max_hot`` rows and 256 MB; beyond that it is joined by an exchange.
     """
     rows = entries if "shard_path" in entries.columns else unsplit(entries)
-    few = hot.where(F.col("df") > max_list).select("f", F.col("df").alias("_c"))
-    if few.limit(max_hot + 1).count() <= max_hot:
-        few = F.broadcast(few)
+    few = _small(hot.where(F.col("df") > max_list).select("f", F.col("df").alias("_c")), max_hot)
     return _split(rows.join(few, "f", "left"), "_c", max_list, policy, slots, racks, hashed)
 
 
-def split_partial(entries: DataFrame, max_list: int, policy: str = "sample_aligned", slots: int = 64, racks: int = 1, hashed: bool = True) -> DataFrame:
-    """The combiner stage: by the counts within each input partition."""
+def _small(lists: DataFrame, most: int, most_bytes: int = 256 << 20) -> DataFrame:
+    """To be broadcast, if rows and bytes of names allow."""
+    size = lists.limit(most + 1).agg(F.count("*").alias("n"), F.coalesce(F.sum(F.octet_length("f") + 64), F.lit(0)).alias("bytes")).first()
+    return F.broadcast(lists) if size["n"] <= most and size["bytes"] <= most_bytes else lists
+
+
+def split_partial(entries: DataFrame, max_list: int, policy: str = "sample_aligned", slots: int = 64, racks: int = 1, hashed: bool = True, max_hot: int = 1_000_000) -> DataFrame:
+    """The combiner stage: by the counts within each input partition.
+
+    The rows are written once with the partition they were in, so that counting and splitting see the same
+    one. Counts combine in each task and only those of long lists come back, broadcast while they are few:
+    entries then move in no exchange.
+    """
     rows = entries if "shard_path" in entries.columns else unsplit(entries)
-    rows = rows.withColumn("_p", F.spark_partition_id())
-    counts = rows.groupBy("_p", "f", "shard_path").agg(F.count("*").alias("_c"))
-    return _split(rows.join(counts, ["_p", "f", "shard_path"]).drop("_p"), "_c", max_list, policy, slots, racks, hashed)
+    rows = stored(rows.withColumn("_p", F.spark_partition_id()))
+    long = _small(rows.groupBy("_p", "f", "shard_path").agg(F.count("*").alias("_c")).where(F.col("_c") > max_list), max_hot)
+    return _split(rows.join(long, ["_p", "f", "shard_path"], "left").drop("_p"), "_c", max_list, policy, slots, racks, hashed)
 
 
 def split_final(entries: DataFrame, max_list: int, policy: str = "round_robin", slots: int = 64, racks: int = 1, hashed: bool = True) -> DataFrame:
@@ -89,16 +126,21 @@ def split(entries: DataFrame, max_list: int, policy: str = "sample_aligned", sta
     if "partial" in stages:
         entries = split_partial(entries, max_list, policy, **options)
     if "final" in stages:
-        entries = split_final(entries, max_list, "round_robin", **options)
+        entries = split_final(entries, max_list, policy, **options)
     return entries
 
 
+def child_key(path: str = "shard_path") -> Column:
+    """A path as text, empty for an unsplit feature: with the feature's name the key of a child."""
+    return F.array_join(F.transform(path, lambda s: F.concat(s["i"].cast("string"), F.lit("_"), s["n"].cast("string"))), "|")
+
+
 def parent_child(split_entries: DataFrame) -> DataFrame:
     """(f, children): all paths of each feature. A list is as long as the feature has children, not samples."""
     return split_entries.select("f", "shard_path").distinct().groupBy("f").agg(F.sort_array(F.collect_list("shard_path")).alias("children"))
 
 
 def spread_parameters(params: DataFrame, children: DataFrame) -> DataFrame:
-    """(f, shard_path, theta): each child has the weight of its parent, 0 if that has none."""
-    joined = children.join(params, "f", "left")
-    return joined.select("f", F.explode("children").alias("shard_path"), F.coalesce("theta", F.lit(0.0)).alias("theta"))
+    """(f, shard_path, theta, child: its key): each child has the weight of its parent, 0 if that has none."""
+    joined = children.join(params, "f", "left").select("f", F.explode("children").alias("shard_path"), F.coalesce("theta", F.lit(0.0)).alias("theta"))
+    return joined.withColumn("child", child_key())

@@ -39,8 +39,10 @@ def index_lines(entries: DataFrame, id_chars: int = 10, block: int = BLOCK) -> D
 
 def cumulative_mass(freq: DataFrame, tops: list[int]) -> DataFrame:
     """(top, mass): entries that the most frequent features hold together, for some numbers of features."""
-    held = ranked(freq).select("rank", "df")
-    return held.agg(*[F.sum(F.when(F.col("rank") <= k, F.col("df")).otherwise(0)).alias(f"k{k}") for k in tops]).select(F.explode(F.array(*[F.struct(F.lit(k).cast("bigint").alias("top"), F.col(f"k{k}").alias("mass")) for k in tops])).alias("s")).select("s.top", "s.mass")
+    levels = freq.groupBy("df").agg(F.count("*").alias("k"))  # no ranks by name are needed: a row for each frequency
+    held = levels.withColumn("before", F.sum("k").over(Window.orderBy(F.desc("df"))) - F.col("k"))
+    taken = lambda top: F.greatest(F.lit(0), F.least(F.col("k"), F.lit(top) - F.col("before")))
+    return held.agg(*[F.sum(taken(k) * F.col("df")).alias(f"k{k}") for k in tops]).select(F.explode(F.array(*[F.struct(F.lit(k).cast("bigint").alias("top"), F.col(f"k{k}").alias("mass")) for k in tops])).alias("s")).select("s.top", "s.mass")
 
 
 def partition_load(entries: DataFrame, key: Column, parts: int) -> DataFrame:

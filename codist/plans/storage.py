@@ -38,8 +38,8 @@ def dealt(df: DataFrame, by: str, n: int) -> bool:
     return re.fullmatch(rf"hashpartitioning\({re.escape(by)}#\d+L?, {n}\)", kind) is not None and "REPARTITION_BY_NUM" in plan.toString()
 
 
-def stored(df: DataFrame, by: str | None = None, path: str | None = None, codec: str = "zstd") -> DataFrame:
-    """Writes and reads back. With ``by``, a table bucketed and sorted by that column, one file a bucket."""
+def stored(df: DataFrame, by: str | tuple[str, ...] | None = None, path: str | None = None, codec: str = "zstd") -> DataFrame:
+    """Writes and reads back. With ``by``, a table bucketed and sorted by that column or those, one file a bucket."""
     spark = df.sparkSession
     name = f"codist_{uuid.uuid4().hex}"
     path = path or f"{shared_dir(spark)}/codist/{name}"
@@ -48,8 +48,9 @@ def stored(df: DataFrame, by: str | None = None, path: str | None = None, codec:
         _written.append((spark, "", path))
         return spark.read.schema(df.schema).parquet(path)
     n = partitions(spark)
-    rows = df if dealt(df, by, n) else df.repartition(n, by)
-    rows.write.mode("overwrite").option("compression", codec).bucketBy(n, by).sortBy(by).option("path", path).saveAsTable(name)
+    keys = (by,) if isinstance(by, str) else by
+    rows = df if len(keys) == 1 and dealt(df, keys[0], n) else df.repartition(n, *keys)
+    rows.write.mode("overwrite").option("compression", codec).bucketBy(n, *keys).sortBy(*keys).option("path", path).saveAsTable(name)
     _written.append((spark, name, path))
     return spark.table(name)
 
@@ -66,7 +67,7 @@ class StagePolicy:
     codec: str = "zstd"
     replicas: int = 1
 
-    def keep(self, df: DataFrame, by: str | None = None) -> DataFrame:
+    def keep(self, df: DataFrame, by: str | tuple[str, ...] | None = None) -> DataFrame:
         if self.written:
             return stored(df, by, codec=self.codec)
         if self.replicas not in (1, 2):

@@ -71,19 +71,22 @@ def fit(
     final_cost: bool = True,
     timed: bool = False,
     policy: StagePolicy = StagePolicy(),
+    publish: params.Versions | None = None,
 ) -> Fitted:
     """Weights of labelled entries (sample_id, f, x, label).
 
     The index is written once, bucketed by feature, and for the ``margins`` form a second time by
     sample; weights are written bucketed by feature after each iteration. So in the loop the index
-    meets weights and residuals without being exchanged again, and plans don't grow. ``form='sufficient'``
+    meets weights and residuals without being exchanged again, and plans don't grow. With ``sharding`` the index
+    is bucketed by the feature and its child, so that the children of a frequent feature lie in many buckets,
+    and the weights are spread and written by the same key. ``form='sufficient'``
     assembles whole samples in every iteration, as for inspection. ``materialize='all'`` also writes the
-    stages in between; ``policy`` says how tables are kept. On divergence the best version is returned, never a silently smaller rate.
+    stages in between; ``policy`` says how tables are kept; with ``publish`` each version is published there. On divergence the best version is returned, never a silently smaller rate.
     """
     spark, optimizer, runs = entries.sparkSession, optimizer or GradientDescent(alpha), []
     entries = entries.where("label is not null")
 
-    def done(stage: str, t: int, make: Callable[[], DataFrame], by: str | None = None, write: bool = True) -> DataFrame:
+    def done(stage: str, t: int, make: Callable[[], DataFrame], by: str | tuple[str, ...] | None = None, write: bool = True) -> DataFrame:
         began = time.perf_counter()
         out = make()
         if write or materialize == "all":
@@ -96,18 +99,23 @@ def fit(
 
     if sharding is not None:
         options = {"policy": sharding.policy, "slots": sharding.slots, "hashed": sharding.hashed}
-        index = done("index", 0, lambda: shard.split(entries, sharding.max_list, stages=sharding.stages, hot=sharding.hot, **options), "f")
+        split = lambda: shard.split(entries, sharding.max_list, stages=sharding.stages, hot=sharding.hot, **options)
+        index = done("index", 0, lambda: split().withColumn("child", shard.child_key()), ("f", "child"))
         children = done("parent_child", 0, lambda: shard.parent_child(index), "f")
     else:
         index = done("index", 0, lambda: entries.select("f", "sample_id", "x", "label"), "f")
     by_sample = done("index", 0, lambda: index, "sample_id") if form == "margins" else None
     theta = done("init", 0, lambda: start if start is not None else params.init(index), "f")
+
+    def spread(theta: DataFrame, t: int) -> tuple[DataFrame, tuple[str, ...]]:
+        if sharding is None:
+            return theta, ("f",)
+        return done("spread", t, lambda: shard.spread_parameters(theta, children), ("f", "child")), ("f", "child")
+
     versions, costs, seconds, verdict, t = [theta], [], [], "go", 0
     while t < max_iter and verdict == "go":
         t, started = t + 1, time.perf_counter()
-        weights, keys = theta, ("f",)
-        if sharding is not None:
-            weights, keys = done("spread", t, lambda: shard.spread_parameters(theta, children), write=False), ("f", "shard_path")
+        weights, keys = spread(theta, t)
         assigned = done("distribute", t, lambda: assemble.distribute(weights, index, strategy, keys), write=False)
         if form == "margins":
             held = done("restore", t, lambda: assemble.margins(assigned), "sample_id")
@@ -128,8 +136,11 @@ def fit(
                 break
         theta = done("update", t, lambda: params.update(theta, grads, optimizer, t), "f")
         versions.append(theta)
+        if publish is not None:
+            done("publish", t, lambda: publish.publish(theta, t), write=False)
         seconds.append(time.perf_counter() - started)
     if final_cost and verdict != "diverged":
-        row = objective.evaluate(theta, index, strategy).first()
+        weights, keys = spread(theta, t + 1)
+        row = objective.of_margins(assemble.margins(assemble.distribute(weights, index, strategy, keys))).first()
         costs.append((t + 1, row["n"], row["nll"]))
     return Fitted(theta, costs, versions, verdict if verdict != "go" else "max_iter", runs, seconds)

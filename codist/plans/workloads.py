@@ -18,7 +18,7 @@ def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def documents(spark: SparkSession, sf_dir: str, first: int | None = None) -> DataFrame:
     """(sample_id, label, tokens): label 1 for two of the four languages."""
     tokens = words(F.col("text"))
-    label = F.col("lang").isin("en", "fr").cast("int")
+    label = F.coalesce(F.col("lang").isin("en", "fr"), F.lit(False)).cast("int")
     return read(spark, sf_dir, "documents").select(F.col("doc_id").alias("sample_id"), label.alias("label"), (F.slice(tokens, 1, first) if first else tokens).alias("tokens"))
 
 

@@ -1,7 +1,8 @@
 """The text format of samples: one line each, a label and ``feature:count`` tokens.
 
 Features may hold colons: a token is split at its last one. The label may be empty. Tokens without a
-count that is a number are malformed and go to a table of their own.
+count that is a number are malformed and go to a table of their own, as does a whole line without a
+label field or with an id or label that is no whole number.
 """
 
 from __future__ import annotations
@@ -20,15 +21,19 @@ def to_lines(entries: DataFrame) -> DataFrame:
 
 
 def from_lines(text: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(entries, rejected tokens) of lines (value). A feature listed twice in a line is added up."""
+    """(entries, rejected (sample_id, token)) of lines (value). A feature listed twice in a line is added up."""
     cells = F.split("value", SEPARATOR)
-    label = F.element_at(cells, 2)
-    rows = text.where(F.length("value") > 0).select(F.element_at(cells, 1).cast("bigint").alias("sample_id"), F.when(label != "", label.cast("int")).alias("label"), F.explode(F.slice(cells, 3, F.greatest(F.size(cells) - 2, F.lit(0)))).alias("token"))
+    label = F.try_element_at(cells, F.lit(2))
+    lines = text.where(F.length("value") > 0).select("value", cells.alias("cells"), F.element_at(cells, 1).try_cast("bigint").alias("sample_id"), label.alias("said"), label.try_cast("int").alias("label"))
+    whole = F.col("sample_id").isNotNull() & F.col("said").isNotNull() & ((F.col("said") == "") | F.col("label").isNotNull())
+    cells = F.col("cells")
+    rows = lines.where(whole).select("sample_id", "label", F.explode(F.slice(cells, 3, F.greatest(F.size(cells) - 2, F.lit(0)))).alias("token"))
     at = F.length("token") - F.length(F.substring_index("token", ":", -1))
     f, x = F.substr("token", F.lit(1), at - 1), F.expr("try_cast(substring_index(token, ':', -1) AS DOUBLE)")
     rows = rows.select("sample_id", "label", "token", F.when(at > 1, f).alias("f"), x.alias("x"))
     good = rows.where("f IS NOT NULL AND x IS NOT NULL").groupBy("sample_id", "f").agg(F.sum("x").alias("x"), F.max("label").alias("label"))
-    return good.select("sample_id", "f", "x", "label"), rows.where("(f IS NULL OR x IS NULL) AND token <> ''").select("sample_id", "token")
+    bad = rows.where("(f IS NULL OR x IS NULL) AND token <> ''").select("sample_id", "token")
+    return good.select("sample_id", "f", "x", "label"), bad.unionByName(lines.where(~whole).select("sample_id", F.col("value").alias("token")))
 
 
 def read_feature_lines(spark: SparkSession, path: str) -> tuple[DataFrame, DataFrame]:

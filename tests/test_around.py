@@ -79,6 +79,10 @@ def test_malformed_lines(spark):
     good, bad = lines.from_lines(text)
     assert sorted(map(tuple, good.collect())) == [(7, "f", 5.0, 1), (9, "h", 1.0, None)]
     assert sorted(r["token"] for r in bad.collect()) == [":4", "g:x", "nocolon"]
+    odd = ["abc\t1\tf:1", "1\tyes\tf:1", "17", "18\t0\tf:1"]
+    good, bad = lines.from_lines(spark.createDataFrame([(x,) for x in odd], "value string"))
+    assert [tuple(r) for r in good.collect()] == [(18, "f", 1.0, 0)]
+    assert sorted(map(tuple, bad.collect()), key=str) == sorted([(None, odd[0]), (1, odd[1]), (17, odd[2])], key=str)
 
 
 @pytest.mark.parametrize("form", ["parquet", "orc", "json", "csv"])
@@ -195,6 +199,41 @@ def test_loop_joins_move_no_index(spark, rows):
     assert "Exchange" not in plan(by_sample.join(resid.hint("merge"), "sample_id"))
 
 
+def test_sharded_index_is_balanced_and_stays(spark):
+    """The children of a hot feature lie in many buckets, and the loop's join moves neither index nor weights."""
+    rng = random.Random(4)
+    df = spark.createDataFrame([(i, f, 1.0, i % 2) for i in range(4000) for f in ("hot", f"g{rng.randrange(400)}")], KIND)
+    split = shard.split(df, 50, "sample_aligned", hashed=True, slots=4096)
+    held = stored(split.withColumn("child", shard.child_key()), ("f", "child"))
+    files = [r["count"] for r in held.groupBy(F.input_file_name()).count().collect()]
+    assert sum(files) == 8000 and max(files) < 2 * 8000 / 4
+    children = stored(shard.parent_child(held), "f")
+    start = stored(params.init(held), "f")
+    weights = stored(shard.spread_parameters(start, children), ("f", "child"))
+    assert "Exchange" not in plan(assemble.distribute(weights, held, "merge", ("f", "child")))
+
+
+def test_places_need_no_whole_list(spark):
+    for kind, of in (("bigint", lambda i: i * 7 % 1000), ("string", lambda i: f"s{i}")):
+        df = spark.createDataFrame([(of(i), f) for i in range(300) for f in (["hot", "b"] if i % 3 else ["hot"])], f"sample_id {kind}, f string")
+        got = shard.placed(shard.unsplit(df)).collect()
+        for f, n in (("hot", 300), ("b", 200)):
+            mine = sorted((r["_r"], r["sample_id"]) for r in got if r["f"] == f)
+            assert [r for r, _ in mine] == list(range(n))
+            if kind == "bigint":
+                assert [s for _, s in mine] == sorted(s for _, s in mine)
+
+
+def test_sufficient_samples_are_independent(spark, rows):
+    """However the samples are dealt out, each has the same probability."""
+    from codist.functions.inference import margin, sigmoid
+
+    whole = assemble.restore(assemble.distribute(fit(rows, 0.01, 1).params, rows))
+    p = lambda d: {r["sample_id"]: r["p"] for r in d.select("sample_id", sigmoid(margin(F.col("feats"))).alias("p")).collect()}
+    parts = [p(whole.where(F.pmod(F.xxhash64("sample_id"), F.lit(3)) == k)) for k in range(3)]
+    assert {k: v for x in parts for k, v in x.items()} == p(whole) == p(whole.repartition(7))
+
+
 def test_scans_are_pruned(spark, sf):
     from codist.plans import workloads
 

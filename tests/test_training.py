@@ -199,6 +199,9 @@ def test_versions(spark, tmp_path):
     assert v.current() is None
     for k in (1, 2):
         v.publish(spark.createDataFrame([("a", float(k))], "f string, theta double"), k)
+    fit(spark.createDataFrame(H1, KIND), 0.25, 2, publish=(w := params.Versions(spark, f"file://{tmp_path}/w")))
+    close(theta(w.load()), {"a": 0.212161284, "b": 0.544419515, "c": -0.470354736, "d": 0.498387347}, 1e-8)
+    assert w.current() == 2
     assert v.current() == 2 and theta(v.load()) == {"a": 2.0} and theta(v.load(1)) == {"a": 1.0}
 
 
