@@ -294,7 +294,10 @@ def encode_in_place(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", tex
     """
     spark = ship(docs.sparkSession)
     with open(tokenizer, encoding="utf-8") as f:
-        config = spark.sparkContext.broadcast(f.read())
+        held = f.read()
+    if narrow and max(len(pieces(held)) - 1, last or 0) >= 1 << 16:
+        raise ValueError("ids of 65,536 and more don't fit 16 bits")
+    config = spark.sparkContext.broadcast(held)
     docs = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

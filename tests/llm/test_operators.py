@@ -407,6 +407,8 @@ def test_token_files(spark, clashing, rows):
 
 
 def test_token_file_edges(spark):
+    with pytest.raises(ValueError, match="16 bits"):
+        bpe.encode_in_place(spark.range(1).selectExpr("id AS doc_id", "'a' AS text"), PATHS[catalog.WORD_BPE], last=1 << 16, narrow=True)
     df = spark.createDataFrame([(3, [1, 2]), (3, [1, 2]), (None, [5]), (1, None), (2, [])], "doc_id bigint, ids array<int>")
     folder = token_files.new_folder(spark)
     token_files.write_tokens(df, folder, token_files.range_bounds(df, "doc_id", 3))
