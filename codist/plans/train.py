@@ -14,18 +14,38 @@ from ..operators import assemble, gradients, objective, params, shard
 from ..operators.objective import StopRule
 from .storage import StagePolicy
 
-#: The general frame: index, bring weights, score each sample alone, sum, update. In order: stage, in the loop.
-STAGES: list[tuple[str, bool]] = [
-    ("init", False),
-    ("index", False),
-    ("parent_child", False),
-    ("spread", True),
-    ("distribute", True),
-    ("restore", True),
-    ("gradients", True),
-    ("update", True),
-    ("publish", True),
-]
+
+
+@dataclass(frozen=True)
+class Stage:
+    """A step of the frame, and the columns that its table has at least."""
+
+    name: str
+    in_loop: bool
+    columns: tuple[str, ...]
+
+    def checked(self, out: DataFrame) -> DataFrame:
+        lacking = [c for c in self.columns if c not in out.columns]
+        if lacking:
+            raise ValueError(f"stage {self.name} lacks {', '.join(lacking)}")
+        return out
+
+
+#: The general frame, in order: index, bring weights, score each sample alone, sum, update.
+STAGES: dict[str, Stage] = {
+    s.name: s
+    for s in (
+        Stage("index", False, ("f", "sample_id", "x", "label")),
+        Stage("parent_child", False, ("f", "children")),
+        Stage("init", False, ("f", "theta")),
+        Stage("spread", True, ("f", "child", "theta")),
+        Stage("distribute", True, ("sample_id", "label", "f", "x", "theta")),
+        Stage("restore", True, ("sample_id", "label")),
+        Stage("gradients", True, ("f", "grad")),
+        Stage("update", True, ("f", "theta")),
+        Stage("publish", True, ("f", "theta")),
+    )
+}
 
 
 @dataclass(frozen=True)
@@ -88,7 +108,7 @@ def fit(
 
     def done(stage: str, t: int, make: Callable[[], DataFrame], by: str | tuple[str, ...] | None = None, write: bool = True) -> DataFrame:
         began = time.perf_counter()
-        out = make()
+        out = STAGES[stage].checked(make())
         if write or materialize == "all":
             out = policy.keep(out, by)
         elif timed:

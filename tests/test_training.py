@@ -230,7 +230,40 @@ def test_empty_and_unlabelled(spark):
 
 def test_stage_runs_are_timed(h1):
     out = fit(h1, 0.25, 1, timed=True)
-    assert {r[0] for r in out.runs} <= {s for s, _ in STAGES} and all(r[2] > 0 for r in out.runs)
+    assert {r[0] for r in out.runs} <= set(STAGES) and all(r[2] > 0 for r in out.runs)
+
+
+def test_stages_check_their_tables(h1):
+    assert STAGES["index"].checked(h1) is h1
+    with pytest.raises(ValueError, match="stage gradients lacks grad"):
+        STAGES["gradients"].checked(h1)
+
+
+def test_samples_are_scored_alone(wide):
+    """However whole samples are cut into batches, each gets the same probability."""
+    df, rows = wide
+    weights, _ = numpy_fit(rows, 0.01, 1)
+    held = df.sparkSession.createDataFrame([(k, float(v)) for k, v in weights[0].items()], "f string, theta double")
+    whole = assemble.restore(assemble.distribute(held, df)).withColumn("p", inference.sigmoid(inference.margin(F.col("feats"))))
+    together = {r["sample_id"]: r["p"] for r in whole.collect()}
+    for batches in (2, 7):
+        apart = {}
+        for b in range(batches):
+            mine = df.where(F.pmod("sample_id", F.lit(batches)) == b)
+            part = assemble.restore(assemble.distribute(held, mine)).select("sample_id", inference.sigmoid(inference.margin(F.col("feats"))).alias("p"))
+            apart |= {r["sample_id"]: r["p"] for r in part.collect()}
+        close(apart, together, 1e-12)
+
+
+def test_converged_at(spark):
+    from codist.operators.metrics import converged_at
+
+    def at(*values):
+        rows = [(k + 1, c, v, v, v) for k, v in enumerate(values) for c in (0, 1)]
+        return converged_at(spark.createDataFrame(rows, "iter int, class int, precision double, recall double, f double"), 0.02).first()["iter"]
+
+    assert at(0.5, 0.9, 0.9, 0.9) == 2 and at(0.9, 0.9) == 1
+    assert at(0.5, 0.9, 0.9, 0.5) is None and at(0.9) is None
 
 
 def test_split_is_nested_and_disjoint(wide):
