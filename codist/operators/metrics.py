@@ -54,11 +54,16 @@ def sliced(predictions: DataFrame, by: Sequence[str], how: str = "rollup") -> Da
 
 
 def converged_at(curve: DataFrame, eps: float) -> DataFrame:
-    """One row: the first iteration after which no measure of any class changes by eps or more. A row for each class and iteration."""
+    """One row: the first iteration after which no measure of any class changes by eps or more; null where the last known change still does.
+
+    ``curve`` has a row for each class and iteration; of one iteration no change is known.
+    """
     w = Window.partitionBy("class").orderBy("iter")
     change = F.greatest(*[F.abs(F.lead(c).over(w) - F.col(c)) for c in ("precision", "recall", "f")])
     moved = curve.withColumn("change", change).groupBy("iter").agg(F.max("change").alias("change"))
-    return moved.agg(F.coalesce(F.max(F.when(F.col("change") >= eps, F.col("iter"))) + 1, F.min("iter")).cast("int").alias("iter"))
+    moving, last = (F.max(F.when(x, F.col("iter"))) for x in (F.col("change") >= eps, F.col("change").isNotNull()))
+    first = F.coalesce(moving + 1, F.min("iter")).cast("int")
+    return moved.agg(F.when(last.isNull() | (moving == last), None).otherwise(first).alias("iter"))
 
 
 def sign_stability(before: DataFrame, after: DataFrame) -> DataFrame:

@@ -663,7 +663,8 @@ def scores_cube(spark, sf_dir, name):
     return _sliced(spark, sf_dir, name, "cube")
 
 
-CURVE = 3
+#: Iterations of a curve, as the survey sets them: enough to see a change after the second.
+CURVE = 6
 
 
 def curve(spark, sf_dir, name, iterations=CURVE):
@@ -689,7 +690,7 @@ def _curve_sql(name, iterations=CURVE):
 for _w in ("short5", "lang31", "quality", "toxic", "basket"):
     query(_curve_sql(_w) + rounded_scores(scores("pp", "iter"), "iter"), f"q_curve_{_w}")(lambda s, d, w=_w: _rounded(curve(s, d, w), "iter", "class"))
 
-_CONV = f", cu AS ({scores('pp', 'iter')}), ch AS (SELECT iter, greatest(abs(lead(precision) OVER w - precision), abs(lead(recall) OVER w - recall), abs(lead(f) OVER w - f)) AS change FROM cu WINDOW w AS (PARTITION BY class ORDER BY iter)), m AS (SELECT iter, max(change) AS change FROM ch GROUP BY iter) SELECT coalesce(max(CASE WHEN change >= 0.02 THEN iter END) + 1, min(iter))::INT AS iter FROM m"
+_CONV = f", cu AS ({scores('pp', 'iter')}), ch AS (SELECT iter, greatest(abs(lead(precision) OVER w - precision), abs(lead(recall) OVER w - recall), abs(lead(f) OVER w - f)) AS change FROM cu WINDOW w AS (PARTITION BY class ORDER BY iter)), m AS (SELECT iter, max(change) AS change FROM ch GROUP BY iter), s AS (SELECT max(CASE WHEN change >= 0.02 THEN iter END) AS moving, max(CASE WHEN change IS NOT NULL THEN iter END) AS known, min(iter) AS one FROM m) SELECT (CASE WHEN known IS NULL OR moving = known THEN NULL ELSE coalesce(moving + 1, one) END)::INT AS iter FROM s"
 
 
 @both(lambda w: _curve_sql(w) + _CONV)
