@@ -130,7 +130,7 @@ def op5_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op6_katz(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return katz.score(table(spark, sf_dir, "documents"), langid.fold("doc_id", 7) != 2)
+    return katz.score(table(spark, sf_dir, "documents"), langid.fold("doc_id", 7) != 2, order=2)
 
 
 def op7_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:

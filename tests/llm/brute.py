@@ -1,5 +1,6 @@
 """Plain versions of what the operators compute, straight from their contracts."""
 
+import functools
 import hashlib
 import math
 import re
@@ -106,38 +107,46 @@ def discounts(counts):
     return turing([0] + [r**slope for r in range(1, 7)])
 
 
-def katz(docs, is_train):
+def katz(docs, is_train, order=2):
     """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score), and the model's probability function and words."""
     held = [(d, not is_train(d), [*spaced((x or "").translate(LOW)), None]) for d, x in docs]
-    uni, pairs = Counter(), defaultdict(Counter)
+    uni, grams = Counter(), [None] + [defaultdict(Counter) for _ in range(1, order)]
     for _, out, w in held:
         if not out:
             uni.update(w)
-            for a, b in zip([0, *w], w):
-                pairs[a][b] += 1
+            marked = [0, *w]
+            for k in range(1, order):
+                for i in range(k, len(marked)):
+                    grams[k][tuple(marked[i - k : i])][marked[i]] += 1
     total, kinds = sum(uni.values()), len(uni)
-    by_word, by_pair = discounts(Counter(uni.values())), discounts(Counter(k for f in pairs.values() for k in f.values()))
-    taken = sum((1 - by_word[k]) * k for k in uni.values() if k <= 5)
+    by = [discounts(Counter(uni.values()))] + [discounts(Counter(n for f in g.values() for n in f.values())) for g in grams[1:]]
+    taken = sum((1 - by[0][k]) * k for k in uni.values() if k <= 5)
     unknown, scale = (taken / total, 1) if total and taken > 0 else (1 / (total + 1), total / (total + 1))
 
-    def word(w):
-        return scale * (by_word[uni[w]] if uni[w] <= 5 else 1) * uni[w] / total if w in uni else unknown
-
-    contexts = {}
-    for a, f in pairs.items():
+    def prob(context, w):
+        if not context:
+            return scale * (by[0][uni[w]] if uni[w] <= 5 else 1) * uni[w] / total if w in uni else unknown
+        k = len(context)
+        if context not in grams[k]:
+            return prob(context[1:], w)
+        t, s, weight = weights(context)
+        n = grams[k][context].get(w)
+        return s * (by[k][n] if n <= 5 else 1) * n / t if n else weight * prob(context[1:], w)
+
+    @functools.cache
+    def weights(context):
+        k = len(context)
+        f = grams[k][context]
         t = sum(f.values())
-        kept = sum((by_pair[k] if k <= 5 else 1) * k for k in f.values())
-        share = sum(map(word, f))
-        contexts[a] = (t, t / (t + 1), 1 / (t + 1) / (1 - share)) if t - kept <= 1e-9 * t else (t, 1, (t - kept) / t / (1 - share))
-
-    def prob(a, w):
-        if a not in contexts:
-            return word(w)
-        t, s, weight = contexts[a]
-        k = pairs[a].get(w)
-        return s * (by_pair[k] if k <= 5 else 1) * k / t if k else weight * word(w)
-
-    rows = [(d, out, len(w), sum(x in uni for x in w), total, sum(math.log10((uni[x] + 1) / (total + kinds + 1)) for x in w), sum(math.log10(prob(a, b)) for a, b in zip([0, *w], w))) for d, out, w in held]
+        kept = sum((by[k][n] if n <= 5 else 1) * n for n in f.values())
+        share = sum(prob(context[1:], w) for w in f)
+        return (t, t / (t + 1), 1 / (t + 1) / (1 - share)) if t - kept <= 1e-9 * t else (t, 1, (t - kept) / t / (1 - share))
+
+    def text(w):
+        marked = [0, *w]
+        return sum(math.log10(prob(tuple(marked[max(0, i - order + 1) : i]), marked[i])) for i in range(1, len(marked)))
+
+    rows = [(d, out, len(w), sum(x in uni for x in w), total, sum(math.log10((uni[x] + 1) / (total + kinds + 1)) for x in w), text(w)) for d, out, w in held]
     return rows, prob, uni
 
 

@@ -298,15 +298,46 @@ def test_components(spark):
 # ---------------------------------------------------------------- 6
 
 
-def test_katz_scores(clashing, rows):
-    want, prob, words = brute.katz([(r[0], r[1]) for r in rows], lambda d: brute.fold(d, 7) != 2)
-    have = {r["doc_id"]: tuple(r) for r in katz.score(clashing, langid.fold("doc_id", 7) != 2).collect()}
+@pytest.mark.parametrize("order, split", [(1, 1 << 20), (2, 1 << 20), (2, 3), (3, 2), (4, 1 << 20)])
+def test_katz_scores(clashing, rows, monkeypatch, order, split):
+    monkeypatch.setattr(katz, "SPLIT", split)
+    want, prob, words = brute.katz([(r[0], r[1]) for r in rows], lambda d: brute.fold(d, 7) != 2, order)
+    check_katz(katz.score(clashing, langid.fold("doc_id", 7) != 2, order=order), want)
+    for a in [0, *list(words)[:10]]:
+        for context in [(), (a,), (0, a), (a, a), tuple(list(words)[:2]), tuple(list(words)[:3])]:
+            if len(context) < order:
+                assert math.isclose(sum(prob(context, w) for w in words) + prob(context, "never seen"), 1, rel_tol=1e-9)
+
+
+def check_katz(have, want):
+    have = {r["doc_id"]: tuple(r) for r in have.collect()}
     assert len(have) == len(want)
     for w in want:
         h = have[w[0]]
         assert h[:5] == w[:5] and all(math.isclose(x, y, rel_tol=1e-9) for x, y in zip(h[5:], w[5:]))
-    for a in [0, *list(words)[:10]]:
-        assert math.isclose(sum(prob(a, w) for w in words) + prob(a, "never seen"), 1, rel_tol=1e-9)
+
+
+def test_katz_model_scores_other_documents(spark, docs, rows, tmp_path, monkeypatch):
+    monkeypatch.setattr(katz, "SPLIT", 5)
+    train = [(r[0], r[1]) for r in rows if brute.fold(r[0], 7) != 2]
+    model = katz.learn(docs.where(langid.fold("doc_id", 7) != 2), order=3)
+    model.save(str(tmp_path / "model"))
+    held = katz.Model.load(spark, str(tmp_path / "model"))
+    want, prob, words = brute.katz([*[(None, x) for _, x in train], *[r[:2] for r in rows]], lambda d: d is None, 3)
+    for m in (model, held):
+        check_katz(m.score(docs), want[len(train) :])
+        assert m.score(docs.limit(0)).count() == 0
+    total = sum(words.values())
+    at = {r["word"]: r for r in held.words().collect()}
+    assert sum(r["count"] for r in at.values()) == total and sorted(r["count"] for r in at.values()) == sorted(words.values())
+    grams, contexts = held.grams(2).collect(), {r["context"]: r for r in held.contexts(2).collect()}
+    assert sum(r["count"] for r in grams) == total == sum(c["total"] for c in contexts.values())
+    by, share, below = held.learnt.by(1), {}, {r["number"]: r["prob"] for r in at.values()}
+    for g in grams:
+        c = contexts[g["context"]]
+        seen, covered = share.get(g["context"], (0.0, 0.0))
+        share[g["context"]] = (seen + c["scale"] * (by[g["count"]] if g["count"] <= 5 else 1) * g["count"] / c["total"], covered + below[g["word"]])
+    assert all(math.isclose(seen + contexts[c]["backoff"] * (1 - covered), 1, rel_tol=1e-9) for c, (seen, covered) in share.items())
 
 
 def test_katz_edges(spark, nothing):
