@@ -11,12 +11,12 @@ from pathlib import Path
 ROOT = Path(__file__).resolve().parents[1]
 
 
-def in_own_spark(code: str, cores: int, partitions: int, memory: str = "4g") -> dict:
+def in_own_spark(code: str, cores: int, partitions: int, memory: str = "4g", mappers: int = 1) -> dict:
     head = f"""
 import sys, time, json
 sys.path.insert(0, {str(ROOT)!r})
 from pyspark.sql import SparkSession, functions as F
-spark = (SparkSession.builder.master("local[{cores}]").config("spark.sql.shuffle.partitions", "{partitions}").config("spark.driver.memory", "{memory}")
+spark = (SparkSession.builder.master("local[{cores}]").config("spark.sql.shuffle.partitions", "{partitions}").config("spark.sql.files.minPartitionNum", "{mappers}").config("spark.driver.memory", "{memory}")
     .config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress", "false").config("spark.sql.session.timeZone", "UTC")
     .config("spark.sql.adaptive.coalescePartitions.enabled", "false").getOrCreate())
 spark.sparkContext.setLogLevel("OFF")
