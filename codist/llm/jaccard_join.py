@@ -7,11 +7,13 @@ are found in two steps, and both verify what they propose:
   all of any group of near copies into one component at linear cost;
 * then comes the exact step. Two sets with similarity t share one of the first n - ceil(t n) + 1 of
   their elements in any common order; rare elements come first, by a count sketch over all documents.
-  Classes that share such an element across components make a neighbourhood. Its members are dealt
-  into tiles by size band, split by hash where a band has many, and pairs of tiles of the same or of
-  adjacent bands are compared by bitmap signatures. Pairs inside one component are linked already and
-  skipped here, and only pairs that the bit counts allow leave a tile, so a group of near copies never
-  gives all its pairs.
+  The few classes that share such an element are paired, where their sizes and the places of the element
+  in the order leave room for enough common ones, and compared by bitmap signatures. Elements that more
+  classes share make neighbourhoods of them. Their members are dealt into tiles by size band, split by
+  hash where a band has many, and pairs of tiles of the same or of adjacent bands are compared by
+  signatures. Only elements of many classes make neighbourhoods: with those of few, chance would bring
+  most of a large table into one. Pairs inside one component are linked already and skipped here, and
+  only pairs that the bit counts allow leave a tile, so a group of near copies never gives all its pairs.
 
 All links lie within components. So they are counted last, by intersecting all pairs of the classes of
 a component that sizes allow: the sets themselves go to tiles of bounded numbers of sets and elements, a
@@ -116,8 +118,8 @@ def _grouped(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return order, np.stack([cut[big], cut[big + 1]], axis=1)
 
 
-def neighbours(keys, ids, labels) -> tuple[np.ndarray, np.ndarray]:
-    """Members of keys that several components share, and for each the least id that such keys join it with."""
+def neighbours(keys, ids, labels, more_than: int = 1) -> tuple[np.ndarray, np.ndarray]:
+    """Members of keys that several components and over ``more_than`` members share, and for each the least id that such keys join it with."""
     order, groups = _grouped(keys)
     held: dict[int, int] = {}
 
@@ -126,7 +128,7 @@ def neighbours(keys, ids, labels) -> tuple[np.ndarray, np.ndarray]:
             held[i] = i = held[held[i]]
         return i
 
-    for a, b in groups.tolist():
+    for a, b in groups[groups[:, 1] - groups[:, 0] > more_than].tolist():
         mine = order[a:b]
         label = labels[mine]
         if (label == label[0]).all():
@@ -138,6 +140,35 @@ def neighbours(keys, ids, labels) -> tuple[np.ndarray, np.ndarray]:
     return np.fromiter(held, dtype=np.int64, count=len(held)), np.array([root(i) for i in held], dtype=np.int64)
 
 
+def paired(keys, ids, labels, sizes, places, like: Similarity, most: int) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct pairs (a < b) of different components that share a key of at most ``most`` members and that sizes and places allow.
+
+    A place is how many elements of the set come before the key in the common order. The first key that two
+    sets share has none in common before it, so what is left after it bounds what they have in common.
+    """
+    order, groups = _grouped(keys)
+    groups = groups[groups[:, 1] - groups[:, 0] <= most]
+    length = groups[:, 1] - groups[:, 0]
+    end = np.repeat(groups[:, 1], length)
+    live = np.arange(len(end)) + np.repeat(groups[:, 0] - (np.cumsum(length) - length), length)
+    found, step = [np.zeros((0, 2), dtype=np.int64)], 0
+    while True:
+        step += 1
+        more = live + step < end
+        live, end = live[more], end[more]
+        if not len(live):
+            break
+        i, j = order[live], order[live + step]
+        common = np.minimum(sizes[i] - places[i], sizes[j] - places[j])  # the key and all after it
+        fit = (labels[i] != labels[j]) & like.sizes(sizes[i], sizes[j]) & like.linked(common, sizes[i], sizes[j])
+        i, j = ids[i[fit]], ids[j[fit]]
+        found.append(np.stack([np.minimum(i, j), np.maximum(i, j)], axis=1))
+    both = np.concatenate(found)
+    both = both[np.lexsort((both[:, 1], both[:, 0]))]
+    both = both[np.concatenate([[True], (both[1:] != both[:-1]).any(axis=1)])] if len(both) else both
+    return both[:, 0], both[:, 1]
+
+
 def folded(signatures: list[bytes], width: int) -> np.ndarray:
     """Signatures as rows of ``width`` 64-bit words, none being narrower."""
     out = np.empty((len(signatures), width), dtype=U)
@@ -344,8 +375,12 @@ class JaccardJoin:
         first = rows.groupBy("j", "key").agg(F.min("id").alias("pivot"), F.count("*").alias("k")).where("k > 1").drop("k")
         return rows.join(first, ["j", "key"]).where("pivot <> id").select(F.col("pivot").alias("a"), F.col("id").alias("b")).distinct()
 
-    def neighbourhoods(self, classes: DataFrame, labels: DataFrame) -> DataFrame:
-        """Pairs (a, b) that join all members of prefix elements shared across components, a star for each part of the elements."""
+    def neighbourhoods(self, classes: DataFrame, labels: DataFrame, pair_rows: int = 256) -> DataFrame:
+        """(a, b, many) of the prefix elements shared across components.
+
+        Of elements that up to ``pair_rows`` classes share, the pairs that may be linked; of others, pairs that join all members, a star for
+        each part of the elements.
+        """
         n, like, parts = self.n, self.like, self.parts
         levels = self.spark.sparkContext.broadcast(self.frequencies())
         wanted = classes.select("block", "id").join(labels, "id", "left").select("block", "id", F.coalesce("label", "id").alias("label"))
@@ -356,17 +391,18 @@ class JaccardJoin:
                 label = dict(zip(wanted.column("id").to_pylist(), wanted.column("label").to_pylist()))
                 table = from_ipc(block.column("rows")[0].as_py())
                 table = table.filter(pc.is_in(table.column("id"), wanted.column("id").combine_chunks()))
-                keys, doc, info = [], [], []
+                keys, doc, place, info = [], [], [], []
                 for k, (i, s) in enumerate(zip(table.column("id").to_pylist(), shingle_sets(table.column("text"), n))):
-                    info.append((i, label[i]))
+                    info.append((i, label[i], len(s)))
                     if len(s):
                         rank = (levels.value[(s >> U(64 - SKETCH_BITS)).astype(np.int64)].astype(U) << U(56)) | (mixed(s) >> U(8))
                         m = like.prefix(len(s))
                         first = np.argpartition(rank, m - 1)[:m] if m < len(s) else np.arange(len(s))
-                        keys.append(s[first])
+                        keys.append(s[first[np.argsort(rank[first])]])
                         doc.append(np.full(len(first), k, dtype=np.uint32))
+                        place.append(np.arange(len(first), dtype=np.uint32))
                 if keys:
-                    keys, doc = np.concatenate(keys), np.concatenate(doc)
+                    keys, doc, place = np.concatenate(keys), np.concatenate(doc), np.concatenate(place)
                     info = np.array(info, dtype=np.int64)
                     order, begin = split_requests((mixed(keys + U(11)) % U(parts)).astype(np.int64), parts)
                     for p in range(parts):
@@ -374,24 +410,24 @@ class JaccardJoin:
                         if len(mine):
                             used, where = np.unique(doc[mine], return_inverse=True)
                             out["part"].append(p)
-                            out["body"].append(_joined(pack(keys[mine]), pack(where.astype(np.uint32)), pack(info[used].reshape(-1))))
+                            out["body"].append(_joined(pack(keys[mine]), pack(where.astype(np.uint32)), pack(place[mine]), pack(info[used].reshape(-1))))
                 trim()
             return pa.table({"part": pa.array(out["part"], pa.int32()), "body": pa.array(out["body"], pa.binary())})
 
         def join(table: pa.Table) -> pa.Table:
-            keys, ids, labels = [], [], []
+            held = []
             for body in table.column("body").to_pylist():
-                key, where, info = (unpack(x, t) for x, t in zip(_split(body), (U, np.uint32, np.int64)))
-                info = info.reshape(-1, 2)[where]
-                keys.append(key)
-                ids.append(info[:, 0])
-                labels.append(info[:, 1])
-            b, a = neighbours(*(np.concatenate(x) for x in (keys, ids, labels)))
+                key, where, place, info = (unpack(x, t) for x, t in zip(_split(body), (U, np.uint32, np.uint32, np.int64)))
+                held.append((key, *info.reshape(-1, 3)[where].T, place.astype(np.int64)))
+            keys, ids, labels, sizes, places = (np.concatenate(x) for x in zip(*held))
+            del held
+            b, a = neighbours(keys, ids, labels, more_than=pair_rows)
+            x, y = paired(keys, ids, labels, sizes, places, like, pair_rows)
             trim()
-            return pa.table({"a": pa.array(a), "b": pa.array(b)})
+            return pa.table({"a": pa.array(np.concatenate([a, x])), "b": pa.array(np.concatenate([b, y])), "many": pa.array(np.arange(len(a) + len(x)) < len(a))})
 
         held = self.packed.select("block", "rows").groupBy("block").cogroup(wanted.groupBy("block")).applyInArrow(prefixes, "part int, body binary")
-        return held.groupBy("part").applyInArrow(join, "a bigint, b bigint").distinct()
+        return held.groupBy("part").applyInArrow(join, "a bigint, b bigint, many boolean").distinct()
 
     def _band(self):
         """Sets that differ by more than a band in size are not linked."""
@@ -419,7 +455,8 @@ class JaccardJoin:
         """Pairs (a, b, block_a, block_b) across components that sizes and signatures allow."""
         like = self.like
         links = stored(self.neighbourhoods(classes, labels))
-        groups = components(links).withColumnRenamed("label", "hood")
+        few = self.bounded(links.where("NOT many").select("a", "b"), classes)
+        groups = components(links.where("many").select("a", "b")).withColumnRenamed("label", "hood")
         rows = classes.select("id", "block", "n", "signature").join(groups, "id").join(labels, "id", "left")
         rows = rows.withColumn("label", F.coalesce("label", "id")).withColumn("band", self._band())
         dealt = self._dealt(rows, "hood", F.ceil(F.count("*") / tile_rows))
@@ -435,7 +472,8 @@ class JaccardJoin:
             i, j = x.take(pa.array(at[:, 0])), y.take(pa.array(at[:, 1]))
             return pa.table({"a": i.column("id"), "b": j.column("id"), "block_a": i.column("block"), "block_b": j.column("block")})
 
-        return dealt.groupBy("hood", "band", "s", "other", "t").applyInArrow(compare, "a bigint, b bigint, block_a bigint, block_b bigint")
+        crowded = dealt.groupBy("hood", "band", "s", "other", "t").applyInArrow(compare, "a bigint, b bigint, block_a bigint, block_b bigint")
+        return few.unionByName(crowded).distinct()
 
     def linked_rows(self, classes: DataFrame, labels: DataFrame, tile_rows: int = 2048, tile_items: int = 1 << 20) -> DataFrame:
         """(id, others: rows of other classes that are linked with the class) for the classes of components, exactly."""
