@@ -43,13 +43,15 @@ class ParamStore:
     def get(self, keys: DataFrame) -> DataFrame:
         return keys.select("f").distinct().join(self.weights, "f", "left").select("f", F.coalesce("theta", F.lit(0.0)).alias("theta"))
 
+    # no unions: Spark 4.1 may zip a union of equally dealt tables, and then fails where it coalesces one of them
     def set(self, values: DataFrame) -> ParamStore:
-        return ParamStore(self.weights.join(values.select("f"), "f", "left_anti").unionByName(values.select("f", "theta")))
+        new = values.select("f", F.col("theta").alias("_new"), F.lit(True).alias("_set"))
+        return ParamStore(self.weights.join(new, "f", "full_outer").select("f", F.when(F.col("_set"), F.col("_new")).otherwise(F.col("theta")).alias("theta")))
 
     def add(self, deltas: DataFrame) -> ParamStore:
-        summed = deltas.groupBy("f").agg(F.sum("theta").alias("theta"))
-        # dealt out anew, see assemble.distribute_union
-        return ParamStore(self.weights.unionByName(summed).repartition("f").groupBy("f").agg(F.sum("theta").alias("theta")))
+        total = lambda rows, name: rows.groupBy("f").agg(F.sum("theta").alias(name))
+        both = total(self.weights, "theta").join(total(deltas, "_more"), "f", "full_outer")
+        return ParamStore(both.select("f", (F.coalesce("theta", F.lit(0.0)) + F.coalesce("_more", F.lit(0.0))).alias("theta")))
 
 
 def summation_form(entries: DataFrame, weights: DataFrame, n_splits: int, single_reducer: bool = True) -> DataFrame:

@@ -336,3 +336,20 @@ def test_counting_and_index_share_an_exchange(spark, sf):
     held = WORKLOADS["lang31"].train(spark, sf).select("f", "sample_id", "x", "label")
     assert dealt(held, "f", partitions(spark)) and plan(held).count("Exchange") == 1
     assert not dealt(held, "sample_id", partitions(spark)) and not dealt(held.groupBy("f").count(), "f", 999)
+
+
+def test_store_over_exchanges(spark, sf):
+    """Keys and weights that come of one table and meet by exchanges; Spark can't zip a union of such parts."""
+    from codist.plans import queries
+
+    held = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        got = {r["f"]: r["theta"] for r in queries.QUERIES["q_param_store_ops"](spark, sf).collect()}
+        start = queries.params.init(queries.training(spark, sf))
+        assert got == {r["f"]: (r["f"] < "b") + 0.5 * (r["f"] < "c") for r in start.collect()}
+        store = baselines.ParamStore(start.where("f < 'b'")).set(start.where("f < 'a'").withColumn("theta", F.lit(None).cast("double")))
+        some = store.add(start.where("f < 'c'").withColumn("theta", F.lit(0.5))).get(start.select("f"))
+        assert {r["theta"] for r in some.where("f < 'c'").collect()} == {0.5} and some.count() == len(got)
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", held)
