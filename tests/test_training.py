@@ -274,3 +274,18 @@ def test_split_is_nested_and_disjoint(wide):
     assert len(hot) > 3 and max(r["count"] for r in hot) <= 6 and max(len(r["shard_path"]) for r in hot) == 2
     children = {r["f"]: r["children"] for r in shard.parent_child(split).collect()}
     assert len(children["hot"]) == len(hot) and all(len(v) >= 1 for v in children.values())
+
+
+def test_nested_split_reads_its_input_once(spark):
+    """Each level reads the level before several times, but none is made anew for that."""
+    seen = spark.sparkContext.accumulator(0)
+
+    @F.udf("bigint")
+    def counting(x):
+        seen.add(1)
+        return x
+
+    df = spark.range(60).select(counting("id").alias("sample_id"), F.lit("hot").alias("f"), F.lit(1.0).alias("x"), F.lit(1).alias("label"))
+    assert shard.split_nested(df, [20, 6]).select("shard_path").distinct().count() == 12 and seen.value == 60
+    at = spark.createDataFrame([(i,) for i in (-3, 0, 4, 5, 9, None)], "x bigint").select(shard.range_of(F.col("x"), [0, 4, 4, 8]))
+    assert [r[0] for r in at.collect()] == [0, 0, 1, 3, 4, 0]
