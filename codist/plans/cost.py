@@ -30,6 +30,16 @@ def published(spark: SparkSession) -> DataFrame:
     return long.select("stage", "in_loop", pick(0).alias("mappers"), pick(1).alias("reducers"), F.col("minutes").cast("double").alias("minutes"))
 
 
+def event_runs(events: DataFrame) -> DataFrame:
+    """(stage, in_loop, mappers, reducers, minutes): each event as a run of a stage that its type names and that took its value.
+
+    The setting is one of RESOURCES by the remainder of the user; errors stand for what is outside the loop.
+    """
+    turn = F.pmod("user_id", F.lit(len(RESOURCES)))
+    pick = lambda k: F.when(turn == 0, RESOURCES[0][k]).when(turn == 1, RESOURCES[1][k]).otherwise(RESOURCES[2][k])
+    return events.select(F.col("event_type").alias("stage"), (F.col("event_type") != "error").alias("in_loop"), pick(0).alias("mappers"), pick(1).alias("reducers"), F.col("value").alias("minutes"))
+
+
 def stage_times(runs: DataFrame, value: str = "seconds") -> DataFrame:
     """Mean time of each stage under each setting."""
     return runs.groupBy("stage", "mappers", "reducers").agg(F.avg(value).alias(value), F.first("in_loop").alias("in_loop"))

@@ -353,3 +353,13 @@ def test_store_over_exchanges(spark, sf):
         assert {r["theta"] for r in some.where("f < 'c'").collect()} == {0.5} and some.count() == len(got)
     finally:
         spark.conf.set("spark.sql.autoBroadcastJoinThreshold", held)
+
+
+@pytest.mark.parametrize("name", ["iteration", "speedup", "linearity", "stages"])
+def test_costs_are_of_a_table(spark, sf, tmp_path, name):
+    """The measures of stage times follow the events that are read."""
+    from codist.plans import queries
+
+    query = queries.QUERIES[f"q_cost_{name}_published"]
+    spark.read.parquet(f"{sf}/events.parquet").where("pmod(user_id, 3) <> 1 or pmod(event_id, 3) = 0").write.parquet(f"{tmp_path}/events.parquet")
+    assert query(spark, sf).count() > 0 and sorted(map(str, query(spark, sf).collect())) != sorted(map(str, query(spark, str(tmp_path)).collect()))
